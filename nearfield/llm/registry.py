@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nearfield.llm import lines
+from nearfield.llm import language, lines, private
 from nearfield.llm.common import table
 
 
@@ -14,8 +14,21 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.digest(lines.drop_common_lines(table(spark, sf_dir, "documents")))
 
 
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    return language.identify(docs).select("doc_id", "held_out", "lang_pred", "score")
+
+
+def op5_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return private.digest(private.find(table(spark, sf_dir, "documents")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op10_line_dedup": op10_line_dedup}
+    return {
+        "op5_private_spans": op5_private_spans,
+        "op9_language_id": op9_language_id,
+        "op10_line_dedup": op10_line_dedup,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
