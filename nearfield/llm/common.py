@@ -15,7 +15,7 @@ WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 #: The letters that ``lower_ascii`` folds.
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
-_FOLD_BYTES = bytes.maketrans(UPPER.encode(), LOWER.encode())
+FOLD_BYTES = bytes.maketrans(UPPER.encode(), LOWER.encode())
 
 
 def lower_ascii(text: Column) -> Column:
@@ -54,4 +54,4 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 def folded_words_of(text: str | None) -> list[bytes]:
-    return (text or "").encode("utf-8", "surrogatepass").translate(_FOLD_BYTES).split()
+    return (text or "").encode("utf-8", "surrogatepass").translate(FOLD_BYTES).split()

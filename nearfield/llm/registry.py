@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nearfield.llm import language, lines, private
+from nearfield.llm import language, lines, neardup, private
 from nearfield.llm.common import table
 
 
@@ -23,13 +23,18 @@ def op5_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return private.digest(private.find(table(spark, sf_dir, "documents")))
 
 
+def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.group(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op5_private_spans": op5_private_spans,
+        "op7_near_duplicates": op7_near_duplicates,
         "op9_language_id": op9_language_id,
         "op10_line_dedup": op10_line_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_line_dedup": lines.LINES_SQL}
+    return {"op7_near_duplicates": neardup.NEAR_SQL, "op10_line_dedup": lines.LINES_SQL}
