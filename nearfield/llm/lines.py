@@ -4,10 +4,12 @@ Lines are exploded and normalised, a 128-bit hash stands for each, distinct
 documents are counted per hash, hashes at or over the threshold are dropped, and
 every text is put together again in line order.
 
-Only hashes and ids move in the count; the texts move once, to meet the list of
-their own lines that go.  The count is of (hash, document) pairs first and of
-hashes after, so a line that sits in a third of all documents is summed on the
-map side and never gathered in one task.
+The texts are read for hashes once, and only hashes and ids move in the count;
+the texts move once, to meet the list of their own lines that go.  The count is
+of (hash, document) pairs first and of hashes after, so a line that sits in a
+third of all documents is summed on the map side and never gathered in one task.
+Both tables of hashes are written, so the join of the two can be broadcast where
+the common lines are few and split by Spark where one of them is hot.
 
 Defined results: a null or empty text is one empty line; rows that repeat a
 doc_id count as one document and each keeps its own row; rows whose doc_id is
@@ -18,19 +20,34 @@ columns pass through unread.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import LOWER, SPACE, UPPER
+from nearfield.llm.common import FOLD_BYTES, SPACE, keep
 
-_FOLD = str.maketrans(UPPER, LOWER)
 
+def _line_hash(line: str) -> bytes:
+    return hashlib.md5(line.strip(SPACE).encode("utf-8", "surrogatepass").translate(FOLD_BYTES)).digest()
 
-def line_key(line: str) -> str:
-    return line.strip(SPACE).translate(_FOLD)
+
+def _line_hashes(docs: DataFrame, min_chars: int) -> DataFrame:
+    """The hashes of each row's lines, every one once."""
+
+    def hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            row, out = [], []
+            for i, text in enumerate(batch.column(1).to_pylist()):
+                keys = {k for x in (text or "").split("\n") if len(k := x.strip(SPACE)) >= min_chars}
+                out += {hashlib.md5(k.encode("utf-8", "surrogatepass").translate(FOLD_BYTES)).digest() for k in keys}
+                row += [i] * (len(out) - len(row))
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int32())), pa.array(out, pa.binary())], ["doc_id", "line_hash"])
+
+    return docs.mapInArrow(hashes, T.StructType([docs.schema["doc_id"], T.StructField("line_hash", T.BinaryType())]))
 
 
 @F.pandas_udf(T.StructType([T.StructField("text", T.StringType()), T.StructField("n_dropped", T.LongType())]))
@@ -44,7 +61,7 @@ def _without(text: pd.Series, gone: pd.Series) -> pd.DataFrame:
             continue
         bad = set(map(bytes, hashes))
         lines = whole.split("\n")
-        stay = [x for x in lines if hashlib.md5(line_key(x).encode("utf-8", "surrogatepass")).digest() not in bad]
+        stay = [x for x in lines if _line_hash(x) not in bad]
         kept.append("\n".join(stay))
         dropped.append(len(lines) - len(stay))
     return pd.DataFrame({"text": kept, "n_dropped": dropped})
@@ -57,19 +74,11 @@ def drop_common_lines(docs: DataFrame, min_docs: int = 10, min_chars: int = 1) -
     at least ``min_chars`` code points found in at least ``min_docs`` documents
     lose all their lines.
     """
-    slim = docs.select("doc_id", "text")
-    key = F.translate(F.btrim(F.col("line"), F.lit(SPACE)), UPPER, LOWER)
-    lines = (
-        slim.where(F.col("text").isNotNull())
-        .select("doc_id", F.explode(F.split("text", "\n", -1)).alias("line"))
-        .select("doc_id", key.alias("key"))
-        .where(F.length("key") >= max(1, min_chars))
-        .select("doc_id", F.unhex(F.md5("key")).alias("line_hash"))
-    )
-    pairs = lines.groupBy("line_hash", "doc_id").agg(F.lit(1).alias("one"))
-    common = pairs.groupBy("line_hash").agg(F.count(F.lit(1)).alias("n_docs")).where(F.col("n_docs") >= min_docs)
+    pairs = keep(_line_hashes(docs.select("doc_id", "text"), max(1, min_chars)))
+    counted = pairs.distinct().groupBy("line_hash").agg(F.count(F.lit(1)).alias("n_docs"))
+    common = keep(counted.where(F.col("n_docs") >= min_docs).select("line_hash"))
     gone = (
-        lines.join(common.select("line_hash"), "line_hash", "left_semi")
+        pairs.join(common, "line_hash", "left_semi")
         .groupBy("doc_id")
         .agg(F.collect_set("line_hash").alias("gone"))
         .withColumnRenamed("doc_id", "_hit_id")
