@@ -36,12 +36,27 @@ def keep(df: DataFrame) -> DataFrame:
     """Write ``df`` once as compressed Parquet in the shared folder and read it back.
 
     Cuts the lineage: a lost executor costs a reread, not a recomputation, and
-    whatever a random or sampled step decided stays decided.
+    whatever a step decided stays decided.  Its shuffle files go when it is written.
     """
     spark = df.sparkSession
     path = f"{scratch_dir(spark)}/kept-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    clean = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(clean, None)
+    spark.conf.set(clean, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        spark.conf.set(clean, before or "false")
+    kept = spark.read.schema(df.schema).parquet(path)
+    kept._kept_at = path
+    return kept
+
+
+def discard(kept: DataFrame) -> None:
+    """Delete what ``keep`` wrote; nothing may read it any more."""
+    spark = kept.sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path(kept._kept_at)
+    path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nearfield.llm import language, lines, neardup, private
+from nearfield.llm import language, lines, neardup, private, repeats
 from nearfield.llm.common import table
 
 
@@ -19,6 +19,11 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language.identify(docs).select("doc_id", "held_out", "lang_pred", "score")
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return repeats.digest(repeats.cut_repeats(docs))
+
+
 def op5_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return private.digest(private.find(table(spark, sf_dir, "documents")))
 
@@ -29,6 +34,7 @@ def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op4_substring_dedup": op4_substring_dedup,
         "op5_private_spans": op5_private_spans,
         "op7_near_duplicates": op7_near_duplicates,
         "op9_language_id": op9_language_id,
@@ -37,4 +43,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_near_duplicates": neardup.NEAR_SQL, "op10_line_dedup": lines.LINES_SQL}
+    return {"op4_substring_dedup": repeats.REPEATS_SQL, "op7_near_duplicates": neardup.NEAR_SQL, "op10_line_dedup": lines.LINES_SQL}
