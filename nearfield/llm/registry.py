@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nearfield.llm import language, lines, neardup, private, repeats
+from nearfield.llm import html, language, lines, neardup, packing, private, repeats
 from nearfield.llm.common import table
 
 
@@ -14,11 +14,19 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.digest(lines.drop_common_lines(table(spark, sf_dir, "documents")))
 
 
+def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     return language.identify(docs).select("doc_id", "held_out", "lang_pred", "score")
 
 
+def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract(table(spark, sf_dir, "pages").select("page_id", "url", "html")).select("page_id", "url", "text", "n_chars")
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return repeats.digest(repeats.cut_repeats(docs))
@@ -34,13 +42,15 @@ def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op2_html_text": op2_html_text,
         "op4_substring_dedup": op4_substring_dedup,
         "op5_private_spans": op5_private_spans,
         "op7_near_duplicates": op7_near_duplicates,
+        "op8_best_fit_packing": op8_best_fit_packing,
         "op9_language_id": op9_language_id,
         "op10_line_dedup": op10_line_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_substring_dedup": repeats.REPEATS_SQL, "op7_near_duplicates": neardup.NEAR_SQL, "op10_line_dedup": lines.LINES_SQL}
+    return {"op2_html_text": html.PAGES_SQL, "op4_substring_dedup": repeats.REPEATS_SQL, "op7_near_duplicates": neardup.NEAR_SQL, "op10_line_dedup": lines.LINES_SQL}
