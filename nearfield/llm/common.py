@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,9 +34,15 @@ def scratch_dir(spark: SparkSession) -> str:
     return held.get()
 
 
-def keep(df: DataFrame) -> DataFrame:
+#: Rows of a file where the number of rows is known beforehand.
+FILE_ROWS = 200_000
+
+
+def keep(df: DataFrame, rows: int | None = None) -> DataFrame:
     """Write ``df`` once as compressed Parquet in the shared folder and read it back.
 
+    ``rows``, where it is known to be the most, bounds the number of files.
+
     Cuts the lineage: a lost executor costs a reread, not a recomputation, and
     whatever a step decided stays decided.  Its shuffle files go when it is written.
     """
@@ -44,7 +52,8 @@ def keep(df: DataFrame) -> DataFrame:
     before = spark.conf.get(clean, None)
     spark.conf.set(clean, "true")
     try:
-        df.write.option("compression", "zstd").parquet(path)
+        cut = df if rows is None else df.coalesce(max(1, -(-rows // FILE_ROWS)))
+        cut.write.option("compression", "zstd").parquet(path)
     finally:
         spark.conf.set(clean, before or "false")
     kept = spark.read.schema(df.schema).parquet(path)
@@ -59,6 +68,13 @@ def discard(kept: DataFrame) -> None:
     path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
+def pieces(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of few rows, so that a task holds few texts and results at once."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import discard, keep
+from nearfield.llm.common import discard, keep, pieces
 
 #: A subtree is template if it is on this many pages of its host, and on this share of them.
 MIN_PAGES, MIN_SHARE = 8, 0.1
@@ -216,7 +216,7 @@ def _subtrees(pages: DataFrame) -> DataFrame:
     """Distinct subtree hashes of each page, for subtrees with text."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             index, out = [], []
             for i, html in enumerate(batch.column(2).to_pylist()):
                 page = Page(html or "")
@@ -245,7 +245,7 @@ def extract(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN
     schema = T.StructType([*base.schema.fields, T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
 
     def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             at = batch.schema.get_field_index("_hits")
             texts = [main_text(h, set(x or ())) for h, x in zip(batch.column("html").to_pylist(), batch.column(at).to_pylist(), strict=True)]
             columns = [c for i, c in enumerate(batch.columns) if i != at]

@@ -27,6 +27,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from nearfield.llm.common import pieces
+
 #: Letters fall in this many symbols: 0 is "no letter", 1 to 26 are a to z, the rest share what is left.
 SYMBOLS = 32
 DIMENSIONS = 512
@@ -102,7 +104,7 @@ def learn(docs: DataFrame, dimensions: int = DIMENSIONS) -> dict[str, np.ndarray
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
-        for batch in batches:
+        for batch in pieces(batches):
             langs = np.array(batch.column(1).to_pylist(), object)
             vectors, known = text_vectors(batch.column(0).to_pylist(), dimensions)
             for lang in set(langs[known]):
@@ -135,7 +137,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], dimensions: int
     matrix = np.stack([v / (np.linalg.norm(v) or 1) for v in prototypes.values()]).astype(np.float32) if names else None
 
     def label(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             at = batch.schema.get_field_index("text")
             vectors, known = text_vectors(batch.column(at).to_pylist(), dimensions)
             preds, scores = [UNDETERMINED] * len(known), np.zeros(len(known))

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import FOLD_BYTES, SPACE, keep
+from nearfield.llm.common import FOLD_BYTES, SPACE, keep, pieces
 
 
 def _line_hash(line: str) -> bytes:
@@ -39,7 +39,7 @@ def _line_hashes(docs: DataFrame, min_chars: int) -> DataFrame:
     """The hashes of each row's lines, every one once."""
 
     def hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             row, out = [], []
             for i, text in enumerate(batch.column(1).to_pylist()):
                 keys = {k for x in (text or "").split("\n") if len(k := x.strip(SPACE)) >= min_chars}

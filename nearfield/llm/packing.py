@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import folded_words_of, keep
+from nearfield.llm.common import folded_words_of, keep, pieces
 
 CAPACITY = 2048
 PER_SOURCE = 2
@@ -76,7 +76,7 @@ def _measured(docs: DataFrame) -> DataFrame:
     """Words and cluster (a 64-bit hash of the folded words) of each text; the texts stay where they are."""
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             words = [folded_words_of(t) for t in batch.column(2).to_pylist()]
             n, cluster = [len(w) for w in words], [xxhash.xxh3_64_intdigest(b" ".join(w)) - 2**63 for w in words]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n, pa.int64()), pa.array(cluster, pa.int64())], ["doc_id", "source", "n_words", "cluster"])

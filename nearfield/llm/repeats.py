@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import discard, keep, words_of
+from nearfield.llm.common import discard, keep, pieces, words_of
 from nearfield.llm.shingles import window_hashes, word_hashes
 
 #: The seed has at most so many words, and more than half of them.
@@ -103,7 +103,7 @@ def _longer(docs: DataFrame, low: int, high: int, thinned: bool) -> DataFrame:
 
 def _exploded(docs: DataFrame, rows) -> DataFrame:
     def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             alive = batch.column(2) if batch.num_columns > 2 else None
             found = [rows(text, alive[i].values.to_numpy(zero_copy_only=False) if alive is not None and alive[i].is_valid else None) for i, text in enumerate(batch.column(1).to_pylist())]
             index = np.repeat(np.arange(len(found), dtype=np.int32), [len(x) for x in found])
@@ -172,7 +172,7 @@ def cut_repeats(docs: DataFrame, window: int = 13) -> DataFrame:
     at = base.columns.index("text")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             gone_at = batch.schema.get_field_index("_gone")
             texts, n_words, n_removed = [], [], []
             for text, hashes in zip(batch.column(at).to_pylist(), batch.column(gone_at), strict=True):
