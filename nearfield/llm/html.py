@@ -9,7 +9,7 @@ styles, comments) goes on every page, also on hosts with few pages.
 Text in an ``article`` or ``main`` element is the page's own: there a recurring
 subtree only goes if most of it is links, since copies of an article, or a
 paragraph that many articles carry, are no template.  Without such an element
-everything outside the template is the text, unless most of the page recurs; then
+everything outside the template is the text, unless all of the page recurs; then
 the page is a copy of others and again only recurring links go.
 
 Counts are summed by (host, hash) on the map side, so a host with a third of all
@@ -175,13 +175,13 @@ def main_text(html: str | None, template: set[int] = frozenset()) -> str:
         for e in range(1, n):
             inside[e] = e in own or inside[page.parents[e]]
         if not own:
-            # A page that recurs for the most part is a copy of others.
+            # A page of which all recurs is a copy of others.
             covered = 0
             for e in range(1, n):
                 if recurs[e] and not gone[e] and not _above(page, e, recurs):
                     covered += text[e]
             left = sum(len(t.strip()) for e, t in page.items if t is not None and not gone[e])
-            inside = [2 * covered > left] * n
+            inside = [100 * covered >= 99 * left] * n
         for e in range(1, n):
             if recurs[e] and (not inside[e] or (page.tags[e] not in _PROSE and 2 * link[e] > text[e])):
                 gone[e] = True
