@@ -8,44 +8,42 @@ from pyspark.sql import functions as F
 from nearfield.llm.common import keep
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, rows: int) -> DataFrame:
     """Each node's larger neighbours move to the least node around it."""
     both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = keep(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")))
+    least = keep(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), rows)
     return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame, rows: int) -> DataFrame:
     """Each node and its smaller neighbours move to the least of those."""
     down = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-    least = keep(down.groupBy("u").agg(F.min("v").alias("m")))
+    least = keep(down.groupBy("u").agg(F.min("v").alias("m")), rows)
     moved = down.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.unionByName(least.select("u", F.col("m").alias("v"))).where("u <> v")
 
 
-def _state(edges: DataFrame) -> tuple:
-    row = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-    return tuple(row)
+def _is_stars(edges: DataFrame) -> bool:
+    """Whether every node points to one node, and none of those points on."""
+    if not edges.groupBy("u").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        return False
+    return edges.select("v").distinct().join(edges.select(F.col("u").alias("v")), "v", "left_semi").isEmpty()
 
 
 def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
-    """``node, component`` for every node of ``edges`` (u, v): the least node reachable.
+    """``node, component`` for every node of ``edges`` (u, v) but the least of each component.
 
     Each round writes its edges, so no lineage grows; a star's centre is summed
     on the map side, and its least node meets the edges by a join that Spark can
-    broadcast or split.  Edges from a node to itself say nothing and go.
+    broadcast or split.  Rounds end when only stars are left: then the centre of
+    a star is its least node.  Edges from a node to itself say nothing and go.
     """
-    edges = keep(edges.where("u <> v").distinct())
-    before = None
+    edges = edges.where("u <> v").select("u", "v").distinct()
+    # No round makes more edges than there are edges and nodes.
+    rows = 3 * edges.count()
     for _ in range(max_rounds):
-        now = _state(edges)
-        if now == before or not now[0]:
-            break
-        before = now
-        edges = keep(_large_star(edges).where("u <> v").distinct())
-        edges = keep(_small_star(edges).distinct())
-    else:
-        raise RuntimeError(f"components: no fixed point after {max_rounds} rounds")
-    return edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component")).unionByName(
-        edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-    )
+        edges = keep(_large_star(edges, rows).where("u <> v").distinct(), rows)
+        edges = keep(_small_star(edges, rows).distinct(), rows)
+        if _is_stars(edges):
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+    raise RuntimeError(f"components: no fixed point after {max_rounds} rounds")
