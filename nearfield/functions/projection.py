@@ -58,18 +58,34 @@ def distortion(points: PointSet, k: int, every: int, seed: int = 7, kind: str =
     return ratio.agg(F.count(F.lit(1)).alias("pairs"), F.round(F.min("ratio"), 6).alias("least"), F.round(F.avg("ratio"), 6).alias("mean"), F.round(F.max("ratio"), 6).alias("greatest"))
 
 
+def _trigrams(text: str | None, places: int) -> np.ndarray:
+    """Counts of the places of all character trigrams of the whole lower-case text."""
+    points = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+    return np.bincount((points[:-2] * 961 + points[1:-1] * 31 + points[2:]) % places, minlength=places) if len(points) >= 3 else np.zeros(places, np.int64)
+
+
+def trigram_counts(texts: DataFrame, places: int) -> DataFrame:
+    """``point_id, place, n`` of whole texts; places that do not occur have no row."""
+
+    def grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            counts = np.array([_trigrams(t, places) for t in batch.column(1).to_pylist()]).reshape(batch.num_rows, places)
+            row, place = np.nonzero(counts)
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row)), pa.array(place.astype(np.int32)), pa.array(counts[row, place])], ["point_id", "place", "n"])
+
+    schema = T.StructType([texts.schema["point_id"], T.StructField("place", T.IntegerType()), T.StructField("n", T.LongType())])
+    return texts.select("point_id", "text").mapInArrow(grams, schema)
+
+
 def trigram_vectors(texts: DataFrame, places: int) -> DataFrame:
     """``point_id, value``: unit vectors of character-trigram counts of whole texts; texts under three characters are zero."""
     schema = T.StructType([texts.schema["point_id"], T.StructField("value", T.ArrayType(T.DoubleType()))])
 
     def grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = np.zeros((batch.num_rows, places))
-            for i, text in enumerate(batch.column(1).to_pylist()):
-                points = np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
-                if len(points) >= 3:
-                    out[i] = np.bincount((points[:-2] * 961 + points[1:-1] * 31 + points[2:]) % places, minlength=places)
-                    out[i] /= np.linalg.norm(out[i])
+            out = np.array([_trigrams(t, places) for t in batch.column(1).to_pylist()], float).reshape(batch.num_rows, places)
+            norms = np.linalg.norm(out, axis=1, keepdims=True)
+            out /= np.where(norms > 0, norms, 1)
             offsets = pa.array(np.arange(0, out.size + 1, places, dtype=np.int32))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(offsets, pa.array(out.ravel()))], ["point_id", "value"])
 

@@ -31,8 +31,13 @@ def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
 
 
 def ids_of(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
-    kind = object if pa.types.is_string(column.type) or pa.types.is_large_string(column.type) else None
-    return np.array(column.to_pylist(), dtype=kind) if kind else column.to_numpy(zero_copy_only=False)
+    if pa.types.is_string(column.type) or pa.types.is_large_string(column.type):
+        return np.array(column.to_pylist(), dtype=str)
+    return column.to_numpy() if isinstance(column, pa.ChunkedArray) else column.to_numpy(zero_copy_only=False)
+
+
+def as_arrow(ids: np.ndarray) -> pa.Array:
+    return pa.array(ids.tolist(), pa.string()) if ids.dtype.kind == "U" else pa.array(ids)
 
 
 def collected(points: PointSet) -> tuple[np.ndarray, np.ndarray]:
@@ -59,31 +64,63 @@ def least_k(block: np.ndarray, k: int) -> list[tuple[np.ndarray, np.ndarray]]:
 
 def _batch(schema: T.StructType, q_ids, x_ids, dists) -> pa.RecordBatch:
     kinds = [pa.int64() if f.dataType == T.LongType() else pa.int32() if f.dataType == T.IntegerType() else pa.string() if f.dataType == T.StringType() else pa.float64() for f in schema]
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip((q_ids, x_ids, dists), kinds, strict=False)], schema.names)
+    plain = lambda c: c.tolist() if getattr(c, "dtype", None) is not None and c.dtype.kind == "U" else c
+    return pa.RecordBatch.from_arrays([pa.array(plain(c), t) for c, t in zip((q_ids, x_ids, dists), kinds, strict=False)], schema.names)
+
+
+class Best:
+    """The k best so far of a fixed set of queries, over all batches of a task."""
+
+    def __init__(self, queries: int, k: int):
+        self.k, self.dist, self.ids = k, np.full((queries, 0), np.inf), None
+
+    def add(self, part: slice, columns: list[tuple[np.ndarray, np.ndarray]], ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Merge the columns of ``least_k`` for some of the queries; ties to the smaller id."""
+        dist = np.stack([d for _, d in columns], axis=1)
+        near = np.stack([ids[c] for c, _ in columns], axis=1)
+        if self.ids is not None:
+            dist, near = np.concatenate((self.dist[part], dist), axis=1), np.concatenate((self.ids[part], near), axis=1)
+        order = np.lexsort((near, dist), axis=1)[:, : self.k]
+        return np.take_along_axis(dist, order, axis=1), np.take_along_axis(near, order, axis=1)
 
 
 def _kernel(q: PointSet, x: PointSet, k: int, small: str, not_self: bool) -> DataFrame:
-    """k rows for each query and batch; the small side is in the closure."""
+    """k rows for each query and task (or for each query, if the queries are the large side)."""
     schema, block_of = schema_of(q, x), q.metric.block
     s_ids, s_vals = collected(q if small == "q" else x)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not len(s_ids):
             return
+        best = Best(len(s_ids), k)
         for batch in batches:
             ids, values = ids_of(batch.column(0)), matrix(batch.column(1))
+            if not len(ids):
+                continue
             order = np.argsort(ids, kind="stable")
-            ids, values = ids[order], values[order] if len(order) else values
-            step = max(1, _CELLS // max(1, len(s_ids) if small == "x" else len(ids)))
+            ids, values = ids[order], values[order]
             a_ids, a_vals, b_ids, b_vals = (s_ids, s_vals, ids, values) if small == "q" else (ids, values, s_ids, s_vals)
-            for at in range(0, len(a_ids), step) if len(b_ids) else ():
+            step = max(1, _CELLS // len(b_ids))
+            dists, nears = [], []
+            for at in range(0, len(a_ids), step):
                 own = a_ids[at : at + step]
                 block = block_of(a_vals[at : at + step], b_vals)
                 if not_self:
                     block[own[:, None] == b_ids[None, :]] = np.inf
-                for col, dist in least_k(block, k):
+                columns = least_k(block, k)
+                if small == "q":
+                    dist, near = best.add(slice(at, at + step), columns, b_ids)
+                    dists.append(dist)
+                    nears.append(near)
+                    continue
+                for col, dist in columns:
                     fine = np.isfinite(dist)
                     yield _batch(schema, own[fine], b_ids[col[fine]], dist[fine])
+            if small == "q":
+                best.dist, best.ids = np.concatenate(dists), np.concatenate(nears)
+        if best.ids is not None:
+            row, place = np.nonzero(np.isfinite(best.dist))
+            yield _batch(schema, s_ids[row], best.ids[row, place], best.dist[row, place])
 
     big = x if small == "q" else q
     return big.df.select("point_id", "value").mapInArrow(search, schema)

@@ -61,7 +61,7 @@ def owners(x: PointSet, pivots: PointSet, n_pivots: int | None = None) -> DataFr
                 at.append(own)
                 dist.append(block[np.arange(len(own)), own])
             own = np.concatenate(at) if at else np.empty(0, int)
-            ids = pa.array(r_ids[own].tolist() if r_ids.dtype == object else r_ids[own])
+            ids = bf.as_arrow(r_ids[own])
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), ids, pa.array(np.concatenate(dist) if dist else np.empty(0))], schema.names)
 
     return x.df.select("point_id", "value").mapInArrow(assign, schema)
@@ -139,7 +139,7 @@ def nearest_points(pivots: PointSet, x: PointSet, s: int, n: int) -> DataFrame:
                 row, col = np.nonzero(block <= limit[:, None])
                 take = pa.array(col.astype(np.int64))
                 ids = r_ids[at + row]
-                yield pa.RecordBatch.from_arrays([pa.array(ids.tolist() if ids.dtype == object else ids), pa.array(block[row, col]), batch.column(0).take(take), batch.column(1).take(take)], schema.names)
+                yield pa.RecordBatch.from_arrays([bf.as_arrow(ids), pa.array(block[row, col]), batch.column(0).take(take), batch.column(1).take(take)], schema.names)
 
     order = Window.partitionBy("pivot_id").orderBy("owner_dist", "point_id")
     ranked = x.df.select("point_id", "value").mapInArrow(near, schema).withColumn("position", F.row_number().over(order))

@@ -87,7 +87,7 @@ def bf_single_events(spark: SparkSession, d: str) -> DataFrame:
     return rounded(bf.nearest_one([0.5, 0.1, 0.5], features.events3(spark, d), 10), "neighbor_id", "dist")
 
 
-BF_SINGLE_SQL = f"SELECT id AS neighbor_id, round(d, 6) AS dist FROM (SELECT id, {metric_of('events3').sql('[0.5, 0.1, 0.5]::DOUBLE[]', 'v')} AS d FROM ({features.SQL['events3']})) ORDER BY d, id LIMIT 10"
+BF_SINGLE_SQL = f"SELECT id AS neighbor_id, round(d, 6) AS dist FROM (SELECT id, {metric_of('events3').sql('a', 'v')} AS d FROM ({features.SQL['events3']}), (SELECT [0.5, 0.1, 0.5]::DOUBLE[] AS a)) ORDER BY d, id LIMIT 10"
 
 
 def bf_self_cust2(spark: SparkSession, d: str) -> DataFrame:
@@ -565,8 +565,7 @@ def projected_rank(spark: SparkSession, d: str) -> DataFrame:
 
 def features_docgrams(spark: SparkSession, d: str) -> DataFrame:
     """Trigram counts of every whole document: ``point_id, place, n``."""
-    docs = table(spark, d, "documents").select(F.col("doc_id").alias("point_id"), F.explode(features.gram_counts(F.coalesce("text", F.lit("")))).alias("place"))
-    return docs.groupBy("point_id", "place").agg(F.count(F.lit(1)).alias("n"))
+    return projection.trigram_counts(table(spark, d, "documents").select(F.col("doc_id").alias("point_id"), "text"), features.GRAMS)
 
 
 def exact_doc54(spark: SparkSession, d: str) -> DataFrame:
