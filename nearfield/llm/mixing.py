@@ -38,12 +38,12 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from nearfield.llm.common import SPACE, keep
+from nearfield.llm.common import keep
 
 #: Word buckets of the classifier, those used for each domain, and the most labelled documents it learns from.
-BUCKETS, USED, LABELLED = 4096, 256, 20_000
-#: Punctuation that is cut from a word's ends.
-EDGES = ".,;:!?|#$%&*()[]\"'"
+BUCKETS, USED, LABELLED = 4096, 256, 10_000
+#: What parts words: ASCII white space, control characters and punctuation.
+BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 #: Temperatures that are tried; the labelled rows of every fifth hash choose.
 TEMPERATURES = (2.0, 1.0, 0.5, 0.25, 0.1)
 #: Domains of the labels table and the share of words that each is to have.
@@ -68,10 +68,11 @@ def _bounded(labelled: DataFrame, most: int) -> DataFrame:
 
 def _words(docs: DataFrame, *others: str) -> DataFrame:
     """One row for each distinct word of each text: its bucket, and the words of the text in all."""
-    split = F.split(F.btrim(F.lower("text"), F.lit(SPACE)), r"[\x20\x09-\x0D]+")
-    listed = docs.where(F.col("text").isNotNull()).select("doc_id", *others, split.alias("words")).where(F.col("words")[0] != "")
-    each = listed.select("doc_id", *others, F.size("words").alias("n_words"), F.explode(F.array_distinct("words")).alias("word"))
-    return each.select("doc_id", *others, "n_words", F.pmod(F.xxhash64(F.btrim(F.col("word"), F.lit(EDGES))), F.lit(BUCKETS)).cast("int").alias("bucket"))
+    listed = docs.where(F.col("text").isNotNull()).select("doc_id", *others, F.split(F.lower("text"), BREAKS).alias("words"))
+    # A break at either end leaves an empty word there.
+    ends = (F.element_at("words", 1) == "").cast("int") + ((F.size("words") > 1) & (F.element_at("words", -1) == "")).cast("int")
+    each = listed.select("doc_id", *others, (F.size("words") - ends).alias("n_words"), F.explode(F.array_distinct("words")).alias("word"))
+    return each.where(F.col("word") != "").select("doc_id", *others, "n_words", F.pmod(F.xxhash64("word"), F.lit(BUCKETS)).cast("int").alias("bucket"))
 
 
 @dataclass
