@@ -34,6 +34,19 @@ def scratch_dir(spark: SparkSession) -> str:
     return held.get()
 
 
+#: Rows and bytes of an Arrow batch: a task holds a few of them, in the JVM and in Python.
+BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
+
+
+def modest_batches(spark: SparkSession) -> None:
+    """Long texts in batches of the default size would fill an executor; the session gets smaller ones."""
+    for setting, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        name = f"spark.sql.execution.arrow.{setting}"
+        digits = "".join(c for c in spark.conf.get(name) if c.isdigit())
+        if not digits or not 0 < int(digits) <= most:
+            spark.conf.set(name, str(most))
+
+
 #: Rows of a file where the number of rows is known beforehand.
 FILE_ROWS = 200_000
 
@@ -47,6 +60,7 @@ def keep(df: DataFrame, rows: int | None = None) -> DataFrame:
     whatever a step decided stays decided.  Its shuffle files go when it is written.
     """
     spark = df.sparkSession
+    modest_batches(spark)
     path = f"{scratch_dir(spark)}/kept-{uuid.uuid4().hex}"
     clean = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
     before = spark.conf.get(clean, None)

@@ -144,10 +144,13 @@ def _fitted_window(points: DataFrame, ranked: DataFrame, sample: list, k: int, w
     ids, asked = np.array([r.vec_id for r in sample]), np.array([r.vec for r in sample])
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best = None
         for batch in batches:
             if batch.num_rows:
                 found = exact_nearest(matrix(batch.column("vec")), batch.column("vec_id").to_numpy(), asked, ids, k)
-                yield pa.RecordBatch.from_pandas(found, preserve_index=False)
+                best = found if best is None else pd.concat((best, found)).sort_values(["query_id", "score", "vec_id"]).groupby("query_id").head(k)
+        if best is not None:
+            yield pa.RecordBatch.from_pandas(best, preserve_index=False)
 
     near = points.mapInArrow(local, _FOUND).withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))).where(F.col("r") <= k)
     pairs = [(r.query_id, r.vec_id) for r in near.select("query_id", "vec_id").collect()]

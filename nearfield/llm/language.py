@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import pieces
+from nearfield.llm.common import modest_batches, pieces
 
 #: Letters fall in this many symbols: 0 is "no letter", 1 to 26 are a to z, the rest share what is left.
 SYMBOLS = 32
@@ -61,7 +61,7 @@ def _sequence_vectors(dimensions: int) -> np.ndarray:
     letters = np.random.default_rng(SEED).choice(np.array([-1, 1], np.int8), (SYMBOLS, dimensions))
     first, second = np.roll(letters, 2, axis=1), np.roll(letters, 1, axis=1)
     bound = first[:, None, None, :] * second[None, :, None, :] * letters[None, None, :, :]
-    return bound.reshape(_CODES, dimensions).astype(np.float32)
+    return bound.reshape(_CODES, dimensions)
 
 
 def sequence_counts(text: str | None) -> np.ndarray | None:
@@ -89,7 +89,7 @@ def text_vectors(texts: list[str | None], dimensions: int) -> tuple[np.ndarray,
         rows = [i for i, _ in counted]
         counts = np.stack([c for _, c in counted])
         used = np.flatnonzero(counts.any(axis=0))
-        block = counts[:, used] @ vectors[used]
+        block = counts[:, used] @ vectors[used].astype(np.float32)
         norms = np.linalg.norm(block, axis=1)
         out[rows] = block / np.where(norms > 0, norms, 1)[:, None]
         known[rows] = True
@@ -101,6 +101,7 @@ def learn(docs: DataFrame, dimensions: int = DIMENSIONS) -> dict[str, np.ndarray
 
     The driver gets one vector a language, whatever the size of ``docs``.
     """
+    modest_batches(docs.sparkSession)
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
