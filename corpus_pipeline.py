@@ -28,8 +28,8 @@ def tell_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def cut_common_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The cut text and its new length; documents that lose all their lines go."""
-    cut = lines.drop_common_lines(docs).where((F.col("n_dropped") == 0) | (F.col("n_dropped") < F.col("n_lines")))
+    """The cut text and its new length; a document that loses all its lines stays, with an empty text."""
+    cut = lines.drop_common_lines(docs)
     sized = cut.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else cut
     return sized.select(docs.columns)
 
