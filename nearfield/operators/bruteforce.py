@@ -18,8 +18,8 @@ from pyspark.sql import types as T
 from nearfield.plans.planner import BLOCK_ROWS, choose_pairing
 from nearfield.sources.points import PointSet
 
-#: Pairs that one numpy block computes at once.
-_CELLS = 1 << 21
+#: Pairs that one numpy block computes at once: a megabyte, which stays in a core's cache.
+_CELLS = 1 << 17
 
 
 def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
@@ -54,7 +54,11 @@ def schema_of(q: PointSet, x: PointSet, *more: T.StructField) -> T.StructType:
 
 def least_k(block: np.ndarray, k: int) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each of k places: column and value of every row's next least cell; ties to the left."""
-    block, rows, out = block.copy(), np.arange(len(block)), []
+    rows, out = np.arange(len(block)), []
+    if k == 1 and block.shape[1]:
+        at = block.argmin(axis=1)
+        return [(at, block[rows, at])]
+    block = block.copy()
     for _ in range(min(k, block.shape[1])):
         at = block.argmin(axis=1)
         out.append((at, block[rows, at].copy()))
