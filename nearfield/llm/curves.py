@@ -136,8 +136,9 @@ def _ranked(points: DataFrame, grid: Grid) -> DataFrame:
         starts.append((r.part, at))
         at += r.n
     offsets = points.sparkSession.createDataFrame(starts or [(0, 0)], "part int, start long")
-    # One row for each partition of the shuffle.
-    return placed.join(F.broadcast(offsets), "part").select("turn", (F.col("start") + F.col("place")).alias("rank"), "vec_id", "vec")
+    # One row for each partition of the shuffle.  Every ordering has all rows, so its ranks start where it does.
+    rank = F.col("start") + F.col("place") - F.col("turn") * F.lit(at // len(grid.turns))
+    return placed.join(F.broadcast(offsets), "part").select("turn", rank.alias("rank"), "vec_id", "vec")
 
 
 def _fitted_window(points: DataFrame, ranked: DataFrame, sample: list, k: int, wanted: float) -> int:
@@ -174,10 +175,11 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
     ranked = keep(_ranked(points, grid))
     window = _fitted_window(points, ranked, list({r.vec_id: r for r in sample[:WINDOW_SAMPLE]}.values()), k, wanted)
 
-    rows = ranked.select((F.col("rank") / block).cast("long").alias("block"), F.lit(False).alias("asks"), "vec_id", "vec")
+    # A block is part of one ordering, so no row is in it twice.
+    rows = ranked.select("turn", F.floor(F.col("rank") / block).alias("block"), "vec_id", "vec")
     asking = ranked.where(F.col("vec_id") % every == 0).groupBy("vec_id", "turn").agg(F.min(F.struct("vec", "rank")).alias("x"))
-    reach = F.sequence((F.greatest(F.col("x.rank") - window, F.lit(0)) / block).cast("long"), ((F.col("x.rank") + window) / block).cast("long"))
-    sent = asking.select(F.explode(reach).alias("block"), "vec_id", F.col("x.vec").alias("vec")).distinct()
+    reach = F.sequence(F.floor(F.greatest(F.col("x.rank") - window, F.lit(0)) / block), F.floor((F.col("x.rank") + window) / block))
+    sent = asking.select("turn", F.explode(reach).alias("block"), "vec_id", F.col("x.vec").alias("vec"))
 
     def meet(own: pa.Table, queries: pa.Table) -> pa.Table:
         if not own.num_rows or not queries.num_rows:
@@ -190,7 +192,7 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
         return pa.Table.from_pandas(pd.concat(parts), schema=schema, preserve_index=False)
 
     schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
-    found = rows.groupBy("block").cogroup(sent.groupBy("block")).applyInArrow(meet, _FOUND)
+    found = rows.groupBy("turn", "block").cogroup(sent.groupBy("turn", "block")).applyInArrow(meet, _FOUND)
     once = found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
     return once.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
