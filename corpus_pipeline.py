@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nearfield.llm import language, lines, mixing, neardup, packing
-from nearfield.llm.common import keep, table
+from nearfield.llm.common import discard, keep, table, temporaries
 
 #: Iteration, hashing and training are beyond SQL; the tests hold the stages against brute force.
 ORACLE_SQL = None
@@ -57,7 +57,13 @@ STAGES = [
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The last stage's rows; every stage before it is written and read again."""
-    docs = table(spark, sf_dir, "documents")
+    docs, previous = table(spark, sf_dir, "documents"), None
     for _, stage in STAGES[:-1]:
-        docs = keep(stage(spark, docs, sf_dir))
+        # What a stage wrote on its way goes when its result is written, and so does its input.
+        with temporaries() as spared:
+            docs = keep(stage(spark, docs, sf_dir))
+            spared.append(docs)
+        if previous is not None:
+            discard(previous)
+        previous = docs
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -72,9 +73,36 @@ def keep(df: DataFrame, rows: int | None = None) -> DataFrame:
         spark.conf.set(clean, before or "false")
     kept = spark.read.schema(df.schema).parquet(path)
     kept._kept_at = path
+    if _open:
+        _open[-1].append(kept)
     return kept
 
 
+#: Tables that were written within each of the temporaries() that are open, innermost last.
+_open: list[list[DataFrame]] = []
+
+
+@contextmanager
+def temporaries() -> Iterator[list[DataFrame]]:
+    """On leaving, what ``keep`` wrote inside goes, but for the tables in the list that is given.
+
+    The result of an operator reads some of its tables after it returns: those
+    belong in the list.
+    """
+    spared: list[DataFrame] = []
+    _open.append([])
+    try:
+        yield spared
+    finally:
+        written = _open.pop()
+        paths = {x._kept_at for x in spared}
+        for kept in written:
+            if kept._kept_at not in paths:
+                discard(kept)
+            elif _open:
+                _open[-1].append(kept)
+
+
 def discard(kept: DataFrame) -> None:
     """Delete what ``keep`` wrote; nothing may read it any more."""
     spark = kept.sparkSession

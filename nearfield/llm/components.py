@@ -45,5 +45,7 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         edges = keep(_large_star(edges, rows).where("u <> v").distinct(), rows)
         edges = keep(_small_star(edges, rows).distinct(), rows)
         if _is_stars(edges):
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+            found = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+            found._kept_at = edges._kept_at
+            return found
     raise RuntimeError(f"components: no fixed point after {max_rounds} rounds")

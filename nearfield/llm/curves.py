@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nearfield.llm.common import keep
+from nearfield.llm.common import discard, keep, temporaries
 from nearfield.llm.vectors import matrix, usable
 
 ORDERINGS, DIRECTIONS, BITS = 4, 8, 7
@@ -172,8 +172,11 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
     if not sample:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     grid = Grid(np.array([r.vec for r in sample]))
-    ranked = keep(_ranked(points, grid))
+    with temporaries() as spared:
+        ranked = keep(_ranked(points, grid))
+        spared.append(ranked)
     window = _fitted_window(points, ranked, list({r.vec_id: r for r in sample[:WINDOW_SAMPLE]}.values()), k, wanted)
+    discard(points)
 
     # A block is part of one ordering, so no row is in it twice.
     rows = ranked.select("turn", F.floor(F.col("rank") / block).alias("block"), "vec_id", "vec")

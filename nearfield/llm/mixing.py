@@ -38,7 +38,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from nearfield.llm.common import keep
+from nearfield.llm.common import keep, temporaries
 
 #: Word buckets of the classifier, those used for each domain, and the most labelled documents it learns from.
 BUCKETS, USED, LABELLED = 4096, 256, 10_000
@@ -213,7 +213,9 @@ def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None =
     targets = targets or TARGETS
     domains = sorted(targets)
     slim = docs.select("doc_id", "text")
-    members = keep(memberships(slim, learn(slim, labelled), domains))
+    with temporaries() as spared:
+        members = keep(memberships(slim, learn(slim, labelled), domains))
+        spared.append(members)
     rate, _ = rates(members, [targets[d] for d in domains], max_rate)
     return members.select("doc_id", F.col("n_words").cast("long").alias("n_words"), *[F.col(f"p{k}").alias(f"p_{d}") for k, d in enumerate(domains)], F.round(rate, 6).alias("rate"))
 

@@ -41,7 +41,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import folded_words_of, keep, pieces
+from nearfield.llm.common import folded_words_of, keep, pieces, temporaries
 from nearfield.llm.components import components
 from nearfield.llm.shingles import shingle_set
 
@@ -197,6 +197,11 @@ def _open_pairs(placed: DataFrame, turn: int, percent: int) -> DataFrame:
 
 def group(docs: DataFrame, size: int = 3, percent: int = 85) -> DataFrame:
     """``doc_id, n_shingles, component_id, kept`` for each row of ``docs``."""
+    with temporaries() as spared:
+        return _grouped(docs, size, percent, spared)
+
+
+def _grouped(docs: DataFrame, size: int, percent: int, spared: list[DataFrame]) -> DataFrame:
     bands, rows = banding(percent)
     places, width = bands * rows, 4 * rows
     sets = keep(_sets(docs, size, places))
@@ -240,6 +245,7 @@ def group(docs: DataFrame, size: int = 3, percent: int = 85) -> DataFrame:
 
     found = sets.join(of, "node", "left").withColumn("component", F.coalesce("component", "node"))
     least_id = keep(found.where(F.col("doc_id").isNotNull() & F.col("node").isNotNull()).groupBy("component").agg(F.min("doc_id").alias("least_id")))
+    spared += [sets, of, least_id]
     met = found.join(least_id, "component", "left")
     id_ = F.when(F.col("node").isNull() | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("least_id"))
     return met.select("doc_id", "n_shingles", id_.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
@@ -250,8 +256,10 @@ def keep_one(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
 
     Of rows that repeat a kept doc_id all stay: they are one document.
     """
-    gone = group(docs, size, percent).where(~F.col("kept")).select("doc_id").distinct()
-    return docs.join(keep(gone), "doc_id", "left_anti").select(docs.columns)
+    with temporaries() as spared:
+        gone = keep(group(docs, size, percent).where(~F.col("kept")).select("doc_id").distinct())
+        spared.append(gone)
+    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
 
 
 #: The same rows in DuckDB SQL: all pairs with a common shingle, then reachability.

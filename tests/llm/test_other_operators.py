@@ -89,9 +89,9 @@ def test_hilbert_neighbours_are_one_step_apart():
     assert (np.abs(np.diff(walk, axis=0)).sum(axis=1) == 1).all()
 
 
-def recall_of(spark, points, k=10, every=20):
+def recall_of(spark, points, k=10, every=20, block=256):
     got = {}
-    for r in curves.nearest(vectors(spark, [*points.items(), *odd_rows(), (10_100, [0] * len(points[0]))]), every=every, k=k, block=256).collect():
+    for r in curves.nearest(vectors(spark, [*points.items(), *odd_rows(), (10_100, [0] * len(points[0]))]), every=every, k=k, block=block).collect():
         got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
     x = {i: np.array(v, np.float32).astype(np.float64) for i, v in points.items()}
     hits = total = 0
@@ -112,6 +112,8 @@ def test_nearest_recall_on_clusters_and_on_noise(spark):
     noise = {i: rng.normal(0, 1, 16).tolist() for i in range(4000)}
     assert recall_of(spark, clustered) >= 0.9
     assert recall_of(spark, noise) >= 0.9
+    few = {i: noise[i] for i in range(600)}
+    assert recall_of(spark, few, block=4096) == 1
 
 
 def test_nearest_on_nothing(spark):
