@@ -37,7 +37,7 @@ UNDETERMINED = "und"
 
 _CODES = SYMBOLS**3
 #: Texts that a task turns into vectors at once.
-_BLOCK = 64
+_BLOCK = 32
 
 
 @lru_cache(maxsize=1)

@@ -6,7 +6,7 @@ import numpy as np
 import xxhash
 
 #: A worker forgets its words when it knows this many.
-_KNOWN = 1 << 18
+_KNOWN = 1 << 16
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
