@@ -60,20 +60,24 @@ def _built(make, x: PointSet) -> cv.Cover:
     return cv.Cover(pivots, lists, x, c.layout)
 
 
-def speedup(spark: SparkSession, sf_dir: str, name: str, alpha: float = 4.0, every: int = 100, runs: int = 1) -> dict:
-    """Exact and one-shot search against brute force on one set: seconds, work and mean rank."""
+def speedup(spark: SparkSession, sf_dir: str, name: str, alpha: float = 4.0, oneshot_alpha: float = 1.0, every: int = 100, runs: int = 1) -> dict:
+    """Exact and one-shot search against brute force on one set: seconds, work and mean rank.
+
+    The one-shot cover has n_r = s = oneshot_alpha * sqrt(n), so its lists hold
+    oneshot_alpha^2 * n entries.
+    """
     q, x = split(spark, sf_dir, name, every)
     n, m = x.df.count(), q.df.count()
-    n_r = n_pivots(n, alpha)
+    n_r, n_o = n_pivots(n, alpha), n_pivots(n, oneshot_alpha)
     brute = timed(lambda: bf.nearest(q, x, rows_q=m, rows_x=n), runs)
-    e, o = _built(lambda: cv.build_exact(x, n_r, SEED, n), x), _built(lambda: cv.build_oneshot(x, n_r, n_r, SEED, n), x)
+    e, o = _built(lambda: cv.build_exact(x, n_r, SEED, n), x), _built(lambda: cv.build_oneshot(x, n_o, n_o, SEED, n), x)
     t_exact, t_oneshot = timed(lambda: exact.search(q, e), runs), timed(lambda: oneshot.search(q, o), runs)
     work = evaluate.work_summary(evaluate.work(q, e, ring=True, seeds=False), n).first()
     rank = evaluate.rank_summary(evaluate.rank_errors(oneshot.search(q, o), q, x)).first()
     return {
-        "set": name, "n": n, "queries": m, "n_r": n_r, "brute_s": brute, "exact_s": t_exact, "oneshot_s": t_oneshot,
+        "set": name, "n": n, "queries": m, "n_r": n_r, "oneshot_n_r": n_o, "brute_s": brute, "exact_s": t_exact, "oneshot_s": t_oneshot,
         "exact_speedup": brute / t_exact, "oneshot_speedup": brute / t_oneshot, "exact_work_speedup": work.work_speedup,
-        "oneshot_work_speedup": n / (2 * n_r), "oneshot_mean_rank": rank.mean_rank, "oneshot_exact_share": rank.exact_share,
+        "oneshot_work_speedup": n / (2 * n_o), "oneshot_mean_rank": rank.mean_rank, "oneshot_exact_share": rank.exact_share,
     }
 
 
