@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.llm.common import FOLD_BYTES, SPACE, keep, pieces, temporaries
+from nearfield.llm.common import FOLD_BYTES, SPACE, keep, pieces
 
 
 def _line_hash(line: str) -> bytes:
@@ -74,13 +74,10 @@ def drop_common_lines(docs: DataFrame, min_docs: int = 10, min_chars: int = 1) -
     at least ``min_chars`` code points found in at least ``min_docs`` documents
     lose all their lines.
     """
-    with temporaries() as spared:
-        pairs = keep(_line_hashes(docs.select("doc_id", "text"), max(1, min_chars)))
-        counted = pairs.distinct().groupBy("line_hash").agg(F.count(F.lit(1)).alias("n_docs"))
-        common = keep(counted.where(F.col("n_docs") >= min_docs).select("line_hash"))
-        hit = pairs.join(common, "line_hash", "left_semi").groupBy(F.col("doc_id").alias("_hit_id"))
-        gone = keep(hit.agg(F.collect_set("line_hash").alias("gone")))
-        spared.append(gone)
+    pairs = keep(_line_hashes(docs.select("doc_id", "text"), max(1, min_chars)))
+    counted = pairs.distinct().groupBy("line_hash").agg(F.count(F.lit(1)).alias("n_docs"))
+    common = keep(counted.where(F.col("n_docs") >= min_docs).select("line_hash"))
+    gone = pairs.join(common, "line_hash", "left_semi").groupBy(F.col("doc_id").alias("_hit_id")).agg(F.collect_set("line_hash").alias("gone"))
     met = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("_hit_id")), "left").withColumn(
         "_cut", _without(F.when(F.col("gone").isNotNull(), F.col("text")), F.col("gone"))
     )
