@@ -13,6 +13,10 @@ distance that catches the wanted share of them in their best ordering.  On
 clustered data it stays narrow; on data without structure, where no ordering can
 help, it widens until the recall holds.
 
+Copies of one vector tie for every query, so only the k + 1 of least id are
+candidates, and any other copy asks from the place of the first: no window has to
+span a run of copies, and ties by id hold however many there are.
+
 Rows are cut into blocks of ranks; a query goes to the blocks its window meets,
 so a task holds one block and the queries of that block, whatever the table's
 size.
@@ -43,6 +47,8 @@ GRID_SAMPLE, WINDOW_SAMPLE = 2048, 128
 #: The share of true neighbours that the window must catch, and the least window.
 WANTED, LEAST_WINDOW = 0.97, 512
 BLOCK = 4096
+#: Pairs that are measured at once.
+MEASURED = 1 << 15
 
 
 def hilbert_keys(cells: np.ndarray, bits: int = BITS) -> np.ndarray:
@@ -101,17 +107,35 @@ class Grid:
 
 
 def exact_nearest(points: np.ndarray, ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray, k: int) -> pd.DataFrame:
-    """Each query's k nearest of these points: a shortlist by products, then true distances."""
-    short = min(len(points), k + 32)
-    squared = (points**2).sum(axis=1)[None, :] - 2 * queries @ points.T
-    squared[query_ids[:, None] == ids[None, :]] = np.inf
-    near = np.argpartition(squared, short - 1, axis=1)[:, :short]
-    true = np.sqrt(((points[near] - queries[:, None, :]) ** 2).sum(axis=2))
-    true[query_ids[:, None] == ids[near]] = np.inf
-    order = np.lexsort((ids[near], true), axis=1)[:, :k]
-    taken = np.take_along_axis(near, order, axis=1)
-    out = pd.DataFrame({"query_id": np.repeat(query_ids, taken.shape[1]), "vec_id": ids[taken].ravel(), "score": np.take_along_axis(true, order, axis=1).ravel()})
-    return out[np.isfinite(out["score"])]
+    """Each query's k nearest ids of these points: by true distance, then the smaller id.
+
+    Products give the squared distances up to rounding.  Every row that rounding
+    could place among the k nearest, however many tie there, is measured anew.
+    """
+    by_id = np.argsort(ids, kind="stable")
+    points, ids = points[by_id], ids[by_id]
+    own = query_ids[:, None] == ids[None, :]
+    norms = (points**2).sum(axis=1)
+    squared = norms[None, :] - 2 * queries @ points.T
+    squared[own] = np.inf
+    # An id that repeats is one candidate.
+    starts = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
+    each = squared if len(starts) == len(ids) else np.minimum.reduceat(squared, starts, axis=1)
+    last = min(k, each.shape[1]) - 1
+    slack = 8 * (points.shape[1] + 8) * np.finfo(float).eps * (norms.max() + (queries**2).sum(axis=1))
+    limit = np.partition(each, last, axis=1)[:, last] + slack
+    # Written so that what overflowed is measured too.
+    asked, near = np.nonzero(~own & ~(squared > limit[:, None]))
+    true = np.empty(len(near))
+    for at in range(0, len(near), MEASURED):
+        part = slice(at, at + MEASURED)
+        true[part] = np.sqrt(((points[near[part]] - queries[asked[part]]) ** 2).sum(axis=1))
+    order = np.lexsort((ids[near], true, asked))
+    out = pd.DataFrame({"query_id": query_ids[asked], "vec_id": ids[near], "score": true}).iloc[order]
+    out = out[np.isfinite(out["score"])]
+    if len(starts) < len(ids):
+        out = out.drop_duplicates(["query_id", "vec_id"])
+    return out.groupby("query_id", sort=False).head(k)
 
 
 _FOUND = "query_id long, vec_id long, score double"
@@ -126,7 +150,7 @@ def _ranked(points: DataFrame, grid: Grid) -> DataFrame:
                 for turn, keys in enumerate(grid.keys(matrix(batch.column("vec")))):
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), turn, np.int32)), pa.array(keys), batch.column("vec_id"), batch.column("vec")], ["turn", "key", "vec_id", "vec"])
 
-    rows = points.mapInArrow(keyed, "turn int, key long, vec_id long, vec array<double>")
+    rows = points.select("vec_id", "vec").mapInArrow(keyed, "turn int, key long, vec_id long, vec array<double>")
     ordered = rows.repartitionByRange("turn", "key", "vec_id").sortWithinPartitions("turn", "key", "vec_id")
     # Partition and place in it are written with the rows: they must not be drawn again.
     placed = keep(ordered.select("turn", "vec_id", "vec", F.spark_partition_id().alias("part"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("place")))
@@ -149,11 +173,12 @@ def _fitted_window(points: DataFrame, ranked: DataFrame, sample: list, k: int, w
         for batch in batches:
             if batch.num_rows:
                 found = exact_nearest(matrix(batch.column("vec")), batch.column("vec_id").to_numpy(), asked, ids, k)
-                best = found if best is None else pd.concat((best, found)).sort_values(["query_id", "score", "vec_id"]).groupby("query_id").head(k)
+                best = found if best is None else pd.concat((best, found)).sort_values(["query_id", "score", "vec_id"]).drop_duplicates(["query_id", "vec_id"]).groupby("query_id").head(k)
         if best is not None:
             yield pa.RecordBatch.from_pandas(best, preserve_index=False)
 
-    near = points.mapInArrow(local, _FOUND).withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))).where(F.col("r") <= k)
+    found = points.select("vec_id", "vec").mapInArrow(local, _FOUND).groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
+    near = found.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))).where(F.col("r") <= k)
     pairs = [(r.query_id, r.vec_id) for r in near.select("query_id", "vec_id").collect()]
     if not pairs:
         return LEAST_WINDOW
@@ -167,7 +192,10 @@ def _fitted_window(points: DataFrame, ranked: DataFrame, sample: list, k: int, w
 def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED, block: int = BLOCK) -> DataFrame:
     """``query_id, rank, vec_id, score``: the k nearest rows found for each query, by true distance."""
     spark = df.sparkSession
-    points = keep(usable(df, nonzero=True).select(F.col("vec_id").cast("long").alias("vec_id"), "vec"))
+    given = usable(df, nonzero=True).select(F.col("vec_id").cast("long").alias("vec_id"), "vec", F.xxhash64("vec").alias("same"))
+    # Copies are equally far from any query, so those of the k + 1 least ids (one may ask) are all that can be an answer.
+    copies = Window.partitionBy("same", "vec").orderBy("vec_id")
+    points = keep(given.withColumn("copy", F.dense_rank().over(copies)).where(F.col("copy") <= k + 1))
     sample = points.orderBy(F.xxhash64("vec_id"), "vec_id").limit(GRID_SAMPLE).collect()
     if not sample:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
@@ -176,13 +204,18 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
         ranked = keep(_ranked(points, grid))
         spared.append(ranked)
     window = _fitted_window(points, ranked, list({r.vec_id: r for r in sample[:WINDOW_SAMPLE]}.values()), k, wanted)
+    # Every query asks, also one that is no candidate: at the place of the first copy of its vector.
+    queries = given.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min(F.struct("vec", "same")).alias("x")).select("vec_id", "x.*")
+    first = points.where(F.col("copy") == 1).select("same", "vec", F.col("vec_id").alias("first"))
+    queries = keep(queries.join(first, ["same", "vec"]))
     discard(points)
 
     # A block is part of one ordering, so no row is in it twice.
     rows = ranked.select("turn", F.floor(F.col("rank") / block).alias("block"), "vec_id", "vec")
-    asking = ranked.where(F.col("vec_id") % every == 0).groupBy("vec_id", "turn").agg(F.min(F.struct("vec", "rank")).alias("x"))
+    places = ranked.select("turn", "rank", F.col("vec_id").alias("first"), F.xxhash64("vec").alias("same"))
+    asking = queries.join(places, ["first", "same"]).groupBy("vec_id", "turn").agg(F.min(F.struct("rank", "vec")).alias("x"))
     reach = F.sequence(F.floor(F.greatest(F.col("x.rank") - window, F.lit(0)) / block), F.floor((F.col("x.rank") + window) / block))
-    sent = asking.select("turn", F.explode(reach).alias("block"), "vec_id", F.col("x.vec").alias("vec"))
+    sent = asking.select(F.col("turn").alias("turn"), F.explode(reach).alias("block"), "vec_id", F.col("x.vec").alias("vec"))
 
     def meet(own: pa.Table, queries: pa.Table) -> pa.Table:
         if not own.num_rows or not queries.num_rows:

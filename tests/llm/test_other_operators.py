@@ -116,6 +116,26 @@ def test_nearest_recall_on_clusters_and_on_noise(spark):
     assert recall_of(spark, few, block=4096) == 1
 
 
+def test_nearest_block_keeps_ties_by_id_among_copies():
+    rng = np.random.default_rng(7)
+    for copies in (60, 100, 1365):
+        points = rng.normal(0, 1, (4096, 16))
+        points[:copies] = points[0]
+        ids = rng.permutation(4096)
+        asked = np.arange(0, copies, 7)
+        got = curves.exact_nearest(points, ids, points[asked], ids[asked], 10)
+        for q in ids[asked]:
+            assert got[got.query_id == q].vec_id.tolist() == [i for i in sorted(ids[:copies]) if i != q][:10]
+    got = curves.exact_nearest(np.array([[0.0], [0.0], [1.0], [2.0], [3.0]]), np.array([5, 5, 5, 6, 7]), np.array([[0.1]]), np.array([9]), 2)
+    assert got.vec_id.tolist() == [5, 6]
+
+
+def test_nearest_recall_with_more_copies_than_a_window(spark):
+    rng = np.random.default_rng(8)
+    points = {int(i): [1.0, 2.0, 3.0, 4.0] if n < 2000 else rng.normal(0, 1, 4).tolist() for n, i in enumerate(rng.permutation(3000))}
+    assert recall_of(spark, points) >= 0.99
+
+
 def test_nearest_on_nothing(spark):
     assert curves.nearest(vectors(spark, [])).count() == 0
     assert curves.nearest(vectors(spark, odd_rows())).count() == 0
