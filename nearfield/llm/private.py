@@ -1,14 +1,21 @@
 """Personal data: generated candidate spans, boosted trees, calibrated thresholds.
 
 Generators with high recall propose spans that may overlap: every match of the
-strict formats, whether or not it passes its check, and of three loose ones.
+strict formats, whether or not it passes its check, and of four loose ones.
 Each candidate is described by format features (kind, digits, separators, check
 digit, ...) and context features (what stands before and after, a cue word).
 All features have few values, so the whole corpus sums up to a table whose size
 depends on the features alone; gradient-boosted trees are fitted to that table
 on the driver and go back to Spark as one column expression.  A threshold for
 each kind is calibrated on the fold of documents that the trees haven't seen:
-the lowest score from which on the wanted share of candidates is right.
+the lowest score from which on the wanted share of candidates is right, among
+all of the kind and among those that can be added.
+
+A loose candidate is right if it is the place of a strict span that passed, or if
+its match, brought to the usual form ((at) and (dot) undone, 00 for +, separators
+dropped), passes a check of its own: a host with a top domain of letters, a
+telephone's length and grouping, a card's length and check digit.  The trees see
+format and context, not that check.
 
 Strict spans that pass their check always stay; the model adds spans beside
 them.  Everything on the executors is built-in functions.
@@ -44,11 +51,13 @@ STRICT = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 #: Loose formats: the kind that each may be, and its pattern.
-LOOSE = {
-    "email": r"(?i)(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z0-9-]{1,63}+){1,8}+",
-    "phone": r"(?<![0-9A-Za-z+])(?:00|\()?[0-9](?:[\x20()./-]{0,2}[0-9]){8,18}+",
-    "card": r"(?<![0-9A-Za-z])[0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{1,7}",
-}
+LOOSE = (
+    # The first ends where a sentence does.
+    ("email", r"(?i)(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:(?:\.|\x20\.\x20|\x20?(?:\(dot\)|\[dot\])\x20?)[A-Za-z0-9-]{1,63}+){1,8}+"),
+    ("email", r"(?i)(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z0-9-]{1,63}+){1,8}+"),
+    ("phone", r"(?<![0-9A-Za-z+])(?:00|\()?[0-9](?:[\x20()./-]{0,2}[0-9]){8,18}+"),
+    ("card", r"(?<![0-9A-Za-z])[0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{1,7}"),
+)
 #: A text without this holds no match of the kind.
 NEEDS = {"email": "[@(\\[]", "ip": "[0-9]", "card": "[0-9]", "phone": "[0-9]"}
 #: Words before a span that speak for it.
@@ -57,7 +66,7 @@ CUES = r"(?i)(?:mail|contact|write|tel|phone|call|fax|mobil|card|visa|account|pa
 _PART = r"0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])"
 _DIGITS = r"[^0-9]"
 
-FEATURES = ("kind", "strict", "digits", "joined", "plus", "luhn", "parts", "dotted", "cue", "before", "after", "size")
+FEATURES = ("kind", "strict", "digits", "joined", "plus", "luhn", "parts", "dotted", "cue", "before", "after", "size", "spaced")
 
 
 def _right(kind: Column, match: Column) -> Column:
@@ -71,11 +80,27 @@ def _right(kind: Column, match: Column) -> Column:
     )
 
 
+def _fits(kind: str, match: Column, after: Column) -> Column:
+    """Whether a loose match, brought to the usual form, passes the check of its kind."""
+    if kind == "email":
+        joined = F.regexp_replace(F.regexp_replace(match, r"(?i)\x20?(?:@|\(at\)|\[at\])\x20?", "@"), r"(?i)\x20?(?:\(dot\)|\[dot\])\x20?|\x20\.\x20", ".")
+        good = joined.rlike(r"^[A-Za-z0-9_%+-]+(?:\.[A-Za-z0-9_%+-]+)*@(?:[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?\.)+[A-Za-z]{2,24}$")
+    elif kind == "card":
+        good = _right(F.lit("card"), match)
+    else:
+        number = F.regexp_replace(F.regexp_replace(match, "^00", ""), _DIGITS, "")
+        grouped = r"^00\x20?[1-9]|^\(?0[1-9][0-9]*\)?[\x20./-]|\([0-9]{2,5}\)|^(?:1[\x20.-])?[0-9]{3}[\x20.-][0-9]{3}[\x20.-][0-9]{4}$"
+        other = r"^[0-9]{4}([./-])[0-9]{1,2}\1[0-9]{1,2}(?![0-9])|^[0-9]{1,2}([./-])[0-9]{1,2}\2[0-9]{4}(?![0-9])|^[0-9]{1,3}(?:\.[0-9]{1,3}){3}$"
+        even = F.regexp_count(match, F.lit(r"\(")) == F.regexp_count(match, F.lit(r"\)"))
+        good = F.length(number).between(9, 15) & match.rlike(grouped) & ~match.rlike(other) & even
+    return good & ~F.coalesce(after, F.lit("")).rlike("^[A-Za-z0-9]")
+
+
 def _matches(text: Column, kind: str, pattern: str, strict: bool) -> Column:
     """All matches of a pattern in a text, with their places and surroundings."""
     gaps, hits = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     zipped = F.arrays_zip(gaps.alias("gap"), hits.alias("hit"), F.slice(gaps, F.lit(2), F.greatest(F.size(gaps), F.lit(1))).alias("next"))
-    empty = F.from_json(F.lit('{"at": 0, "out": []}'), "at bigint, out array<struct<kind:string,strict:boolean,right:boolean,start:bigint,end:bigint,hit:string,before:string,after:string>>")
+    empty = F.from_json(F.lit('{"at": 0, "out": []}'), "at bigint, out array<struct<kind:string,strict:boolean,right:boolean,fits:boolean,start:bigint,end:bigint,hit:string,before:string,after:string>>")
 
     def step(acc: Column, x: Column) -> Column:
         start = acc["at"] + F.length(x["gap"])
@@ -84,6 +109,7 @@ def _matches(text: Column, kind: str, pattern: str, strict: bool) -> Column:
             F.lit(kind).alias("kind"),
             F.lit(strict).alias("strict"),
             (_right(F.lit(kind), x["hit"]) if strict else F.lit(False)).alias("right"),
+            (F.lit(False) if strict else _fits(kind, x["hit"], x["next"])).alias("fits"),
             start.alias("start"),
             end.alias("end"),
             x["hit"].alias("hit"),
@@ -100,7 +126,7 @@ def _matches(text: Column, kind: str, pattern: str, strict: bool) -> Column:
 def scan(docs: DataFrame) -> DataFrame:
     """``docs`` with ``found``: the candidates of all generators in each whole text."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    every = [_matches(text, k, p, True) for k, p in STRICT.items()] + [_matches(text, k, p, False) for k, p in LOOSE.items()]
+    every = [_matches(text, k, p, True) for k, p in STRICT.items()] + [_matches(text, k, p, False) for k, p in LOOSE]
     return docs.withColumn("found", F.concat(*every))
 
 
@@ -120,7 +146,7 @@ def features(x: Column) -> list[Column]:
         x["strict"].cast("int"),
         F.when(n < 4, 0).when(n < 9, 1).when(n < 11, 2).when(n < 13, 3).when(n < 16, 4).when(n == 16, 5).when(n < 20, 6).otherwise(7),
         F.when(hit.rlike("[()\\[\\]]"), 3).when(hit.rlike("[ /_]"), 2).when(hit.rlike("-"), 1).otherwise(0),
-        F.when(hit.startswith("+"), 2).when(hit.startswith("00"), 1).otherwise(0),
+        F.when(hit.startswith("+"), 2).when(hit.startswith("00"), 1).when(hit.rlike(r"^\(?0"), 3).otherwise(0),
         F.when(n.between(13, 19), F.call_function("luhn_check", F.when(n.between(13, 19), digits).otherwise("1")).cast("int")).otherwise(0),
         hit.rlike(rf"^{_PART}(?:\.{_PART}){{3}}$").cast("int"),
         F.least(F.regexp_count(hit, F.lit(r"\.")), F.lit(4)),
@@ -128,6 +154,7 @@ def features(x: Column) -> list[Column]:
         _class_of(F.right(x["before"], F.lit(1))),
         _class_of(F.left(x["after"], F.lit(1))),
         F.least(F.floor(F.log2(F.greatest(F.length(hit), F.lit(1)))), F.lit(8)).cast("int"),
+        hit.rlike(r"\x20[.@]|[.@]\x20").cast("int"),
     ]
 
 
@@ -184,24 +211,33 @@ def fit(scanned: DataFrame, precision: float = 0.99, least: int = 20) -> Trees:
     """Trees and thresholds from all candidates of all documents.
 
     A candidate is right if it covers exactly a strict span of its kind that
-    passed the check.  Documents are dealt to two folds by their hash: one fits
-    the trees, the other sets each kind's threshold, which needs ``least`` right
-    candidates.  The collected table is bounded by the values of the features.
+    passed the check, or if it is loose and fits.  Documents are dealt to two
+    folds by their hash: one fits the trees, the other sets each kind's
+    threshold, which needs ``least`` right candidates; the wanted precision holds
+    for all candidates of the kind and for the fresh ones, which meet no strict
+    span that passed.  The collected table is bounded by the values of the features.
     """
-    passed = F.transform(F.filter("found", lambda x: x["right"]), lambda x: F.concat_ws(":", x["kind"], x["start"], x["end"]))
-    x = F.col("x")
+    base = F.filter("found", lambda x: x["right"])
+
+    def labelled(x: Column) -> Column:
+        place = F.exists("base", lambda y: (x["kind"] == y["kind"]) & (x["start"] == y["start"]) & (x["end"] == y["end"]))
+        fresh = ~F.exists("base", lambda y: (x["start"] < y["end"]) & (y["start"] < x["end"]))
+        return F.struct(x.alias("x"), (x["fits"] | place).cast("long").alias("y"), fresh.cast("int").alias("fresh"))
+
+    x = F.col("c.x")
     table = (
-        scanned.select(F.pmod(F.xxhash64("doc_id"), F.lit(2)).alias("fold"), passed.alias("passed"), F.explode("found").alias("x"))
-        .select("fold", F.array_contains("passed", F.concat_ws(":", x["kind"], x["start"], x["end"])).cast("long").alias("y"), *[c.alias(n) for n, c in zip(FEATURES, features(x), strict=True)])
-        .groupBy("fold", *FEATURES)
+        scanned.select("doc_id", "found", base.alias("base"))
+        .select(F.pmod(F.xxhash64("doc_id"), F.lit(2)).alias("fold"), F.explode(F.transform("found", labelled)).alias("c"))
+        .select("fold", "c.fresh", "c.y", *[c.alias(n) for n, c in zip(FEATURES, features(x), strict=True)])
+        .groupBy("fold", "fresh", *FEATURES)
         .agg(F.sum("y").alias("right"), F.sum(1 - F.col("y")).alias("wrong"))
-        .orderBy("fold", *FEATURES)
+        .orderBy("fold", "fresh", *FEATURES)
         .collect()
     )
     if not table:
         return Trees()
     rows = np.array([[r[f] or 0 for f in FEATURES] for r in table])
-    right, wrong, fold = (np.array([r[c] for r in table], float) for c in ("right", "wrong", "fold"))
+    right, wrong, fold, fresh = (np.array([r[c] for r in table], float) for c in ("right", "wrong", "fold", "fresh"))
     if not right.sum() or not wrong.sum():
         return Trees()
     one = fold == 0
@@ -210,10 +246,15 @@ def fit(scanned: DataFrame, precision: float = 0.99, least: int = 20) -> Trees:
     for k, kind in enumerate(KINDS):
         own = (rows[:, 0] == k) & ~one
         order = np.argsort(-scores[own], kind="stable")
+        ordered = scores[own][order]
         hits, all_ = np.cumsum(right[own][order]), np.cumsum((right + wrong)[own][order])
-        good = np.flatnonzero((hits >= precision * all_) & (hits >= least))
+        new = fresh[own][order]
+        new_hits, new_all = np.cumsum(right[own][order] * new), np.cumsum((right + wrong)[own][order] * new)
+        # A threshold takes all candidates of its score.
+        last = np.diff(ordered, append=-np.inf) < 0
+        good = np.flatnonzero(last & (hits >= precision * all_) & (new_hits >= precision * new_all) & (hits >= least))
         if len(good):
-            model.thresholds[kind] = float(scores[own][order][good[-1]]) - 1e-9
+            model.thresholds[kind] = float(ordered[good[-1]]) - 1e-9
     return model
 
 

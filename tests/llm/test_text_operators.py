@@ -207,6 +207,42 @@ def test_model_adds_beside_the_base_and_redaction_covers_it(spark, documents):
     assert out == {1: "write to <email> now, or <phone>", 2: "plain words only"}
 
 
+def card_number(rng, right):
+    while True:
+        digits = "4" + "".join(rng.choice("0123456789") for _ in range(15))
+        if luhn(digits) == right:
+            return digits
+
+
+def test_planted_variants_are_added_and_lookalikes_are_not(spark, documents):
+    rng = random.Random(11)
+    rows, spots = [], {}
+    for i in range(900):
+        # Digits that pass the check digit are a card by the strict rule.
+        n = next(n for n in iter(lambda: "".join(rng.choice("123456789") for _ in range(7)), None) if not luhn("004930" + n))
+        c, d = card_number(rng, True), card_number(rng, False)
+        kind, mark = [
+            ("email", f"ann{n} (at) host{i % 9} (dot) com"),
+            ("phone", f"0049 30 {n}"),
+            ("phone", f"1 ({n[:3]}) 555-{n[3:]}"),
+            ("card", ".".join(c[j : j + 4] for j in (0, 4, 8, 12))),
+            ("strict", f"bob{n}@host.com or +49 30 {n} or {c}"),
+            ("decoy", ".".join(d[j : j + 4] for j in (0, 4, 8, 12))),
+            ("decoy", f"2024-01-{i % 20 + 10} 12{n[:4]}"),
+            ("decoy", f"me (at) noon. Then{n}"),
+            ("decoy", n + "12345"),
+        ][i % 9]
+        head = prose(rng, 6) + " see "
+        rows.append((i, head + mark + ". " + prose(rng, 5)))
+        spots[i] = (kind, f"{kind}:{len(head)}:{len(head) + len(mark)}")
+    got = {r.doc_id: r.spans for r in private.digest(private.find(documents(rows))).collect()}
+    for kind in ("email", "phone", "card"):
+        own = [spots[i][1] in got[i].split(",") for i in got if spots[i][0] == kind]
+        assert sum(own) >= 0.95 * len(own), kind
+    added = [set(got[i].split(",")) - {"", *base_spans(text)} for i, text in rows if spots[i][0] == "decoy"]
+    assert sum(map(bool, added)) <= 4
+
+
 def test_trees_separate_a_table():
     rng = np.random.default_rng(1)
     rows = rng.integers(0, 4, (60, 5))
