@@ -1,8 +1,9 @@
 """Main text of web pages by removal of each site's template.
 
 Every element's subtree is hashed from its source; Spark counts, host by host,
-on how many pages each hash occurs; subtrees that recur on many pages of their
-host are the site's template and go.  What the markup itself names as not the
+with how many different remainders of a page each hash occurs; subtrees that
+recur with many are the site's template and go, however large the host is.
+Copies of a page have one remainder, so what they share is no template.  What the markup itself names as not the
 article (menus, headers, footers, sidebars, notices, adverts, forms, scripts,
 styles, comments) goes on every page, also on hosts with few pages.
 
@@ -35,8 +36,8 @@ from pyspark.sql import types as T
 
 from nearfield.llm.common import discard, keep, pieces
 
-#: A subtree is template if it is on this many pages of its host, and on this share of them.
-MIN_PAGES, MIN_SHARE = 8, 0.1
+#: A subtree is template if it is on pages of its host with this many different remainders.
+MIN_PAGES = 8
 
 #: Elements by their part in HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -129,6 +130,18 @@ class Page:
         whole = self.html
         return [0 if t in ("#", "html", "body", "head") else xxhash.xxh3_64_intdigest(whole[a:b].encode("utf-8", "surrogatepass")) - 2**63 for t, (a, b) in zip(self.tags, self.spans, strict=True)]
 
+    def remainders(self) -> list[int]:
+        """For each element, a sum of hashes of the page's text outside it; asides don't count."""
+        gone, inner = self.aside[:], [0] * len(self.tags)
+        for e in range(1, len(self.tags)):
+            gone[e] = gone[e] or gone[self.parents[e]]
+        for e, t in self.items:
+            if t is not None and not gone[e] and (t := t.strip()):
+                inner[e] += xxhash.xxh3_64_intdigest(t.encode("utf-8", "surrogatepass"))
+        for e in range(len(self.tags) - 1, 0, -1):
+            inner[self.parents[e]] += inner[e]
+        return [(inner[0] - n) % 2**64 - 2**63 for n in inner]
+
     def weights(self) -> tuple[list[int], list[int]]:
         """Letters of text in each subtree, and of those within links."""
         text, link = [0] * len(self.tags), [0] * len(self.tags)
@@ -213,33 +226,49 @@ def _own(page: Page, gone: list[bool]) -> set[int]:
 
 
 def _subtrees(pages: DataFrame) -> DataFrame:
-    """Distinct subtree hashes of each page, for subtrees with text."""
+    """Distinct subtree hashes of each page with the page's remainder, for subtrees with text.
+
+    What the markup sets aside goes anyway and is left out; ``may`` says whether
+    the subtree would go if it is template.
+    """
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in pieces(batches):
-            index, out = [], []
+            index, out, rests, may_go = [], [], [], []
             for i, html in enumerate(batch.column(2).to_pylist()):
                 page = Page(html or "")
-                text, _ = page.weights()
-                found = {h for h, n in zip(page.hashes(), text, strict=True) if n and h}
+                text, link = page.weights()
+                gone, inside = page.aside[:], [False] * len(page.tags)
+                for e in range(1, len(page.tags)):
+                    gone[e] = gone[e] or gone[page.parents[e]]
+                own = _own(page, gone)
+                found: dict[int, tuple[int, bool]] = {}
+                for e, (h, rest) in enumerate(zip(page.hashes(), page.remainders(), strict=True)):
+                    inside[e] = e in own or e > 0 and inside[page.parents[e]]
+                    if text[e] and h and not gone[e]:
+                        may = not inside[e] or (page.tags[e] not in _PROSE and 2 * link[e] > text[e])
+                        found[h] = (rest, may or h in found and found[h][1])
                 out += found
+                rests += [rest for rest, _ in found.values()]
+                may_go += [may for _, may in found.values()]
                 index += [i] * len(found)
             take = pa.array(index, pa.int32())
-            yield pa.RecordBatch.from_arrays([batch.column(0).take(take), batch.column(1).take(take), pa.array(out, pa.int64())], ["page_id", "host", "hash"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(take), batch.column(1).take(take), pa.array(out, pa.int64()), pa.array(rests, pa.int64()), pa.array(may_go, pa.bool_())], ["page_id", "host", "hash", "rest", "may"])
 
-    return pages.select("page_id", "host", "html").mapInArrow(rows, T.StructType([pages.schema["page_id"], pages.schema["host"], T.StructField("hash", T.LongType())]))
+    return pages.select("page_id", "host", "html").mapInArrow(rows, T.StructType([pages.schema["page_id"], pages.schema["host"], T.StructField("hash", T.LongType()), T.StructField("rest", T.LongType()), T.StructField("may", T.BooleanType())]))
 
 
-def extract(pages: DataFrame, min_pages: int = MIN_PAGES, min_share: float = MIN_SHARE) -> DataFrame:
+def extract(pages: DataFrame, min_pages: int = MIN_PAGES) -> DataFrame:
     """``pages`` with ``text`` and ``n_chars``."""
     hosted = pages.select("page_id", "html", F.xxhash64(F.lower(F.regexp_extract("url", r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/@?#]*@)?([^/:?#]+)", 1))).alias("host"), "url")
     named = hosted.where(F.col("page_id").isNotNull() & F.col("url").rlike("^[A-Za-z][A-Za-z0-9+.-]*://[^/:?#]"))
     rows = keep(_subtrees(named))
-    sizes = named.groupBy("host").agg(F.count_distinct("page_id").alias("n_pages"))
-    counted = rows.groupBy("host", "hash").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= min_pages)
-    template = keep(counted.join(sizes, "host").where(F.col("n") >= min_share * F.col("n_pages")).select("host", "hash"))
-    hits = keep(rows.join(template, ["host", "hash"], "left_semi").groupBy(F.col("page_id").alias("_hit_id")).agg(F.collect_set("hash").alias("_hits")))
+    often = rows.groupBy("host", "hash").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= min_pages).select("host", "hash")
+    recurring = keep(rows.join(often, ["host", "hash"], "left_semi"))
     discard(rows)
+    template = recurring.groupBy("host", "hash").agg(F.count_distinct("rest").alias("n")).where(F.col("n") >= min_pages).select("host", "hash")
+    hits = keep(recurring.where("may").join(template, ["host", "hash"], "left_semi").groupBy(F.col("page_id").alias("_hit_id")).agg(F.collect_set("hash").alias("_hits")))
+    discard(recurring)
     base = pages.drop("text", "n_chars")
     met = base.join(hits, F.col("page_id") == F.col("_hit_id"), "left").drop("_hit_id")
     schema = T.StructType([*base.schema.fields, T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])

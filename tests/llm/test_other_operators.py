@@ -39,6 +39,16 @@ def test_recurring_subtrees_of_a_host_go_and_articles_stay(spark):
     assert html.extract(spark.createDataFrame([], schema)).count() == 0
 
 
+def test_template_of_a_part_of_a_large_host_goes_and_copies_stay(spark):
+    note = "<div><p>Read this notice of one section</p></div>"
+    rows = [(i, f"http://a.example/{i}", f"<body>{note if i < 12 else ''}<section><p>story {i}</p></section></body>") for i in range(200)]
+    copy = "<body><section><p>told again</p><p>and again</p></section><div>on <i>every</i> copy</div></body>"
+    rows += [(300 + i, "http://a.example/x", copy) for i in range(30)]
+    got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert [got[i] for i in range(200)] == [f"story {i}" for i in range(200)]
+    assert {got[300 + i] for i in range(30)} == {"told again and again on every copy"}
+
+
 # vectors
 
 VEC = T.StructType([T.StructField("vec_id", T.LongType()), T.StructField("embedding", T.ArrayType(T.FloatType())), T.StructField("rank", T.StringType())])
