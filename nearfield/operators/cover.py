@@ -107,7 +107,8 @@ def build_oneshot(x: PointSet, n_r: float, s: int, seed: int = 1, n: int | None
 
     Every batch of X gives s rows at most for each pivot; when X is much larger
     than that, a sample of X first gives each pivot a radius that holds s points
-    in all likelihood, and only rows inside it are ranked.
+    in all likelihood, and only rows inside it are ranked; a count over X gives
+    pivots whose radius holds fewer none.
     """
     n = x.df.count() if n is None else n
     pivots = bernoulli_pivots(x, n_r, n, seed)
@@ -120,7 +121,7 @@ def nearest_points(pivots: PointSet, x: PointSet, s: int, n: int) -> DataFrame:
         found = bf.nearest(pivots, x, s)
         return found.join(x.df.select(F.col("point_id").alias("neighbor_id"), "value"), "neighbor_id").select(F.col("query_id").alias("pivot_id"), F.col("dist").alias("owner_dist"), F.col("neighbor_id").alias("point_id"), "value")
     r_ids, r_vals = bf.collected(pivots)
-    cut = _cutoffs(x, r_vals, s, n)
+    cut = _holding(x, r_vals, _cutoffs(x, r_vals, s, n), min(s, n))
     block_of = x.metric.block
     schema = T.StructType([T.StructField("pivot_id", pivots.id_type), T.StructField("owner_dist", T.DoubleType()), *x.df.select("point_id", "value").schema.fields])
 
@@ -160,6 +161,29 @@ def _cutoffs(x: PointSet, r_vals: np.ndarray, s: int, n: int, sample: int = 4096
     return np.array([np.partition(x.metric.block(r_vals[i : i + 1], seen)[0], place)[place] for i in range(len(r_vals))])
 
 
+def _holding(x: PointSet, r_vals: np.ndarray, cut: np.ndarray, least: int) -> np.ndarray:
+    """The radii, infinite for pivots where fewer than ``least`` points of X are within."""
+    if not np.isfinite(cut).any():
+        return cut
+    block_of = x.metric.block
+
+    def inside(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros(len(cut), np.int64)
+        for batch in batches:
+            values = bf.matrix(batch.column(1))
+            if not len(values):
+                continue
+            step = max(1, bf._CELLS // len(values))
+            for at in range(0, len(cut), step):
+                held[at : at + step] += (block_of(r_vals[at : at + step], values) <= cut[at : at + step, None]).sum(axis=1)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(cut), dtype=np.int32)), pa.array(held)], ["pivot", "held"])
+
+    held = np.zeros(len(cut), np.int64)
+    for r in x.df.select("point_id", "value").mapInArrow(inside, "pivot int, held long").groupBy("pivot").agg(F.sum("held").alias("held")).collect():
+        held[r.pivot] = r.held
+    return np.where(held < least, np.inf, cut)
+
+
 def append(cover: Cover, more: PointSet) -> Cover:
     """New points join the lists of their nearest pivots; radii grow where they must."""
     fresh = owners(more, cover.pivot_set).select("pivot_id", "owner_dist", "point_id", "value")

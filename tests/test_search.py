@@ -232,3 +232,10 @@ def test_metric_axioms_and_shapes(spark):
         col = {(r.query_id, r.neighbor_id): r.dist for r in bf._nested(p, p, "q", False).collect()}
         block = m.block(a, a)
         assert all(abs(col[i, j] - block[i, j]) < 1e-6 for i in range(12) for j in range(12))
+
+
+def test_oneshot_lists_are_full_where_a_radius_holds_too_few(spark, monkeypatch):
+    x = points(spark, [(i, [i % 17, i % 23]) for i in range(300)])
+    want = {(r.pivot_id, r.point_id) for r in cv.build_oneshot(x, 20, 15, 3, 300).lists.collect()}
+    monkeypatch.setattr(cv, "_cutoffs", lambda x, r_vals, s, n: np.where(np.arange(len(r_vals)) % 2, 0.5, 100.0))
+    assert {(r.pivot_id, r.point_id) for r in cv.build_oneshot(x, 20, 15, 3, 300).lists.collect()} == want
