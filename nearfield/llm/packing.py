@@ -12,8 +12,10 @@ hot source or a group of copies is spread over all shards, and no shard grows
 with the input.
 
 Defined results: a null or wordless text has one row without a bin; each row is
-packed for itself, also where doc_ids repeat or are null; null sources count as
-one source; copies of a text (the pieces of a long text too) never share a bin;
+packed for itself, also where doc_ids repeat or are null, and ids of any size stay
+as they are; null sources count as one source; pieces of equal length go by
+cluster, source and id, nulls last; copies of a text (the pieces of a long text
+too) never share a bin;
 an empty table gives an empty table; other columns are not read.
 """
 
@@ -23,12 +25,12 @@ from bisect import bisect_left, insort
 from collections import Counter
 from collections.abc import Iterator
 
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_schema
 
 from nearfield.llm.common import folded_words_of, keep, pieces
 
@@ -91,29 +93,31 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, per_source: int = PER_SOURCE
     shards = max(1, -(-measured.where("n_words > 0").count() // shard))
     id_type = docs.schema["doc_id"].dataType
 
-    def one(found: pd.DataFrame) -> pd.DataFrame:
-        found = found.sort_values(["n_words", "cluster", "source", "doc_id"], kind="stable", na_position="last")
-        rows = []
-        for r in found.itertuples(index=False):
-            source = None if pd.isna(r.source) else r.source
-            doc_id = None if pd.isna(r.doc_id) else r.doc_id
-            rows += [(min(capacity, r.n_words - start), source, r.cluster, doc_id, start // capacity, start) for start in range(0, r.n_words, capacity)]
+    def order(row: tuple) -> tuple:
+        """Least words first; nulls after all else."""
+        doc_id, source, n_words, cluster = row
+        return n_words, cluster, source is None, source or "", doc_id is None, 0 if doc_id is None else doc_id
+
+    def one(found: pa.Table) -> pa.Table:
+        columns = [found.column(c).to_pylist() for c in ("doc_id", "source", "n_words", "cluster")]
+        rows = [(min(capacity, n - start), source, cluster, doc_id, start // capacity, start) for doc_id, source, n, cluster in sorted(zip(*columns, strict=True), key=order) for start in range(0, n, capacity)]
         rows.sort(key=lambda x: -x[0])
         bins = best_fit([x[:3] for x in rows], capacity, per_source)
         place, used, out = Counter(), Counter(), []
-        base = int(found["shard"].iloc[0]) << 32
+        base = found.column("shard")[0].as_py() << 32
         for (words, source, cluster, doc_id, piece, start), b in zip(rows, bins, strict=True):
             out.append((doc_id, piece, start, words, source, cluster, base + b, place[b], used[b]))
             place[b] += 1
             used[b] += words
-        return pd.DataFrame(out, columns=[f.name for f in schema]).astype({"doc_id": object})
+        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], schema.names)
 
     schema = T.StructType(
         [T.StructField("doc_id", id_type), T.StructField("piece", T.IntegerType()), T.StructField("first_word", T.LongType()), T.StructField("n_words", T.LongType()), T.StructField("source", T.StringType())]
         + [T.StructField("cluster", T.LongType()), T.StructField("bin_id", T.LongType()), T.StructField("place", T.IntegerType()), T.StructField("at", T.LongType())]
     )
+    kinds = [f.type for f in to_arrow_schema(schema)]
     dealt = measured.where("n_words > 0").withColumn("shard", F.pmod(F.xxhash64("doc_id", "cluster", "source"), F.lit(shards)))
-    packed = dealt.withColumn("source", F.col("source").cast("string")).groupBy("shard").applyInPandas(one, schema)
+    packed = dealt.withColumn("source", F.col("source").cast("string")).groupBy("shard").applyInArrow(one, schema)
     wordless = measured.where("n_words = 0").select(
         "doc_id", F.lit(0).alias("piece"), F.lit(0).cast("long").alias("first_word"), "n_words", F.col("source").cast("string").alias("source"), "cluster", F.lit(None).cast("long").alias("bin_id"), F.lit(None).cast("int").alias("place"), F.lit(None).cast("long").alias("at")
     )

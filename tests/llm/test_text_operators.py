@@ -281,6 +281,13 @@ def test_packing_keeps_every_word_and_both_conflicts(spark, documents):
     assert packing.pack(documents([])).count() == 0
 
 
+def test_packing_keeps_large_ids_beside_nulls_and_repeats(spark, documents):
+    ids = [9007199254740993, 9007199254740995, 2**63 - 1, None, None, 7, 7]
+    out = packing.pack(documents([(i, f"text {n} of some words") for n, i in enumerate(ids)])).collect()
+    assert sorted((r.doc_id is None, r.doc_id) for r in out if r.doc_id is not None) == sorted((False, i) for i in ids if i is not None)
+    assert sum(r.doc_id is None for r in out) == 2 and {r.n_words for r in out} == {5}
+
+
 def test_best_fit_takes_the_tightest_compatible_bin():
     rng = random.Random(6)
     pieces = sorted(((rng.randrange(1, 60), rng.randrange(4), rng.randrange(30)) for _ in range(200)), key=lambda p: -p[0])
