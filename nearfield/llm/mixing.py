@@ -8,13 +8,13 @@ from 0 to ``max_rate`` by which it is to be drawn, so that the expected words of
 each domain, summed over all documents by rate, words and posterior, match the
 targets.
 
-The rates come from projected gradient steps on a least-squares misfit.  It is
-measured in the metric of the posteriors' own second moments, so one step would
-solve it if no rate met its bounds, and a few dozen do with them.  A step needs the
-domains' totals alone: one sum over all documents, one small vector back.  A
-document's rate follows from its posterior and the vectors so far, so the steps
-keep no state: the posteriors are written once and each step is one expression
-over them.
+The rates minimise the squared misfit of the totals plus a ridge on their distance
+from 1, and the ridge shrinks to nothing.  The projection is lazy: the gradient
+steps add up in one small vector, and a document's rate is 1 less its posterior's
+product with that vector, brought into its bounds.  So a pass needs no state beside
+the vector: one sum over all documents for several lengths of step, and small sums
+back.  Steps are scaled by the second moments of the documents inside their bounds;
+a plain gradient step that can't overshoot is always among those tried.
 
 All of it is DataFrame functions; the driver sees tables whose size depends on
 the numbers of word buckets and domains, and the chosen buckets of the bounded
@@ -25,13 +25,14 @@ longest row, and each row has its rate; rows without doc_id count as one documen
 or wordless text has the domains' shares as posterior and the rate that these
 give; labels without a document, null labels and repeated labels (the least
 holds) do no harm; without any labels the posterior is even, and without words
-every rate is 1; an empty table gives an empty table.
+every rate is 1; targets out of reach give the nearest totals, and ``misfit`` says
+how far off they are; an empty table gives an empty table; very long texts give
+one row for each distinct word; other columns are not read.
 """
 
 from __future__ import annotations
 
 import json
-import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -48,7 +49,9 @@ BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 TEMPERATURES = (2.0, 1.0, 0.5, 0.25, 0.1)
 #: Domains of the labels table and the share of words that each is to have.
 TARGETS = {"high": 0.96, "low": 0.035, "toxic": 0.005}
-MAX_RATE, STEPS, CLOSE = 2.0, 30, 1e-4
+MAX_RATE, CLOSE = 2.0, 1e-6
+#: Lengths of steps that a pass tries; when a ridge counts as solved; the least gain of a step, and the least ridge.
+STEPS, SOLVED, LEAST_GAIN, LEAST_RIDGE = (1.0, 0.5, 0.2, 0.05, 0.01), 0.05, 1e-9, 1e-7
 
 
 def domains_of_labels(labels: DataFrame) -> DataFrame:
@@ -178,46 +181,91 @@ def _met(ids: DataFrame, found: DataFrame) -> DataFrame:
     return ids.join(found.withColumnRenamed("doc_id", "_id"), F.col("doc_id").eqNullSafe(F.col("_id")), "left").drop("_id")
 
 
-def rates(members: DataFrame, weights: list[float], max_rate: float = MAX_RATE, steps: int = STEPS, close: float = CLOSE) -> tuple[Column, list[float]]:
-    """The rate as an expression over ``members``, and the misfit (share of all words) before each step."""
+def _rate(state: list[Column], max_rate: Column) -> Column:
+    """All gradient steps so far, taken from rate 1 and projected to the bounds at once."""
+    slope = sum((F.col(f"p{k}") * state[k] for k in range(1, len(state))), F.col("p0") * state[0])
+    return F.greatest(F.lit(0.0), F.least(max_rate, F.lit(1.0) - slope))
+
+
+@dataclass
+class Trial:
+    """What one sum over all documents tells of a state: totals by domain, moments of the free documents, and the value."""
+
+    state: np.ndarray
+    totals: np.ndarray
+    moments: np.ndarray
+    value: float
+
+
+def _tried(members: DataFrame, states: list[np.ndarray], wanted: np.ndarray, words: float, max_rate: float) -> list[Trial]:
+    """One pass over the documents for all of these states; a document is free if its rate is inside its bounds.
+
+    The states are a literal array, so every pass runs the same compiled code.
+    """
+    size = len(wanted)
+    listed = F.from_json(F.lit(json.dumps([{"t": t, "z": [float(x) for x in z]} for t, z in enumerate(states)])), "array<struct<t:int,z:array<double>>>")
+    met = members.select(F.col("n_words").cast("double").alias("n"), *[f"p{k}" for k in range(size)], F.explode(listed).alias("s"))
+    given = met.select("n", *[f"p{k}" for k in range(size)], F.col("s.t").alias("t"), _rate([F.col("s.z")[k] for k in range(size)], F.lit(float(max_rate))).alias("r"))
+    pairs = [(i, j) for i in range(size) for j in range(i, size)]
+    r = F.col("r")
+    free = F.when((r > 0) & (r < max_rate), F.col("n")).otherwise(0.0)
+    sums = [F.sum(F.col("n") * r * F.col(f"p{k}")) for k in range(size)] + [F.sum(free * F.col(f"p{i}") * F.col(f"p{j}")) for i, j in pairs] + [F.sum(F.col("n") * (r - 1) * (r - 1))]
+    rows = given.groupBy("t").agg(*[x.alias(f"x{i}") for i, x in enumerate(sums)]).collect()
+    flat = np.array([list(x)[1:] for x in sorted(rows, key=lambda x: x.t)]) / words
+    out = []
+    for z, row in zip(states, flat, strict=True):
+        moments = np.zeros((size, size))
+        for (i, j), x in zip(pairs, row[size:-1], strict=True):
+            moments[i, j] = moments[j, i] = x
+        out.append(Trial(z, row[:size], moments, float(z @ (wanted - row[:size]) - row[-1] / 2)))
+    return out
+
+
+def fitted(members: DataFrame, weights: list[float], max_rate: float = MAX_RATE, close: float = CLOSE) -> tuple[Column, list[float]]:
+    """The rate as an expression over ``members``, and the misfit (the worst domain's, as a share of all words) before each step.
+
+    Steps end when the targets are met to within ``close``, or when the least
+    ridge is reached: then the bounds stand in the way, the totals are the nearest
+    that they allow, and the last misfit says how far off the targets they are.
+    """
     size = len(weights)
-    moments = members.agg(
-        F.sum(F.col("n_words").cast("double")).alias("n"),
-        *[F.sum(F.col("n_words") * F.col(f"p{i}") * F.col(f"p{j}")).alias(f"m{i}_{j}") for i in range(size) for j in range(i, size)],
-    ).first()
-    total = moments["n"] or 0.0
-    rate = F.lit(1.0)
-    if not total:
-        return rate, []
-    metric = np.array([[moments[f"m{min(i, j)}_{max(i, j)}"] for j in range(size)] for i in range(size)]) / total
-    inverse = np.linalg.pinv(metric + 1e-6 * np.eye(size))
-    wanted = np.array(weights) / sum(weights)
-    misfits: list[float] = []
-    best = (math.inf, rate)
-    for _ in range(steps):
-        row = members.select(*[(rate * F.col("n_words") * F.col(f"p{k}")).alias(f"x{k}") for k in range(size)]).agg(*[F.sum(f"x{k}") for k in range(size)]).first()
-        off = np.array(list(row), float) / total - wanted
+    words = members.agg(F.sum(F.col("n_words").cast("double"))).first()[0] or 0.0
+    if not words:
+        return F.lit(1.0), []
+    wanted, ridge, misfits = np.array(weights) / sum(weights), 1.0, []
+    (at,) = _tried(members, [np.zeros(size)], wanted, words, max_rate)
+    # At the start every document is free, so these are the moments of all.
+    steepest, eye, stalled = np.linalg.eigvalsh(at.moments)[-1], np.eye(size), False
+    while True:
+        off = at.totals - wanted
         misfits.append(float(np.abs(off).max()))
-        if misfits[-1] < best[0]:
-            best = (misfits[-1], rate)
-        if misfits[-1] < close or (len(misfits) > 5 and misfits[-5] - misfits[-1] < close / 10):
+        if misfits[-1] < close:
             break
-        push = [round(float(x), 12) for x in inverse @ off]
-        slope = sum((F.col(f"p{k}") * F.lit(push[k]) for k in range(1, size)), F.col("p0") * F.lit(push[0]))
-        rate = F.greatest(F.lit(0.0), F.least(F.lit(float(max_rate)), rate - slope))
-    return best[1], misfits
+        if stalled or np.linalg.norm(off - ridge * at.state) <= SOLVED * np.linalg.norm(off):
+            if ridge <= LEAST_RIDGE:
+                break
+            ridge /= 10
+        slope = off - ridge * at.state
+        scaled = np.linalg.solve(at.moments + ridge * eye, slope)
+        # The last is the plain gradient at a length that never overshoots.
+        found = _tried(members, [at.state + s * scaled for s in STEPS] + [at.state + slope / (steepest + ridge)], wanted, words, max_rate)
+        worth = [x.value + ridge / 2 * float(x.state @ x.state) for x in found]
+        best = int(np.argmin(worth))
+        stalled = at.value + ridge / 2 * float(at.state @ at.state) - worth[best] < LEAST_GAIN
+        at = found[best]
+    return _rate([F.lit(float(x)) for x in at.state], F.lit(float(max_rate))), misfits
 
 
 def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, max_rate: float = MAX_RATE) -> DataFrame:
-    """``doc_id, n_words, p_<domain>..., rate``: one row for each document."""
+    """``doc_id, n_words, p_<domain>..., rate, misfit``: one row for each document."""
     targets = targets or TARGETS
     domains = sorted(targets)
     slim = docs.select("doc_id", "text")
     with temporaries() as spared:
         members = keep(memberships(slim, learn(slim, labelled), domains))
         spared.append(members)
-    rate, _ = rates(members, [targets[d] for d in domains], max_rate)
-    return members.select("doc_id", F.col("n_words").cast("long").alias("n_words"), *[F.col(f"p{k}").alias(f"p_{d}") for k, d in enumerate(domains)], F.round(rate, 6).alias("rate"))
+    rate, misfits = fitted(members, [targets[d] for d in domains], max_rate)
+    return members.select("doc_id", F.col("n_words").cast("long").alias("n_words"), *[F.col(f"p{k}").alias(f"p_{d}") for k, d in enumerate(domains)], F.round(rate, 6).alias("rate"), F.lit(round(misfits[-1] if misfits else 0.0, 9)).alias("misfit"))
 
 
 def drawn(docs: DataFrame, rated: DataFrame) -> DataFrame:

@@ -194,17 +194,50 @@ def test_mixing_meets_reachable_targets_and_separates(spark, documents):
     assert len(out) == len(rows)
     total = sum(r.n_words for r in out)
     for d, share in targets.items():
-        assert abs(sum(r.n_words * r.rate * r[f"p_{d}"] for r in out) / total - share) < 0.02
+        assert abs(sum(r.n_words * r.rate * r[f"p_{d}"] for r in out) / total - share) < 1e-4
+    assert {r.misfit for r in out} == {out[0].misfit} and out[0].misfit < 1e-5
     by = {r.doc_id: r for r in out}
     right = [max(targets, key=lambda d: by[i][f"p_{d}"]) == ("high", "high", "high", "low", "toxic")[i % 5] for i in range(600)]
     assert sum(right) > 560 and all(0 <= r.rate <= 3 for r in out)
     assert all(abs(sum(r[f"p_{d}"] for d in targets) - 1) < 1e-6 for r in out)
 
 
+def bounded_least_squares(n, p, wanted, max_rate, rounds=200_000):
+    """Plain accelerated projected gradient in numpy: the loss at the bounded optimum."""
+    a = (n[:, None] * p / n.sum()).T
+    rate = ahead = np.ones(len(n))
+    length, t = 1 / np.linalg.eigvalsh(a @ a.T)[-1], 1.0
+    for _ in range(rounds):
+        new = np.clip(ahead - length * (a.T @ (a @ ahead - wanted)), 0, max_rate)
+        after = (1 + (1 + 4 * t * t) ** 0.5) / 2
+        ahead, rate, t = new + (t - 1) / after * (new - rate), new, after
+        loss = ((a @ rate - wanted) ** 2).sum()
+        if loss < 1e-15:
+            break
+    return loss
+
+
+def test_rates_against_bounded_least_squares(spark):
+    rng = np.random.default_rng(9)
+    n, p = rng.integers(1, 500, 400).astype(float), np.round(rng.dirichlet([0.3, 0.6, 0.2], 400), 9)
+    members = spark.createDataFrame([(i, int(n[i]), *map(float, p[i])) for i in range(400)], "doc_id long, n_words long, p0 double, p1 double, p2 double").repartition(4)
+    for wanted, reachable in (((0.8, 0.15, 0.05), None), ((0.2, 0.2, 0.6), None), ((0.01, 0.01, 0.98), False), ((0.3, 0.5, 0.2), True)):
+        rate, misfits = mixing.fitted(members, list(wanted), 2.0)
+        out = members.orderBy("doc_id").withColumn("rate", rate).collect()
+        rate = np.array([r.rate for r in out])
+        off = (n * rate) @ p / n.sum() - np.array(wanted)
+        best = bounded_least_squares(n, p, np.array(wanted), 2.0, 20_000)
+        assert (rate >= 0).all() and (rate <= 2).all() and abs(np.abs(off).max() - misfits[-1]) < 1e-8
+        assert (off**2).sum() <= best * 1.01 + 1e-10
+        assert reachable is None or (misfits[-1] < 1e-6) == reachable
+
+
 def test_mixing_without_labels_or_rows(spark, documents):
     none = mixing.domains_of_labels(spark.createDataFrame([], "doc_id long, quality int, toxic int"))
     out = mixing.mix(documents([(1, "a b"), (1, "a b"), (2, None)]), none).collect()
     assert sorted((r.doc_id, r.n_words) for r in out) == [(1, 2), (2, 0)]
+    clash = documents([(1, "a b"), (2, "c " * 50_000)]).withColumnRenamed("n_chars", "n_words").withColumnRenamed("lang", "rate")
+    assert sorted((r.doc_id, r.n_words) for r in mixing.mix(clash, none).collect()) == [(1, 2), (2, 50_000)]
     assert mixing.mix(documents([]), none).count() == 0
 
 
