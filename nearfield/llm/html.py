@@ -1,6 +1,6 @@
 """Main text of web pages by removal of each site's template.
 
-Every element's subtree is hashed from its source; Spark counts, host by host,
+Every element's subtree is hashed from its tags and texts; Spark counts, host by host,
 with how many different remainders of a page each hash occurs; subtrees that
 recur with many are the site's template and go, however large the host is.
 Copies of a page have one remainder, so what they share is no template.  What the markup itself names as not the
@@ -18,13 +18,16 @@ pages is no hot key; hits return to their pages by page_id.
 
 Defined results: null and empty pages have an empty text; a page without page_id
 or with a URL that names no host is cleaned by markup alone; rows that repeat a
-page_id share their hits and keep a row each; an empty table gives an empty
-table; other columns pass.
+page_id share their hits and keep a row each; very long and very deep pages take
+time in proportion; an element that never closes reaches to the end of what holds
+it; an empty table gives an empty table; other columns pass, but for ``text`` and
+``n_chars``, which are replaced.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from html import unescape
 
@@ -56,9 +59,10 @@ ENDS = {"p": frozenset(BLOCKS - {"br", "button", "canvas", "body", "html", "head
     "option": frozenset({"option", "optgroup"}),
     "head": frozenset({"body"}),
 }
-#: Elements, roles and parts of class names and ids that are not the article.
+#: Elements and roles that are not the article.
 ASIDE_TAGS = frozenset("head title nav header footer aside form button dialog menu canvas audio video input datalist".split())
 ASIDE_ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar note".split())
+#: A heuristic, not a standard: parts of class names and ids that tell what is not the article.
 ASIDE_NAMES = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner nav navbar navigation menu breadcrumb breadcrumbs header masthead footer sidebar aside comment comments reply replies disqus respond cookie cookies consent gdpr notice notices alert popup modal overlay newsletter subscribe subscription share sharing social related recommended recommendations widget toolbar pagination pager login signup search form copyright".split()
 )
@@ -73,62 +77,85 @@ _PROSE = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre b i em strong code td th
 
 
 class Page:
-    """The element tree of a page: parents come before their children."""
+    """The element tree of a page: parents come before their children.
+
+    One pass over the source, and sums over the elements after it: time and memory
+    are linear in the page, however deep its elements nest.
+    """
 
     def __init__(self, html: str):
-        self.tags, self.parents, self.spans, self.aside = ["#"], [-1], [[0, len(html)]], [False]
+        self.tags, self.parents, self.aside = ["#"], [-1], [False]
         #: In page order: (element, text) or (element, None) where a block begins or ends.
         self.items: list[tuple[int, str | None]] = []
-        stack, at = [0], 0
+        #: What each element is made of: its start tag, its texts and the places of its children.
+        self.made: list[list[str | int]] = [[]]
+        self._stack, self._open, self._blocks = [0], Counter(), []
+        at = 0
         for m in _TOKEN.finditer(html):
             if m.start() > at:
-                self.items.append((stack[-1], html[at : m.start()]))
+                self._text(html[at : m.start()])
             at = m.end()
             tag = m["tag"]
             if m["raw"] or not tag:
                 continue
-            tag = tag.lower()
             if m["close"]:
-                if tag in self._open(stack):
-                    while len(stack) > 1:
-                        e = stack.pop()
-                        self.spans[e][1] = m.start() if self.tags[e] != tag else at
-                        if self.tags[e] == tag:
-                            break
-                if tag in BLOCKS:
-                    self.items.append((stack[-1], None))
-                continue
-            while len(stack) > 1 and tag in ENDS.get(self.tags[stack[-1]], ()):
-                self.spans[stack.pop()][1] = m.start()
-            if tag in BLOCKS:
-                # An unclosed inline element in a paragraph ends with it.
-                if tag != "br" and "p" in (names := self._open(stack)) and tag in ENDS["p"]:
-                    inner = names[len(names) - 1 - names[::-1].index("p") :]
-                    if not any(x in BLOCKS for x in inner[1:]):
-                        for _ in inner:
-                            self.spans[stack.pop()][1] = m.start()
-                self.items.append((stack[-1], None))
-            if tag in VOID:
-                continue
-            self.tags.append(tag)
-            self.parents.append(stack[-1])
-            self.spans.append([m.start(), len(html)])
-            self.aside.append(_is_aside(tag, m["attrs"]))
-            if not m["attrs"].endswith("/"):
-                stack.append(len(self.tags) - 1)
+                self._close(tag.lower())
             else:
-                self.spans[-1][1] = at
+                self._start(tag.lower(), m["attrs"])
         if at < len(html):
-            self.items.append((stack[-1], html[at:]))
-        self.html = html
-
-    def _open(self, stack: list[int]) -> list[str]:
-        return [self.tags[e] for e in stack]
+            self._text(html[at:])
+
+    def _text(self, text: str) -> None:
+        self.items.append((self._stack[-1], text))
+        self.made[self._stack[-1]].append(text)
+
+    def _start(self, tag: str, attrs: str) -> None:
+        stack = self._stack
+        while len(stack) > 1 and tag in ENDS.get(self.tags[stack[-1]], ()):
+            self._pop()
+        if tag in BLOCKS:
+            # Unclosed inline elements in a paragraph end with it.
+            if tag in ENDS["p"] and self._blocks and self.tags[self._blocks[-1]] == "p":
+                paragraph = self._blocks[-1]
+                while self._pop() != paragraph:
+                    pass
+            self.items.append((stack[-1], None))
+        if tag in VOID:
+            self.made[stack[-1]].append(f"<{tag}>")
+            return
+        e = len(self.tags)
+        self.tags.append(tag)
+        self.parents.append(stack[-1])
+        self.aside.append(_is_aside(tag, attrs))
+        self.made.append([f"<{tag}{attrs}>"])
+        self.made[stack[-1]].append(e)
+        if not attrs.endswith("/"):
+            stack.append(e)
+            self._open[tag] += 1
+            if tag in BLOCKS:
+                self._blocks.append(e)
+
+    def _pop(self) -> int:
+        e = self._stack.pop()
+        self._open[self.tags[e]] -= 1
+        if self._blocks and self._blocks[-1] == e:
+            self._blocks.pop()
+        return e
+
+    def _close(self, tag: str) -> None:
+        if self._open[tag]:
+            while self.tags[self._pop()] != tag:
+                pass
+        if tag in BLOCKS:
+            self.items.append((self._stack[-1], None))
 
     def hashes(self) -> list[int]:
-        """A hash of each element's source; 0 for the root and its outermost parts."""
-        whole = self.html
-        return [0 if t in ("#", "html", "body", "head") else xxhash.xxh3_64_intdigest(whole[a:b].encode("utf-8", "surrogatepass")) - 2**63 for t, (a, b) in zip(self.tags, self.spans, strict=True)]
+        """A hash of each element from its tag, its texts and its children's hashes; 0 for the root and its outermost parts."""
+        out = [0] * len(self.tags)
+        for e in range(len(self.tags) - 1, -1, -1):
+            parts = (x.encode("utf-8", "surrogatepass") if isinstance(x, str) else out[x].to_bytes(8, "little", signed=True) for x in self.made[e])
+            out[e] = xxhash.xxh3_64_intdigest(b"\0".join(parts)) - 2**63
+        return [0 if t in ("#", "html", "body", "head") else h for t, h in zip(self.tags, out, strict=True)]
 
     def remainders(self) -> list[int]:
         """For each element, a sum of hashes of the page's text outside it; asides don't count."""
@@ -189,9 +216,10 @@ def main_text(html: str | None, template: set[int] = frozenset()) -> str:
             inside[e] = e in own or inside[page.parents[e]]
         if not own:
             # A page of which all recurs is a copy of others.
-            covered = 0
+            covered, above = 0, [False] * n
             for e in range(1, n):
-                if recurs[e] and not gone[e] and not _above(page, e, recurs):
+                above[e] = recurs[page.parents[e]] or above[page.parents[e]]
+                if recurs[e] and not gone[e] and not above[e]:
                     covered += text[e]
             left = sum(len(t.strip()) for e, t in page.items if t is not None and not gone[e])
             inside = [100 * covered >= 99 * left] * n
@@ -207,15 +235,6 @@ def main_text(html: str | None, template: set[int] = frozenset()) -> str:
     return " ".join("".join(parts).split())
 
 
-def _above(page: Page, e: int, flags: list[bool]) -> bool:
-    e = page.parents[e]
-    while e > 0:
-        if flags[e]:
-            return True
-        e = page.parents[e]
-    return False
-
-
 def _own(page: Page, gone: list[bool]) -> set[int]:
     """The elements that hold the article: the articles, or else main."""
     for tag in ("article", "main"):

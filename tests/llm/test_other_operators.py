@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+import time
 
 import numpy as np
 from pyspark.sql import types as T
@@ -49,6 +50,35 @@ def test_template_of_a_part_of_a_large_host_goes_and_copies_stay(spark):
     assert {got[300 + i] for i in range(30)} == {"told again and again on every copy"}
 
 
+def test_deep_pages_take_linear_time():
+    for page in ("<div>" * 100_000 + "x", "<b>" * 50_000 + "<hr>" * 50_000 + "x", "<p>" + "<i>" * 50_000 + "x" + "<p>y" * 50_000):
+        began = time.perf_counter()
+        parsed = html.Page(page)
+        parsed.hashes(), parsed.remainders(), parsed.weights()
+        assert html.main_text(page, {1}).split()[0] == "x"
+        assert time.perf_counter() - began < 8
+
+
+def template_by_brute_force(rows, min_pages):
+    """Texts of pages made of plain div blocks: blocks that stand on a host's pages beside min_pages different rests go."""
+    rests = {}
+    for _, host, blocks in rows:
+        for x in set(blocks):
+            rests.setdefault((host, x), set()).add(tuple(sorted(y for y in blocks if y != x)))
+    return {i: " ".join(x for x in blocks if len(rests[host, x]) < min_pages) for i, host, blocks in rows}
+
+
+def test_templates_without_helpful_markup_by_brute_force(spark):
+    rng = random.Random(11)
+    menus = [f"menu {i}" for i in range(6)]
+    rows = [(i, f"h{i % 3}.example", [f"own {i}", *rng.sample(menus, rng.randrange(0, 4)), f"tale {rng.randrange(1000)}"]) for i in range(240)]
+    pages = [(i, f"https://{host}/{i}", "".join(f"<div>{x}</div>" for x in blocks)) for i, host, blocks in rows]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    assert {r.page_id: r.text for r in html.extract(df).collect()} == template_by_brute_force(rows, html.MIN_PAGES)
+    without = {r.page_id: r.text for r in html.extract(df, 10**9).collect()}
+    assert without == {i: " ".join(blocks) for i, _, blocks in rows}
+
+
 # vectors
 
 VEC = T.StructType([T.StructField("vec_id", T.LongType()), T.StructField("embedding", T.ArrayType(T.FloatType())), T.StructField("rank", T.StringType())])
@@ -228,7 +258,7 @@ def test_rates_against_bounded_least_squares(spark):
         off = (n * rate) @ p / n.sum() - np.array(wanted)
         best = bounded_least_squares(n, p, np.array(wanted), 2.0, 20_000)
         assert (rate >= 0).all() and (rate <= 2).all() and abs(np.abs(off).max() - misfits[-1]) < 1e-8
-        assert (off**2).sum() <= best * 1.01 + 1e-10
+        assert (off**2).sum() <= best * 1.01 + 1e-10, wanted
         assert reachable is None or (misfits[-1] < 1e-6) == reachable
 
 
