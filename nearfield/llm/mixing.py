@@ -50,8 +50,9 @@ TEMPERATURES = (2.0, 1.0, 0.5, 0.25, 0.1)
 #: Domains of the labels table and the share of words that each is to have.
 TARGETS = {"high": 0.96, "low": 0.035, "toxic": 0.005}
 MAX_RATE, CLOSE = 2.0, 1e-6
-#: Lengths of steps that a pass tries; when a ridge counts as solved; the least gain of a step, and the least ridge.
-STEPS, SOLVED, LEAST_GAIN, LEAST_RIDGE = (1.0, 0.5, 0.2, 0.05, 0.01), 0.05, 1e-9, 1e-7
+#: Lengths of steps that a pass tries; when a ridge counts as solved, the least gain of a step, alone and as a share of
+#: the ridge's first, and the most passes at one ridge; the least ridge.
+STEPS, SOLVED, LEAST_GAIN, LEAST_SHARE, PASSES, LEAST_RIDGE = (1.0, 0.5, 0.2, 0.05, 0.01), 0.05, 1e-9, 1e-4, 8, 1.1e-8
 
 
 def domains_of_labels(labels: DataFrame) -> DataFrame:
@@ -222,11 +223,11 @@ def _tried(members: DataFrame, states: list[np.ndarray], wanted: np.ndarray, wor
 
 
 def fitted(members: DataFrame, weights: list[float], max_rate: float = MAX_RATE, close: float = CLOSE) -> tuple[Column, list[float]]:
-    """The rate as an expression over ``members``, and the misfit (the worst domain's, as a share of all words) before each step.
+    """The rate as an expression over ``members``, and the misfit (the worst domain's, as a share of all words) before each step and at the end.
 
     Steps end when the targets are met to within ``close``, or when the least
-    ridge is reached: then the bounds stand in the way, the totals are the nearest
-    that they allow, and the last misfit says how far off the targets they are.
+    ridge is done: then the bounds stand in the way, the nearest totals that were
+    seen hold, and the last misfit says how far off the targets they are.
     """
     size = len(weights)
     words = members.agg(F.sum(F.col("n_words").cast("double"))).first()[0] or 0.0
@@ -235,25 +236,26 @@ def fitted(members: DataFrame, weights: list[float], max_rate: float = MAX_RATE,
     wanted, ridge, misfits = np.array(weights) / sum(weights), 1.0, []
     (at,) = _tried(members, [np.zeros(size)], wanted, words, max_rate)
     # At the start every document is free, so these are the moments of all.
-    steepest, eye, stalled = np.linalg.eigvalsh(at.moments)[-1], np.eye(size), False
+    steepest, eye, gains, nearest = np.linalg.eigvalsh(at.moments)[-1], np.eye(size), [], (np.inf, at)
     while True:
         off = at.totals - wanted
         misfits.append(float(np.abs(off).max()))
-        if misfits[-1] < close:
+        nearest = min(nearest, (float(off @ off), at), key=lambda x: x[0])
+        solved = np.linalg.norm(off - ridge * at.state) <= SOLVED * np.linalg.norm(off)
+        if misfits[-1] < close or (done := solved or len(gains) == PASSES or bool(gains) and gains[-1] < max(LEAST_GAIN, LEAST_SHARE * gains[0])) and ridge <= LEAST_RIDGE:
             break
-        if stalled or np.linalg.norm(off - ridge * at.state) <= SOLVED * np.linalg.norm(off):
-            if ridge <= LEAST_RIDGE:
-                break
-            ridge /= 10
+        if done:
+            ridge, gains = ridge / 10, []
         slope = off - ridge * at.state
         scaled = np.linalg.solve(at.moments + ridge * eye, slope)
         # The last is the plain gradient at a length that never overshoots.
         found = _tried(members, [at.state + s * scaled for s in STEPS] + [at.state + slope / (steepest + ridge)], wanted, words, max_rate)
         worth = [x.value + ridge / 2 * float(x.state @ x.state) for x in found]
         best = int(np.argmin(worth))
-        stalled = at.value + ridge / 2 * float(at.state @ at.state) - worth[best] < LEAST_GAIN
+        gains.append(at.value + ridge / 2 * float(at.state @ at.state) - worth[best])
         at = found[best]
-    return _rate([F.lit(float(x)) for x in at.state], F.lit(float(max_rate))), misfits
+    misfits.append(float(np.abs(nearest[1].totals - wanted).max()))
+    return _rate([F.lit(float(x)) for x in nearest[1].state], F.lit(float(max_rate))), misfits
 
 
 def mix(docs: DataFrame, labelled: DataFrame, targets: dict[str, float] | None = None, max_rate: float = MAX_RATE) -> DataFrame:
