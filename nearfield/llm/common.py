@@ -28,11 +28,15 @@ def lower_ascii(text: Column) -> Column:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The shared folder of the session; a temporary one only where none is named."""
-    held = spark.sparkContext._jsc.sc().getCheckpointDir()
+    """The shared folder of the session; a temporary one where none is named, and only in local mode."""
+    context = spark.sparkContext
+    held = context._jsc.sc().getCheckpointDir()
     if held.isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="scratch-"))
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not context.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir names no shared folder")
+        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="scratch-"))
+        held = context._jsc.sc().getCheckpointDir()
     return held.get()
 
 
@@ -49,15 +53,9 @@ def modest_batches(spark: SparkSession) -> None:
             spark.conf.set(name, str(most))
 
 
-#: Rows of a file where the number of rows is known beforehand.
-FILE_ROWS = 200_000
-
-
-def keep(df: DataFrame, rows: int | None = None) -> DataFrame:
+def keep(df: DataFrame) -> DataFrame:
     """Write ``df`` once as compressed Parquet in the shared folder and read it back.
 
-    ``rows``, where it is known to be the most, bounds the number of files.
-
     Cuts the lineage: a lost executor costs a reread, not a recomputation, and
     whatever a step decided stays decided.  Its shuffle files go when it is written.
     """
@@ -68,10 +66,9 @@ def keep(df: DataFrame, rows: int | None = None) -> DataFrame:
     before = spark.conf.get(clean, None)
     spark.conf.set(clean, "true")
     try:
-        cut = df if rows is None else df.coalesce(max(1, -(-rows // FILE_ROWS)))
-        cut.write.option("compression", "zstd").parquet(path)
+        df.write.option("compression", "zstd").parquet(path)
     finally:
-        spark.conf.set(clean, before or "false")
+        spark.conf.unset(clean) if before is None else spark.conf.set(clean, before)
     kept = spark.read.schema(df.schema).parquet(path)
     kept._kept_at = path
     if _open:

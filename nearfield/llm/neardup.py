@@ -158,10 +158,10 @@ def _confirmed(pairs: DataFrame, percent: int) -> DataFrame:
     return pairs.select("a", "b", "fa", "fb").mapInArrow(filtered, pairs.select("a", "b").schema)
 
 
-def _spanning(members: DataFrame, of: DataFrame, rows: int) -> DataFrame:
+def _spanning(members: DataFrame, of: DataFrame) -> DataFrame:
     """The members of buckets that span components, with their component."""
-    placed = keep(members.join(of, "node", "left").withColumn("component", F.coalesce("component", "node")), rows)
-    split = keep(placed.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("bucket"), rows)
+    placed = keep(members.join(of, "node", "left").withColumn("component", F.coalesce("component", "node")))
+    split = keep(placed.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("bucket"))
     return placed.join(split, "bucket", "left_semi")
 
 
@@ -228,16 +228,15 @@ def _grouped(docs: DataFrame, size: int, percent: int, spared: list[DataFrame])
     edges = confirmed(keep(_agreeing(led.join(by["b"], "b").join(by["a"], "a"), least)))
     of = components(edges.toDF("u", "v"))
 
-    n_members = members.count()
-    still = _spanning(members.select("bucket", "size", "node"), of, n_members).drop("component")
+    still = _spanning(members.select("bucket", "size", "node"), of).drop("component")
     lone = _lone(full.join(still.select("node").distinct(), "node", "left_semi")).where(F.expr(f"100 * (n - lone) >= {percent} * n"))
-    still = keep(still.join(keep(lone, n_members), "node"), n_members)
+    still = keep(still.join(keep(lone), "node"))
     lists = still.groupBy("node").agg(F.collect_set("bucket").alias("buckets"))
-    still = keep(still.join(lists, "node"), n_members)
+    still = keep(still.join(lists, "node"))
     largest = still.agg(F.max("size")).first()[0] or 0
     turn = 1
     while largest and (turn <= 2 or GROWTH ** (turn - 2) - 1 < largest):
-        more = confirmed(keep(_open_pairs(_spanning(still, of, n_members), turn, percent)))
+        more = confirmed(keep(_open_pairs(_spanning(still, of), turn, percent)))
         if not more.isEmpty():
             edges = edges.unionByName(more)
             of = components(edges.toDF("u", "v"))
