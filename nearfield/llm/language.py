@@ -1,6 +1,6 @@
 """Language identification with hyperdimensional profiles.
 
-Every letter has a random vector of signs.  A three-letter sequence is the
+Every letter of any script has a random vector of signs.  A three-letter sequence is the
 element-wise product of its letters' vectors, each rotated by its place, so the
 same letters in another order give an unrelated vector.  A text is the sum of
 its sequences, a language the sum of its texts' unit vectors, and a text belongs
@@ -13,7 +13,9 @@ one matrix product, and what leaves a task in training is one vector a language.
 Defined results: a null text or one without letters is ``und`` with score 0; a
 null ``lang`` takes no part in training; with nothing to learn from, every text
 is ``und``; equal cosines go to the smaller language name; rows that repeat are
-treated each for itself; other columns pass through.
+treated each for itself; an empty table gives an empty table; very long texts count
+whole; other columns pass through, but for ``lang_pred`` and ``score``, which are
+replaced.
 """
 
 from __future__ import annotations
@@ -28,44 +30,64 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from nearfield.llm.common import modest_batches, pieces
+from nearfield.llm.shingles import mixed
 
-#: Letters fall in this many symbols: 0 is "no letter", 1 to 26 are a to z, the rest share what is left.
-SYMBOLS = 32
+#: Symbols of the plain alphabet: 0 is "no letter", 1 to 26 are a to z.  Any other letter is its own symbol, its code point.
+PLAIN = 27
 DIMENSIONS = 512
 SEED = 20_240_101
 UNDETERMINED = "und"
 
-_CODES = SYMBOLS**3
-#: Texts that a task turns into vectors at once.
-_BLOCK = 32
+_CODES = PLAIN**3
+#: Texts that a task turns into vectors at once, and sequences beyond the plain alphabet.
+_BLOCK, _SEQUENCES = 32, 4096
 
 
 @lru_cache(maxsize=1)
 def _symbol_table() -> np.ndarray:
-    """Symbol of every code point: case is folded, other letters are dealt to the free symbols by their number."""
-    table = np.zeros(0x110000, np.uint8)
-    for point in range(0x3000):
+    """Symbol of every code point: case is folded, 0 for what is no letter."""
+    table = np.zeros(0x110000, np.uint32)
+    for point in range(0x20000):
         letter = chr(point)
         if letter.isalpha():
             low = letter.lower()
-            table[point] = ord(low) - 96 if len(low) == 1 and "a" <= low <= "z" else 27 + ord(low[0]) % (SYMBOLS - 27)
-    rest = np.arange(0x3000, 0x110000)
+            table[point] = ord(low) - 96 if len(low) == 1 and "a" <= low <= "z" else ord(low[0])
+    rest = np.arange(0x20000, 0x110000)
     alpha = np.fromiter((chr(x).isalpha() for x in rest), bool, len(rest))
-    table[0x3000:][alpha] = (27 + rest[alpha] % (SYMBOLS - 27)).astype(np.uint8)
+    table[0x20000:][alpha] = rest[alpha]
     return table
 
 
+def _letters(symbols: np.ndarray, dimensions: int) -> np.ndarray:
+    """The vector of signs of each symbol: drawn for the plain ones, from the bits of a hash of the code point for all others."""
+    words = -(-dimensions // 64)
+    place = symbols.astype(np.uint64)[:, None] * np.uint64(words) + np.arange(words, dtype=np.uint64)[None, :]
+    bits = np.unpackbits(mixed(mixed(place + np.uint64(SEED))).view(np.uint8), axis=1)[:, :dimensions]
+    out = 2 * bits.astype(np.int8) - 1
+    plain = symbols < PLAIN
+    out[plain] = _plain_letters(dimensions)[symbols[plain]]
+    return out
+
+
+@lru_cache(maxsize=2)
+def _plain_letters(dimensions: int) -> np.ndarray:
+    return np.random.default_rng(SEED).choice(np.array([-1, 1], np.int8), (PLAIN, dimensions))
+
+
+def _bound(first: np.ndarray, second: np.ndarray, third: np.ndarray) -> np.ndarray:
+    """Permute by place, then bind by product."""
+    return np.roll(first, 2, axis=-1) * np.roll(second, 1, axis=-1) * third
+
+
 @lru_cache(maxsize=2)
 def _sequence_vectors(dimensions: int) -> np.ndarray:
-    """One vector for each three-symbol sequence: permute by place, then bind by product."""
-    letters = np.random.default_rng(SEED).choice(np.array([-1, 1], np.int8), (SYMBOLS, dimensions))
-    first, second = np.roll(letters, 2, axis=1), np.roll(letters, 1, axis=1)
-    bound = first[:, None, None, :] * second[None, :, None, :] * letters[None, None, :, :]
-    return bound.reshape(_CODES, dimensions)
+    """One vector for each three-symbol sequence of the plain alphabet."""
+    letters = _plain_letters(dimensions)
+    return _bound(letters[:, None, None, :], letters[None, :, None, :], letters[None, None, :, :]).reshape(_CODES, dimensions)
 
 
-def sequence_counts(text: str | None) -> np.ndarray | None:
-    """How often each three-symbol sequence occurs; None for a text without letters."""
+def sequences(text: str | None) -> tuple[np.ndarray, np.ndarray] | None:
+    """The three-symbol sequences of a text: how often each plain one occurs, and a key for each other; None without letters."""
     if not text:
         return None
     symbols = _symbol_table()[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)]
@@ -73,9 +95,27 @@ def sequence_counts(text: str | None) -> np.ndarray | None:
         return None
     # Runs of what is no letter count as one gap, and the text has a gap at both ends.
     padded = np.concatenate(([0], symbols, [0]))
-    padded = padded[(padded != 0) | (np.concatenate(([1], padded[:-1])) != 0)].astype(np.int32)
-    codes = (padded[:-2] * SYMBOLS + padded[1:-1]) * SYMBOLS + padded[2:]
-    return np.bincount(codes, minlength=_CODES).astype(np.float32)
+    padded = padded[(padded != 0) | (np.concatenate(([1], padded[:-1])) != 0)].astype(np.int64)
+    a, b, c = padded[:-2], padded[1:-1], padded[2:]
+    plain = (a < PLAIN) & (b < PLAIN) & (c < PLAIN)
+    codes = (a[plain] * PLAIN + b[plain]) * PLAIN + c[plain]
+    other = ~plain
+    return np.bincount(codes, minlength=_CODES).astype(np.float32), (a[other] << 42) | (b[other] << 21) | c[other]
+
+
+def _other_vectors(keys: list[np.ndarray], dimensions: int) -> np.ndarray:
+    """The summed vectors of each text's sequences beyond the plain alphabet, a few thousand distinct ones at a time."""
+    out = np.zeros((len(keys), dimensions), np.float32)
+    row = np.repeat(np.arange(len(keys)), [len(x) for x in keys])
+    distinct, place = np.unique(np.concatenate(keys), return_inverse=True)
+    for at in range(0, len(distinct), _SEQUENCES):
+        some = distinct[at : at + _SEQUENCES]
+        symbols, own = np.unique(np.stack((some >> 42, (some >> 21) & 0x1FFFFF, some & 0x1FFFFF)), return_inverse=True)
+        vectors = _letters(symbols, dimensions)[own.reshape(3, -1)]
+        held = (place >= at) & (place < at + len(some))
+        counts = np.bincount(row[held] * len(some) + place[held] - at, minlength=len(keys) * len(some)).reshape(len(keys), len(some))
+        out += counts.astype(np.float32) @ _bound(*vectors).astype(np.float32)
+    return out
 
 
 def text_vectors(texts: list[str | None], dimensions: int) -> tuple[np.ndarray, np.ndarray]:
@@ -83,13 +123,14 @@ def text_vectors(texts: list[str | None], dimensions: int) -> tuple[np.ndarray,
     out, known = np.zeros((len(texts), dimensions), np.float32), np.zeros(len(texts), bool)
     vectors = _sequence_vectors(dimensions)
     for start in range(0, len(texts), _BLOCK):
-        counted = [(start + i, c) for i, t in enumerate(texts[start : start + _BLOCK]) if (c := sequence_counts(t)) is not None]
-        if not counted:
+        found = [(start + i, x) for i, t in enumerate(texts[start : start + _BLOCK]) if (x := sequences(t)) is not None]
+        if not found:
             continue
-        rows = [i for i, _ in counted]
-        counts = np.stack([c for _, c in counted])
+        rows = [i for i, _ in found]
+        counts = np.stack([plain for _, (plain, _) in found])
         used = np.flatnonzero(counts.any(axis=0))
         block = counts[:, used] @ vectors[used].astype(np.float32)
+        block += _other_vectors([other for _, (_, other) in found], dimensions)
         norms = np.linalg.norm(block, axis=1)
         out[rows] = block / np.where(norms > 0, norms, 1)[:, None]
         known[rows] = True

@@ -161,6 +161,39 @@ def test_language_without_anything_to_learn(spark, documents):
     assert language.identify(documents([])).count() == 0
 
 
+def slow_vector(text, size=language.DIMENSIONS):
+    """A text's vector letter by letter: fold, collapse gaps, rotate, bind, bundle."""
+    symbols = [0]
+    for c in text:
+        low = c.lower()[0] if c.isalpha() else None
+        code = 0 if low is None else ord(low) - 96 if "a" <= c.lower() <= "z" else ord(low)
+        if code or symbols[-1]:
+            symbols.append(code)
+    if symbols[-1]:
+        symbols.append(0)
+    vectors = [language._letters(np.array([x]), size)[0].astype(float) for x in symbols]
+    total = np.zeros(size)
+    for a, b, c in zip(vectors, vectors[1:], vectors[2:], strict=False):
+        total += np.roll(a, 2) * np.roll(b, 1) * c
+    return total / np.linalg.norm(total)
+
+
+def test_language_vectors_by_a_slow_reference():
+    texts = ["Où est l'été?", "plain words, twice  twice", "Привет, мир", "ΑΒΓ αβγ x", "1 2 é", "漢字かな 漢"]
+    got, known = language.text_vectors([*texts, "", None, "12 !"], language.DIMENSIONS)
+    assert known.tolist() == [True] * len(texts) + [False] * 3
+    for text, v in zip(texts, got, strict=False):
+        assert np.allclose(v, slow_vector(text), atol=1e-5), text
+
+
+def test_languages_of_one_other_script_are_told_apart(spark, documents):
+    rng = random.Random(4)
+    made = {"a": "что это как его она они была".split(), "b": "що це як його вона вони була її".split(), "c": "και το της που με για".split()}
+    rows = [(i, " ".join(rng.choice(made[lang]) for _ in range(25)), lang) for i in range(300) for lang in [list(made)[i % 3]]]
+    held = [r for r in language.identify(documents(rows)).collect() if r.held_out]
+    assert held and all(r.lang_pred == r.lang for r in held)
+
+
 # personal data
 
 PATTERNS = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
