@@ -16,13 +16,15 @@ Every level is two steps.  Distinct (hash, document) rows are summed to the
 least and the greatest document of each hash, so a passage in a third of all
 documents is combined on the map side; then the rows whose hash is repeated go
 back to their documents by a join of two written tables, which Spark splits if
-one hash is hot.  64-bit hashes stand for windows: a wrong match has the chance
-of the number of windows over 2^64.
+one hash is hot.  64-bit hashes stand for windows that are only candidates; at the
+last level two independent ones do, so that a wrong match has the chance of the
+number of windows over 2^128.
 
 Defined results: words are judged on the input; a null or empty text has none; a
 row without doc_id keeps its words and takes none from others; rows that repeat
 a doc_id are one document, whose rows share what is repeated; an empty table
-gives an empty table; other columns pass.
+gives an empty table; very long texts count whole; other columns pass, but for
+``n_words`` and ``n_removed``, which are replaced.
 """
 
 from __future__ import annotations
@@ -37,7 +39,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from nearfield.llm.common import discard, keep, pieces, words_of
-from nearfield.llm.shingles import window_hashes, word_hashes
+from nearfield.llm.shingles import mixed, window_hashes, word_hashes
 
 #: The seed has at most so many words, and more than half of them.
 SEED_WORDS = 8
@@ -69,6 +71,24 @@ def _among(x: np.ndarray, ordered: np.ndarray) -> np.ndarray:
     return ordered[np.minimum(np.searchsorted(ordered, x), len(ordered) - 1)] == x
 
 
+#: A second hash of a window starts from its words' hashes turned by this.
+_TURN = np.uint64(0xA0761D6478BD642F)
+
+
+def _both_hashes(hashed: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two independent hashes of each window: together 128 bits."""
+    return window_hashes(hashed, size), window_hashes(mixed(hashed ^ _TURN), size)
+
+
+def _among_both(first: np.ndarray, second: np.ndarray, alive) -> np.ndarray:
+    """Which windows are in an Arrow list of (hash, check)."""
+    own, check = (np.asarray(alive.field(c).to_numpy(zero_copy_only=False), np.int64).view(np.uint64) for c in ("hash", "check"))
+    order = np.argsort(own)
+    own, check = own[order], check[order]
+    at = np.minimum(np.searchsorted(own, first), len(own) - 1)
+    return (own[at] == first) & (check[at] == second)
+
+
 def _hashed(values) -> np.ndarray:
     """Sorted hashes from an Arrow list of 64-bit integers."""
     return np.sort(np.asarray(values, np.int64).view(np.uint64)) if values is not None else np.empty(0, np.uint64)
@@ -83,45 +103,58 @@ def _seeds(docs: DataFrame, low: int, high: int) -> DataFrame:
     return _exploded(docs.select("doc_id", "text"), rows)
 
 
-def _longer(docs: DataFrame, low: int, high: int, thinned: bool) -> DataFrame:
-    """Distinct windows of ``high`` words whose parts of ``low`` words are in ``alive``."""
+def _unique_both(hashed: np.ndarray, size: int, open_: np.ndarray | slice) -> tuple[np.ndarray, np.ndarray]:
+    first, second = (x[open_] for x in _both_hashes(hashed, size))
+    order = np.lexsort((second, first))
+    first, second = first[order], second[order]
+    new = np.r_[True, (first[1:] != first[:-1]) | (second[1:] != second[:-1])][: len(first)]
+    return first[new], second[new]
 
-    def rows(text: str | None, alive) -> np.ndarray:
+
+def _longer(docs: DataFrame, low: int, high: int, thinned: bool, last: bool) -> DataFrame:
+    """Distinct windows of ``high`` words whose parts of ``low`` words are in ``alive``; with 128 bits at the last level."""
+
+    def rows(text: str | None, alive) -> np.ndarray | tuple[np.ndarray, np.ndarray]:
         hashed = word_hashes(words_of(text))
         if len(hashed) < high:
-            return np.empty(0, np.uint64)
+            return (np.empty(0, np.uint64),) * 2 if last else np.empty(0, np.uint64)
         short, alive = window_hashes(hashed, low), _hashed(alive)
         if thinned:
             open_ = _among(sliding_min(short, high - low + 1), alive)
         else:
             there = _among(short, alive)
             open_ = there[: len(hashed) - high + 1] & there[high - low :]
-        return np.unique(window_hashes(hashed, high)[open_])
+        return _unique_both(hashed, high, open_) if last else np.unique(window_hashes(hashed, high)[open_])
+
+    return _exploded(docs.select("doc_id", "text", "alive"), rows, last)
 
-    return _exploded(docs.select("doc_id", "text", "alive"), rows)
 
+def _exploded(docs: DataFrame, rows, both: bool = False) -> DataFrame:
+    names = ["doc_id", "hash", "check"] if both else ["doc_id", "hash"]
 
-def _exploded(docs: DataFrame, rows) -> DataFrame:
     def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in pieces(batches):
             alive = batch.column(2) if batch.num_columns > 2 else None
             found = [rows(text, alive[i].values.to_numpy(zero_copy_only=False) if alive is not None and alive[i].is_valid else None) for i, text in enumerate(batch.column(1).to_pylist())]
-            index = np.repeat(np.arange(len(found), dtype=np.int32), [len(x) for x in found])
-            hashes = np.concatenate(found) if found else np.empty(0, np.uint64)
+            columns = [list(x) for x in zip(*found, strict=True)] if both and found else [found]
+            index = np.repeat(np.arange(len(found), dtype=np.int32), [len(x) for x in columns[0]])
+            hashes = [np.concatenate(x) if x else np.empty(0, np.uint64) for x in columns]
             for at in range(0, len(index), 1 << 20):
                 part = slice(at, at + (1 << 20))
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(index[part])), pa.array(hashes[part].view(np.int64))], ["doc_id", "hash"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(index[part])), *[pa.array(h[part].view(np.int64)) for h in hashes]], names)
 
-    return docs.mapInArrow(listed, T.StructType([docs.schema["doc_id"], T.StructField("hash", T.LongType())]))
+    return docs.mapInArrow(listed, T.StructType([docs.schema["doc_id"], *[T.StructField(n, T.LongType()) for n in names[1:]]]))
 
 
 def _survivors(rows: DataFrame, later_only: bool) -> DataFrame:
     """Per document the hashes that another document has too; with ``later_only``, one with a smaller id."""
-    repeated = keep(rows.groupBy("hash").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").select("hash", "first_id"))
-    met = rows.join(repeated, "hash")
+    key = [c for c in ("hash", "check") if c in rows.columns]
+    repeated = keep(rows.groupBy(*key).agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").select(*key, "first_id"))
+    met = rows.join(repeated, key)
     if later_only:
         met = met.where(F.col("doc_id") > F.col("first_id"))
-    out = keep(met.groupBy("doc_id").agg(F.collect_set("hash").alias("alive")))
+    alive = F.struct("hash", "check") if later_only else F.col("hash")
+    out = keep(met.groupBy("doc_id").agg(F.collect_set(alive).alias("alive")))
     discard(repeated)
     return out
 
@@ -139,23 +172,27 @@ def repeated_windows(docs: DataFrame, window: int = 13, extend: bool = False) ->
     slim = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", "text")
     steps = lengths(window)
     if len(steps) == 1:
-        rows = keep(_exploded(slim, lambda text, _: np.unique(window_hashes(word_hashes(words_of(text)), window))))
+        rows = keep(_exploded(slim, lambda text, _: _unique_both(word_hashes(words_of(text)), window, slice(None)), True))
     else:
         rows = keep(_seeds(slim, steps[0], steps[1]))
     for k, (low, high) in enumerate(zip(steps, steps[1:], strict=False)):
         alive = _survivors(rows, False)
         discard(rows)
-        rows = keep(_longer(_joined(slim, alive, "inner"), low, high, thinned=k == 0))
+        rows = keep(_longer(_joined(slim, alive, "inner"), low, high, k == 0, high == window))
         discard(alive)
     gone, longest, length = _survivors(rows, True), None, window
     while extend:
         alive = _survivors(rows, False)
+        discard(rows)
         if alive.isEmpty():
+            discard(alive)
             break
         reached = alive.select("doc_id", F.lit(length).alias("longest"))
         longest = reached if longest is None else longest.unionByName(reached)
-        rows = keep(_longer(_joined(slim, alive, "inner"), length, 2 * length, thinned=False))
+        rows = keep(_longer(_joined(slim, alive, "inner"), length, 2 * length, False, False))
         length *= 2
+    else:
+        discard(rows)
     return gone, None if longest is None else longest.groupBy("doc_id").agg(F.max("longest").alias("longest"))
 
 
@@ -179,7 +216,7 @@ def cut_repeats(docs: DataFrame, window: int = 13) -> DataFrame:
                 words = words_of(text)
                 n_words.append(len(words))
                 if hashes.is_valid and len(words) >= window:
-                    starts = np.flatnonzero(_among(window_hashes(word_hashes(words), window), _hashed(hashes.values.to_numpy(zero_copy_only=False))))
+                    starts = np.flatnonzero(_among_both(*_both_hashes(word_hashes(words), window), hashes.values))
                     edge = np.zeros(len(words) + 1, np.int64)
                     edge[starts] += 1
                     edge[starts + window] -= 1
