@@ -18,8 +18,9 @@ candidates, and any other copy asks from the place of the first: no window has t
 span a run of copies, and ties by id hold however many there are.
 
 Rows are cut into blocks of ranks; a query goes to the blocks its window meets,
-so a task holds one block and the queries of that block, whatever the table's
-size.
+and the queries of a block to groups, so a task holds one block and about ASKED
+queries, whatever the table's size and however wide the window.  Queries with one
+vector ask once.
 
 Defined results: rows without id, or whose vector is null, empty, zero, of an
 unusual width or holds what is null or not finite, take no part; rows that
@@ -47,6 +48,8 @@ GRID_SAMPLE, WINDOW_SAMPLE = 2048, 128
 #: The share of true neighbours that the window must catch, and the least window.
 WANTED, LEAST_WINDOW = 0.97, 512
 BLOCK = 4096
+#: Queries that meet a block in one task, about.
+ASKED = 2048
 #: Pairs that are measured at once.
 MEASURED = 1 << 15
 
@@ -106,15 +109,15 @@ class Grid:
         return out
 
 
-def exact_nearest(points: np.ndarray, ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray, k: int) -> pd.DataFrame:
-    """Each query's k nearest ids of these points: by true distance, then the smaller id.
+def exact_nearest(points: np.ndarray, ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray, k: int, apart: bool = True) -> pd.DataFrame:
+    """Each query's k nearest ids of these points: by true distance, then the smaller id; ``apart`` leaves out its own.
 
     Products give the squared distances up to rounding.  Every row that rounding
     could place among the k nearest, however many tie there, is measured anew.
     """
     by_id = np.argsort(ids, kind="stable")
     points, ids = points[by_id], ids[by_id]
-    own = query_ids[:, None] == ids[None, :]
+    own = query_ids[:, None] == ids[None, :] if apart else np.zeros((len(query_ids), len(ids)), bool)
     norms = (points**2).sum(axis=1)
     squared = norms[None, :] - 2 * queries @ points.T
     squared[own] = np.inf
@@ -204,8 +207,8 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
         ranked = keep(_ranked(points, grid))
         spared.append(ranked)
     window = _fitted_window(points, ranked, list({r.vec_id: r for r in sample[:WINDOW_SAMPLE]}.values()), k, wanted)
-    # Every query asks, also one that is no candidate: at the place of the first copy of its vector.
-    queries = given.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min(F.struct("vec", "same")).alias("x")).select("vec_id", "x.*")
+    # Every query asks, also one that is no candidate; those with one vector ask once, at the place of its first copy.
+    queries = given.where(F.col("vec_id") % every == 0).groupBy(F.col("vec_id").alias("query_id")).agg(F.min(F.struct("vec", "same")).alias("x")).select("query_id", "x.*")
     first = points.where(F.col("copy") == 1).select("same", "vec", F.col("vec_id").alias("first"))
     queries = keep(queries.join(first, ["same", "vec"]))
     discard(points)
@@ -213,9 +216,15 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
     # A block is part of one ordering, so no row is in it twice.
     rows = ranked.select("turn", F.floor(F.col("rank") / block).alias("block"), "vec_id", "vec")
     places = ranked.select("turn", "rank", F.col("vec_id").alias("first"), F.xxhash64("vec").alias("same"))
-    asking = queries.join(places, ["first", "same"]).groupBy("vec_id", "turn").agg(F.min(F.struct("rank", "vec")).alias("x"))
+    once = queries.groupBy("first").agg(F.min("same").alias("same"), F.min("vec").alias("vec"))
+    asking = once.join(places, ["first", "same"]).groupBy("first", "turn").agg(F.min(F.struct("rank", "vec")).alias("x"))
     reach = F.sequence(F.floor(F.greatest(F.col("x.rank") - window, F.lit(0)) / block), F.floor((F.col("x.rank") + window) / block))
-    sent = asking.select(F.col("turn").alias("turn"), F.explode(reach).alias("block"), "vec_id", F.col("x.vec").alias("vec"))
+    sent = keep(asking.select("turn", F.explode(reach).alias("block"), "first", F.col("x.vec").alias("vec")))
+    # Where many queries reach one block they are dealt to groups, each of which meets the block in a task of its own.
+    most = sent.groupBy("turn", "block").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    groups = max(1, -(-most // ASKED))
+    rows = rows.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).cast("long")) if groups > 1 else rows.withColumn("part", F.lit(0).cast("long"))
+    asked = sent.withColumn("part", F.pmod(F.xxhash64("first"), F.lit(groups)))
 
     def meet(own: pa.Table, queries: pa.Table) -> pa.Table:
         if not own.num_rows or not queries.num_rows:
@@ -224,11 +233,14 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
         parts = []
         for at in range(0, queries.num_rows, 256):
             some = queries.slice(at, 256)
-            parts.append(exact_nearest(points_, ids, matrix(some.column("vec")), some.column("vec_id").to_numpy(), k))
+            parts.append(exact_nearest(points_, ids, matrix(some.column("vec")), some.column("first").to_numpy(), k + 1, False))
         return pa.Table.from_pandas(pd.concat(parts), schema=schema, preserve_index=False)
 
     schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
-    found = rows.groupBy("turn", "block").cogroup(sent.groupBy("turn", "block")).applyInArrow(meet, _FOUND)
-    once = found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
+    found = rows.groupBy("turn", "block", "part").cogroup(asked.groupBy("turn", "block", "part")).applyInArrow(meet, _FOUND)
+    merged = found.groupBy(F.col("query_id").alias("first"), "vec_id").agg(F.min("score").alias("score"))
+    best = merged.withColumn("place", F.row_number().over(Window.partitionBy("first").orderBy("score", "vec_id"))).where(F.col("place") <= k + 1)
+    # One of the k + 1 may be the query itself.
+    told = queries.select("query_id", "first").join(best, "first").where(F.col("vec_id") != F.col("query_id"))
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    return once.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return told.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
