@@ -38,6 +38,8 @@ from nearfield.llm.vectors import matrix, usable
 
 #: Mean vectors of a shard, most vectors of a leaf, mean queries of a block.
 SHARD, LEAF, BLOCK = 16_384, 256, 1024
+#: Blocks of queries that a tree is sent to a task for.
+GROUP = 8
 SCALE = 64
 _PAIRS = "query_id long, vec_id long, score long"
 
@@ -124,15 +126,25 @@ def _grown(found: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"shard": [int(found["shard"].iloc[0])], "tree": [pickle.dumps(tree, protocol=5)]})
 
 
-def _searched(pairs: DataFrame, k: int) -> DataFrame:
-    """Each (tree, block of queries) pair's best rows."""
+def _searched(trees: DataFrame, blocks: DataFrame, parts: int, k: int) -> DataFrame:
+    """What the trees of the blocks' shards give to their queries.
+
+    A tree goes to each part of the blocks of its shard once and stands before
+    them in their partition, so a task holds one tree and one block at a time.
+    """
+    placed = blocks.withColumn("part", F.floor(F.col("block") / GROUP).cast("int"))
+    copies = trees.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).join(placed.select("shard", "part").distinct(), ["shard", "part"], "left_semi")
+    none = F.lit(None).cast(placed.schema["asked"].dataType)
+    both = copies.select("shard", "part", F.lit(-1).alias("block"), "tree", none.alias("asked")).unionByName(placed.select("shard", "part", "block", F.lit(None).cast("binary").alias("tree"), "asked"))
+    ordered = both.repartition("shard", "part").sortWithinPartitions("shard", "part", "block")
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard, tree = None, None
+        tree = None
         for batch in batches:
             for i in range(batch.num_rows):
-                if shard != (shard := batch.column("shard")[i].as_py()):
+                if batch.column("tree")[i].is_valid:
                     tree = pickle.loads(batch.column("tree")[i].as_buffer())
+                    continue
                 block = batch.column("asked")[i].values
                 ids = block.field("query_id").to_numpy()
                 least = block.field("least").to_numpy()
@@ -145,7 +157,7 @@ def _searched(pairs: DataFrame, k: int) -> DataFrame:
                 flat = np.array([e for x in found for e in x], np.int64).reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n)), pa.array(-flat[:, 1]), pa.array(flat[:, 0])], ["query_id", "vec_id", "score"])
 
-    return pairs.select("shard", "tree", "asked").mapInArrow(search, _PAIRS)
+    return ordered.select("tree", "asked").mapInArrow(search, _PAIRS)
 
 
 def top_k(df: DataFrame, every: int = 20, k: int = 20, scale: int = SCALE, shard: int = SHARD, block: int = BLOCK) -> DataFrame:
@@ -169,11 +181,12 @@ def top_k(df: DataFrame, every: int = 20, k: int = 20, scale: int = SCALE, shard
 
     placed = keep(queries.withColumn("block", F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int")))
     home = F.pmod(F.col("block"), F.lit(shards))
-    first = keep(_searched(asked(placed, lowest).withColumn("shard", home).join(trees, "shard"), k))
+    parts = -(-blocks // GROUP)
+    first = keep(_searched(trees, asked(placed, lowest).withColumn("shard", home), parts, k))
     kth = first.groupBy("query_id").agg(F.when(F.count(F.lit(1)) == k, F.min("score")).otherwise(lowest).alias("least"))
     bounded = placed.join(kth, "query_id", "left")
     away = asked(bounded, F.coalesce("least", lowest)).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).where(F.col("shard") != home)
-    found = first.unionByName(_searched(away.join(trees, "shard"), k)) if shards > 1 else first
+    found = first.unionByName(_searched(trees, away, parts, k)) if shards > 1 else first
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
