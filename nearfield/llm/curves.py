@@ -223,7 +223,7 @@ def nearest(df: DataFrame, every: int = 100, k: int = 10, wanted: float = WANTED
     # Where many queries reach one block they are dealt to groups, each of which meets the block in a task of its own.
     most = sent.groupBy("turn", "block").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
     groups = max(1, -(-most // ASKED))
-    rows = rows.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).cast("long")) if groups > 1 else rows.withColumn("part", F.lit(0).cast("long"))
+    rows = rows.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
     asked = sent.withColumn("part", F.pmod(F.xxhash64("first"), F.lit(groups)))
 
     def meet(own: pa.Table, queries: pa.Table) -> pa.Table:

@@ -176,6 +176,15 @@ def test_nearest_recall_with_more_copies_than_a_window(spark):
     assert recall_of(spark, points) >= 0.99
 
 
+def test_nearest_in_groups_of_queries_and_with_copies_that_ask(spark, monkeypatch):
+    rng = np.random.default_rng(10)
+    points = {i: rng.normal(0, 1, 6).round(2).tolist() for i in range(900)} | {2000 + i: [1.0] * 6 for i in range(300)}
+    whole = sorted(curves.nearest(vectors(spark, list(points.items())), every=10, block=128).collect())
+    monkeypatch.setattr(curves, "ASKED", 7)
+    assert sorted(curves.nearest(vectors(spark, list(points.items())), every=10, block=128).collect()) == whole
+    assert [r.vec_id for r in whole if r.query_id == 2000] == list(range(2001, 2011)) and [r.vec_id for r in whole if r.query_id == 2290] == list(range(2000, 2010))
+
+
 def test_nearest_on_nothing(spark):
     assert curves.nearest(vectors(spark, [])).count() == 0
     assert curves.nearest(vectors(spark, odd_rows())).count() == 0
