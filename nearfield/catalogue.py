@@ -6,11 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from nearfield.queries import relational, search, streams
+from nearfield.queries import measures, relational, search, streams
 
 
 def _all() -> dict:
-    return search.QUERIES | relational.QUERIES | streams.QUERIES
+    return search.QUERIES | measures.QUERIES | relational.QUERIES | streams.QUERIES
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

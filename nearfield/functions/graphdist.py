@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from nearfield.sources.scratch import shared_dir
+
 
 def shortest_paths(edges: DataFrame, sources: DataFrame, max_rounds: int = 50, every: int = 3) -> DataFrame:
     """``source, node, dist`` over edges (src, dst, weight), both ways.
@@ -28,12 +30,8 @@ def shortest_paths(edges: DataFrame, sources: DataFrame, max_rounds: int = 50, e
 
 
 def _cut(df: DataFrame) -> DataFrame:
-    """checkpoint() into the session's shared folder; one of its own only where none is named."""
-    import tempfile
-
-    context = df.sparkSession.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="rounds-"))
+    """checkpoint() into the session's shared folder."""
+    shared_dir(df.sparkSession)
     return df.checkpoint()
 
 

@@ -19,14 +19,23 @@ UNROLL = 32
 
 @dataclass(frozen=True)
 class Metric:
-    """``column(a, b)``, ``block(A, B)`` (rows by rows) and ``sql(a, b)`` of one metric."""
+    """``column(a, b)``, ``sql(a, b)`` and, for vectors, numpy forms of one metric.
+
+    ``cells`` measures along the last axis of two arrays that broadcast;
+    ``block(A, B)`` is every row of one side by every row of the other.
+    """
 
     name: str
     column: Callable[[Column, Column], Column]
     sql: Callable[[str, str], str]
-    block: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None
+    cells: Callable[[np.ndarray, np.ndarray], np.ndarray] | None = None
     width: int | None = None
 
+    def block(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        if self.name == "l2" and a.shape[1] > PRODUCT and len(b):
+            return _l2_block(a, b)
+        return self.cells(a[:, None, :], b[None, :, :])
+
 
 def _terms(width: int, term: Callable[[int], Column]) -> Column:
     total = term(0)
@@ -41,9 +50,9 @@ def _sql_terms(width: int, term: Callable[[int], str]) -> str:
 
 def _by_axis(a: np.ndarray, b: np.ndarray, step: Callable[[np.ndarray], np.ndarray], fold=np.add) -> np.ndarray:
     """Fold ``step`` of the differences axis by axis, in the order of the unrolled sum."""
-    total = step(a[:, None, 0] - b[None, :, 0])
-    for i in range(1, a.shape[1]):
-        total = fold(total, step(a[:, None, i] - b[None, :, i]))
+    total = step(a[..., 0] - b[..., 0])
+    for i in range(1, a.shape[-1]):
+        total = fold(total, step(a[..., i] - b[..., i]))
     return total
 
 
@@ -58,8 +67,6 @@ def _l2_block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     measured again, so the relative error stays under a billionth and equal
     points are at distance 0.
     """
-    if a.shape[1] <= PRODUCT or not len(b):
-        return np.sqrt(_by_axis(a, b, np.square))
     centre = b.mean(axis=0)
     a, b = a - centre, b - centre
     squares = (a * a).sum(axis=1)[:, None] + (b * b).sum(axis=1)[None, :]
@@ -71,13 +78,21 @@ def _l2_block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.sqrt(np.maximum(out, 0))
 
 
+def _folded(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The sum of products along the last axis, axis by axis."""
+    total = a[..., 0] * b[..., 0]
+    for i in range(1, a.shape[-1]):
+        total = total + a[..., i] * b[..., i]
+    return total
+
+
 def l2(width: int) -> Metric:
     def column(a: Column, b: Column) -> Column:
         if width > UNROLL:
             return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
         return F.sqrt(_terms(width, lambda i: (a[i] - b[i]) * (a[i] - b[i])))
 
-    return Metric("l2", column, lambda a, b: f"sqrt({_sql_terms(width, lambda i: f'({a}[{i}]-{b}[{i}])*({a}[{i}]-{b}[{i}])')})", _l2_block, width)
+    return Metric("l2", column, lambda a, b: f"sqrt({_sql_terms(width, lambda i: f'({a}[{i}]-{b}[{i}])*({a}[{i}]-{b}[{i}])')})", lambda a, b: np.sqrt(_by_axis(a, b, np.square)), width)
 
 
 def l1(width: int) -> Metric:
@@ -111,7 +126,7 @@ def weighted_l2(weights: list[float]) -> Metric:
         "weighted_l2",
         lambda a, b: F.sqrt(_terms(width, lambda i: F.lit(w[i]) * (a[i] - b[i]) * (a[i] - b[i]))),
         lambda a, b: f"sqrt({_sql_terms(width, lambda i: f'{w[i - 1]}*({a}[{i}]-{b}[{i}])*({a}[{i}]-{b}[{i}])')})",
-        lambda a, b: l2(width).block(a * np.sqrt(w), b * np.sqrt(w)),
+        lambda a, b: np.sqrt(_by_axis(a * np.sqrt(w), b * np.sqrt(w), np.square)),
         width,
     )
 
@@ -133,11 +148,11 @@ def angular(width: int) -> Metric:
         dot, na, nb = (_sql_terms(width, lambda i, x=x, y=y: f"{x}[{i}]*{y}[{i}]") for x, y in ((a, b), (a, a), (b, b)))
         return f"acos(greatest(-1.0, least(1.0, {dot} / (sqrt({na}) * sqrt({nb})))))"
 
-    def block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        norms = np.linalg.norm(a, axis=1)[:, None] * np.linalg.norm(b, axis=1)[None, :]
-        return np.arccos(np.clip(a @ b.T / norms, -1, 1))
+    def cells(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        dot, aa, bb = (_folded(x, y) for x, y in ((a, b), (a, a), (b, b)))
+        return np.arccos(np.clip(dot / (np.sqrt(aa) * np.sqrt(bb)), -1, 1))
 
-    return Metric("angular", column, sql, block, width)
+    return Metric("angular", column, sql, cells, width)
 
 
 def haversine() -> Metric:
@@ -147,11 +162,11 @@ def haversine() -> Metric:
         s, t = F.sin((a[0] - b[0]) / 2), F.sin((a[1] - b[1]) / 2)
         return F.lit(2.0) * F.asin(F.least(F.lit(1.0), F.sqrt(s * s + F.cos(a[0]) * F.cos(b[0]) * t * t)))
 
-    def block(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        s, t = (np.sin((a[:, None, i] - b[None, :, i]) / 2) for i in (0, 1))
-        return 2 * np.arcsin(np.minimum(1, np.sqrt(s * s + np.cos(a[:, None, 0]) * np.cos(b[None, :, 0]) * t * t)))
+    def cells(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        s, t = (np.sin((a[..., i] - b[..., i]) / 2) for i in (0, 1))
+        return 2 * np.arcsin(np.minimum(1, np.sqrt(s * s + np.cos(a[..., 0]) * np.cos(b[..., 0]) * t * t)))
 
-    return Metric("haversine", column, lambda a, b: f"2.0*asin(least(1.0, sqrt(pow(sin(({a}[1]-{b}[1])/2), 2) + cos({a}[1])*cos({b}[1])*pow(sin(({a}[2]-{b}[2])/2), 2))))", block, 2)
+    return Metric("haversine", column, lambda a, b: f"2.0*asin(least(1.0, sqrt(pow(sin(({a}[1]-{b}[1])/2), 2) + cos({a}[1])*cos({b}[1])*pow(sin(({a}[2]-{b}[2])/2), 2))))", cells, 2)
 
 
 def edit() -> Metric:

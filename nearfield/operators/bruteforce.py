@@ -15,12 +15,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from nearfield.plans.planner import BLOCK_ROWS, choose_pairing
+from nearfield.operators.kernels import CELLS, Near
+from nearfield.plans.planner import BLOCK_ROWS, BROADCAST_BYTES, bytes_of, choose_pairing
 from nearfield.sources.points import PointSet
 
-#: Pairs that one numpy block computes at once: a megabyte, which stays in a core's cache.
-_CELLS = 1 << 17
-
 
 def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
     """An Arrow list column of equal widths as a matrix."""
@@ -40,8 +38,16 @@ def as_arrow(ids: np.ndarray) -> pa.Array:
     return pa.array(ids.tolist(), pa.string()) if ids.dtype.kind == "U" else pa.array(ids)
 
 
-def collected(points: PointSet) -> tuple[np.ndarray, np.ndarray]:
-    """Ids and matrix of a set that the planner allows to be sent, ordered by id."""
+def collected(points: PointSet, rows: int | None = None, limit: int = BROADCAST_BYTES) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and matrix of a set that may be sent to the tasks, ordered by id.
+
+    ``rows`` is its size, where that is known and has been checked; otherwise it
+    is counted, and a set over the limit is an error.
+    """
+    if rows is None:
+        rows = points.df.count()
+    if bytes_of(rows, points) > limit:
+        raise ValueError(f"{rows} rows take more than the {limit} bytes that may be sent to every task")
     table = points.df.select("point_id", "value").toArrow()
     ids, values = ids_of(table.column("point_id")), matrix(table.column("value"))
     order = np.argsort(ids, kind="stable")
@@ -52,74 +58,63 @@ def schema_of(q: PointSet, x: PointSet, *more: T.StructField) -> T.StructType:
     return T.StructType([T.StructField("query_id", q.id_type), T.StructField("neighbor_id", x.id_type), T.StructField("dist", T.DoubleType()), *more])
 
 
-def least_k(block: np.ndarray, k: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """For each of k places: column and value of every row's next least cell; ties to the left."""
-    rows, out = np.arange(len(block)), []
-    if k == 1 and block.shape[1]:
-        at = block.argmin(axis=1)
-        return [(at, block[rows, at])]
-    block = block.copy()
-    for _ in range(min(k, block.shape[1])):
-        at = block.argmin(axis=1)
-        out.append((at, block[rows, at].copy()))
-        block[rows, at] = np.inf
-    return out
-
-
 def _batch(schema: T.StructType, q_ids, x_ids, dists) -> pa.RecordBatch:
     kinds = [pa.int64() if f.dataType == T.LongType() else pa.int32() if f.dataType == T.IntegerType() else pa.string() if f.dataType == T.StringType() else pa.float64() for f in schema]
     plain = lambda c: c.tolist() if getattr(c, "dtype", None) is not None and c.dtype.kind == "U" else c
     return pa.RecordBatch.from_arrays([pa.array(plain(c), t) for c, t in zip((q_ids, x_ids, dists), kinds, strict=False)], schema.names)
 
 
+#: Blocks of each side where strings or sets meet and neither side may be sent.
+_GRID = 64
+
+
 class Best:
     """The k best so far of a fixed set of queries, over all batches of a task."""
 
     def __init__(self, queries: int, k: int):
         self.k, self.dist, self.ids = k, np.full((queries, 0), np.inf), None
 
-    def add(self, part: slice, columns: list[tuple[np.ndarray, np.ndarray]], ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Merge the columns of ``least_k`` for some of the queries; ties to the smaller id."""
-        dist = np.stack([d for _, d in columns], axis=1)
-        near = np.stack([ids[c] for c, _ in columns], axis=1)
+    def add(self, part: slice, places: np.ndarray, dist: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Merge a block's least places for some of the queries; ties to the smaller id."""
+        near = ids[places]
         if self.ids is not None:
             dist, near = np.concatenate((self.dist[part], dist), axis=1), np.concatenate((self.ids[part], near), axis=1)
+        if dist.shape[1] == 1:
+            return dist, near
         order = np.lexsort((near, dist), axis=1)[:, : self.k]
         return np.take_along_axis(dist, order, axis=1), np.take_along_axis(near, order, axis=1)
 
 
-def _kernel(q: PointSet, x: PointSet, k: int, small: str, not_self: bool) -> DataFrame:
+def _kernel(q: PointSet, x: PointSet, k: int, small: str, not_self: bool, rows: int) -> DataFrame:
     """k rows for each query and task (or for each query, if the queries are the large side)."""
-    schema, block_of = schema_of(q, x), q.metric.block
-    s_ids, s_vals = collected(q if small == "q" else x)
+    schema, metric = schema_of(q, x), q.metric
+    s_ids, s_vals = collected(q if small == "q" else x, rows)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not len(s_ids):
             return
         best = Best(len(s_ids), k)
+        fixed = Near(metric, s_vals) if small == "x" else None
         for batch in batches:
             ids, values = ids_of(batch.column(0)), matrix(batch.column(1))
             if not len(ids):
                 continue
             order = np.argsort(ids, kind="stable")
             ids, values = ids[order], values[order]
-            a_ids, a_vals, b_ids, b_vals = (s_ids, s_vals, ids, values) if small == "q" else (ids, values, s_ids, s_vals)
-            step = max(1, _CELLS // len(b_ids))
+            a_ids, a_vals, b_ids = (s_ids, s_vals, ids) if small == "q" else (ids, values, s_ids)
+            near_of = Near(metric, values) if small == "q" else fixed
+            step = max(1, CELLS // len(b_ids))
             dists, nears = [], []
             for at in range(0, len(a_ids), step):
                 own = a_ids[at : at + step]
-                block = block_of(a_vals[at : at + step], b_vals)
-                if not_self:
-                    block[own[:, None] == b_ids[None, :]] = np.inf
-                columns = least_k(block, k)
+                places, dist = near_of.least(a_vals[at : at + step], k, own[:, None] == b_ids[None, :] if not_self else None)
                 if small == "q":
-                    dist, near = best.add(slice(at, at + step), columns, b_ids)
+                    dist, near = best.add(slice(at, at + step), places, dist, b_ids)
                     dists.append(dist)
                     nears.append(near)
                     continue
-                for col, dist in columns:
-                    fine = np.isfinite(dist)
-                    yield _batch(schema, own[fine], b_ids[col[fine]], dist[fine])
+                row, place = np.nonzero(np.isfinite(dist))
+                yield _batch(schema, own[row], b_ids[places[row, place]], dist[row, place])
             if small == "q":
                 best.dist, best.ids = np.concatenate(dists), np.concatenate(nears)
         if best.ids is not None:
@@ -130,10 +125,17 @@ def _kernel(q: PointSet, x: PointSet, k: int, small: str, not_self: bool) -> Dat
     return big.df.select("point_id", "value").mapInArrow(search, schema)
 
 
-def _nested(q: PointSet, x: PointSet, small: str, not_self: bool) -> DataFrame:
+def _nested(q: PointSet, x: PointSet, small: str | None, not_self: bool) -> DataFrame:
+    """All pairs as rows, measured by the Column: the small side is broadcast, or blocks of both meet where neither is."""
     a = q.df.select(F.col("point_id").alias("query_id"), F.col("value").alias("qv"))
     b = x.df.select(F.col("point_id").alias("neighbor_id"), F.col("value").alias("xv"))
-    both = F.broadcast(a).join(b, F.lit(True)) if small == "q" else a.join(F.broadcast(b), F.lit(True))
+    if small is None:
+        n = _GRID
+        a = a.withColumn("row", F.pmod(F.xxhash64("query_id"), F.lit(n))).withColumn("cell", F.explode(F.sequence(F.col("row") * n, F.col("row") * n + n - 1))).drop("row")
+        b = b.withColumn("own", F.pmod(F.xxhash64("neighbor_id"), F.lit(n))).withColumn("cell", F.explode(F.sequence(F.col("own"), F.col("own") + n * (n - 1), F.lit(n).cast("long")))).drop("own")
+        both = a.join(b, "cell")
+    else:
+        both = F.broadcast(a).join(b, F.lit(True)) if small == "q" else a.join(F.broadcast(b), F.lit(True))
     if not_self:
         both = both.where(F.col("query_id") != F.col("neighbor_id"))
     return both.select("query_id", "neighbor_id", q.metric.column(F.col("qv"), F.col("xv")).alias("dist"))
@@ -150,7 +152,7 @@ def blocks(q: PointSet, x: PointSet, k: int, rows: int = BLOCK_ROWS, rows_q: int
     own_q, own_x = (F.pmod(F.xxhash64("point_id"), F.lit(n)) for n in (n_q, n_x))
     a = q.df.select("point_id", "value", own_q.alias("own"), F.explode(F.sequence(F.lit(0), F.lit(n_x - 1))).alias("other")).select("point_id", "value", (F.col("own") * n_x + F.col("other")).alias("cell"))
     b = x.df.select("point_id", "value", own_x.alias("own"), F.explode(F.sequence(F.lit(0), F.lit(n_q - 1))).alias("other")).select("point_id", "value", (F.col("other") * n_x + F.col("own")).alias("cell"))
-    schema, block_of = schema_of(q, x), q.metric.block
+    schema, metric = schema_of(q, x), q.metric
 
     def meet(left: pa.Table, right: pa.Table) -> pa.Table:
         out = []
@@ -159,14 +161,12 @@ def blocks(q: PointSet, x: PointSet, k: int, rows: int = BLOCK_ROWS, rows_q: int
             x_ids, x_vals = ids_of(right.column("point_id")), matrix(right.column("value"))
             order = np.argsort(x_ids, kind="stable")
             x_ids, x_vals = x_ids[order], x_vals[order]
-            step = max(1, _CELLS // len(x_ids))
+            near_of, step = Near(metric, x_vals), max(1, CELLS // len(x_ids))
             for at in range(0, len(q_ids), step):
-                own, block = q_ids[at : at + step], block_of(q_vals[at : at + step], x_vals)
-                if not_self:
-                    block[own[:, None] == x_ids[None, :]] = np.inf
-                for col, dist in least_k(block, k):
-                    fine = np.isfinite(dist)
-                    out.append(_batch(schema, own[fine], x_ids[col[fine]], dist[fine]))
+                own = q_ids[at : at + step]
+                places, dist = near_of.least(q_vals[at : at + step], k, own[:, None] == x_ids[None, :] if not_self else None)
+                row, place = np.nonzero(np.isfinite(dist))
+                out.append(_batch(schema, own[row], x_ids[places[row, place]], dist[row, place]))
         return pa.Table.from_batches(out or [_batch(schema, [], [], [])])
 
     return a.groupBy("cell").cogroup(b.groupBy("cell")).applyInArrow(meet, schema)
@@ -197,8 +197,8 @@ def candidates(q: PointSet, x: PointSet, k: int, not_self: bool = False, rows_q:
     if plan.kind == "grid" and x.is_vector:
         return blocks(q, x, k, rows_q=rows_q, rows_x=rows_x, not_self=not_self)
     if plan.kind == "kernel":
-        return _kernel(q, x, k, plan.small, not_self)
-    return _nested(q, x, plan.small, not_self)
+        return _kernel(q, x, k, plan.small, not_self, rows_q if plan.small == "q" else rows_x)
+    return _nested(q, x, plan.small if plan.kind == "nested" else None, not_self)
 
 
 def nearest(q: PointSet, x: PointSet, k: int = 1, not_self: bool = False, **sizes: int) -> DataFrame:
@@ -235,15 +235,18 @@ def within(q: PointSet, x: PointSet, eps: float) -> DataFrame:
     """All pairs at most ``eps`` apart: ``query_id, neighbor_id, dist``."""
     if not x.is_vector:
         return _nested(q, x, "q", False).where(F.col("dist") <= eps)
-    schema, block_of = schema_of(q, x), q.metric.block
-    q_ids, q_vals = collected(q)
+    rows = q.df.count()
+    if bytes_of(rows, q) > BROADCAST_BYTES:
+        return _nested(q, x, None, False).where(F.col("dist") <= eps)
+    schema, metric = schema_of(q, x), q.metric
+    q_ids, q_vals = collected(q, rows)
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, values = ids_of(batch.column(0)), matrix(batch.column(1))
-            step = max(1, _CELLS // max(1, len(ids)))
+            step = max(1, CELLS // max(1, len(ids)))
             for at in range(0, len(q_ids), step) if len(ids) else ():
-                block = block_of(q_vals[at : at + step], values)
+                block = metric.block(q_vals[at : at + step], values)
                 row, col = np.nonzero(block <= eps)
                 yield _batch(schema, q_ids[at + row], ids[col], block[row, col])
 

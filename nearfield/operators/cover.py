@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from nearfield.operators import bruteforce as bf
+from nearfield.operators.kernels import CELLS, Near
 from nearfield.operators.sampling import bernoulli_pivots
 from nearfield.plans.planner import BROADCAST_BYTES, bytes_of
 from nearfield.sources.points import PointSet
@@ -24,12 +25,18 @@ from nearfield.sources.points import PointSet
 
 @dataclass(frozen=True)
 class Cover:
-    """``pivots``: pivot_id, value, psi, list_size.  ``lists``: pivot_id, owner_dist, point_id, value."""
+    """``pivots``: pivot_id, value, psi, list_size, alive.  ``lists``: pivot_id, owner_dist, point_id, value.
+
+    A pivot that was deleted is no longer ``alive``: it goes on routing to its list,
+    but it is no answer and bounds none.
+    """
 
     pivots: DataFrame
     lists: DataFrame
     points: PointSet
     layout: str
+    #: The pivots of a fresh cover as they were drawn, without what the lists tell of them.
+    sampled: DataFrame | None = None
 
     @property
     def pivot_set(self) -> PointSet:
@@ -46,23 +53,20 @@ def owners(x: PointSet, pivots: PointSet, n_pivots: int | None = None) -> DataFr
     if not x.is_vector or bytes_of(n_pivots, pivots) > BROADCAST_BYTES:
         best = bf.nearest(x, pivots, 1).select(F.col("query_id").alias("point_id"), F.col("neighbor_id").alias("pivot_id"), F.col("dist").alias("owner_dist"))
         return x.df.join(best, "point_id").select("point_id", "value", "pivot_id", "owner_dist")
-    r_ids, r_vals = bf.collected(pivots)
-    block_of = x.metric.block
+    r_ids, r_vals = bf.collected(pivots, n_pivots)
+    metric = x.metric
     schema = T.StructType([*x.df.select("point_id", "value").schema.fields, T.StructField("pivot_id", pivots.id_type), T.StructField("owner_dist", T.DoubleType())])
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        near_of, step = Near(metric, r_vals), max(1, CELLS // max(1, len(r_ids)))
         for batch in batches:
             values = bf.matrix(batch.column(1))
-            step = max(1, bf._CELLS // max(1, len(r_ids)))
-            at, dist = [], []
+            at, dist = [np.empty(0, np.int64)], [np.empty(0)]
             for start in range(0, len(values), step):
-                block = block_of(values[start : start + step], r_vals)
-                own = block.argmin(axis=1)
-                at.append(own)
-                dist.append(block[np.arange(len(own)), own])
-            own = np.concatenate(at) if at else np.empty(0, int)
-            ids = bf.as_arrow(r_ids[own])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), ids, pa.array(np.concatenate(dist) if dist else np.empty(0))], schema.names)
+                places, near = near_of.least(values[start : start + step], 1)
+                at.append(places[:, 0])
+                dist.append(near[:, 0])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), bf.as_arrow(r_ids[np.concatenate(at)]), pa.array(np.concatenate(dist))], schema.names)
 
     return x.df.select("point_id", "value").mapInArrow(assign, schema)
 
@@ -72,10 +76,15 @@ def radii(lists: DataFrame) -> DataFrame:
     return lists.groupBy("pivot_id").agg(F.max("owner_dist").alias("psi"), F.count(F.lit(1)).alias("list_size"))
 
 
+def sized(sampled: DataFrame, lists: DataFrame) -> DataFrame:
+    """Drawn pivots (pivot_id, value) with the radius and size of their lists; all are alive."""
+    met = sampled.join(radii(lists), "pivot_id", "left")
+    return met.select("pivot_id", "value", F.coalesce("psi", F.lit(0.0)).alias("psi"), F.coalesce("list_size", F.lit(0)).alias("list_size"), F.lit(True).alias("alive"))
+
+
 def _covered(x: PointSet, pivots: PointSet, lists: DataFrame, layout: str) -> Cover:
     named = pivots.df.select(F.col("point_id").alias("pivot_id"), "value")
-    sized = named.join(radii(lists), "pivot_id", "left").select("pivot_id", "value", F.coalesce("psi", F.lit(0.0)).alias("psi"), F.coalesce("list_size", F.lit(0)).alias("list_size"))
-    return Cover(sized, lists, x, layout)
+    return Cover(sized(named, lists), lists, x, layout, named)
 
 
 def build_exact(x: PointSet, n_r: float, seed: int = 1, n: int | None = None, levels: int = 1) -> Cover:
@@ -122,7 +131,7 @@ def nearest_points(pivots: PointSet, x: PointSet, s: int, n: int) -> DataFrame:
         return found.join(x.df.select(F.col("point_id").alias("neighbor_id"), "value"), "neighbor_id").select(F.col("query_id").alias("pivot_id"), F.col("dist").alias("owner_dist"), F.col("neighbor_id").alias("point_id"), "value")
     r_ids, r_vals = bf.collected(pivots)
     cut = _holding(x, r_vals, _cutoffs(x, r_vals, s, n), min(s, n))
-    block_of = x.metric.block
+    metric = x.metric
     schema = T.StructType([T.StructField("pivot_id", pivots.id_type), T.StructField("owner_dist", T.DoubleType()), *x.df.select("point_id", "value").schema.fields])
 
     def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -130,17 +139,16 @@ def nearest_points(pivots: PointSet, x: PointSet, s: int, n: int) -> DataFrame:
             values = bf.matrix(batch.column(1))
             if not len(values):
                 continue
-            step = max(1, bf._CELLS // len(values))
+            step = max(1, CELLS // len(values))
             for at in range(0, len(r_ids), step):
-                block = block_of(r_vals[at : at + step], values)
+                block = metric.block(r_vals[at : at + step], values)
                 limit = cut[at : at + step]
                 if s < block.shape[1]:
                     # A batch's own s-th distance bounds what it can add to a list.
                     limit = np.minimum(limit, np.partition(block, s - 1, axis=1)[:, s - 1])
-                row, col = np.nonzero(block <= limit[:, None])
+                row, col = np.divmod(np.flatnonzero(block <= limit[:, None]), block.shape[1])
                 take = pa.array(col.astype(np.int64))
-                ids = r_ids[at + row]
-                yield pa.RecordBatch.from_arrays([bf.as_arrow(ids), pa.array(block[row, col]), batch.column(0).take(take), batch.column(1).take(take)], schema.names)
+                yield pa.RecordBatch.from_arrays([bf.as_arrow(r_ids[at + row]), pa.array(block[row, col]), batch.column(0).take(take), batch.column(1).take(take)], schema.names)
 
     order = Window.partitionBy("pivot_id").orderBy("owner_dist", "point_id")
     ranked = x.df.select("point_id", "value").mapInArrow(near, schema).withColumn("position", F.row_number().over(order))
@@ -165,17 +173,15 @@ def _holding(x: PointSet, r_vals: np.ndarray, cut: np.ndarray, least: int) -> np
     """The radii, infinite for pivots where fewer than ``least`` points of X are within."""
     if not np.isfinite(cut).any():
         return cut
-    block_of = x.metric.block
+    metric = x.metric
 
     def inside(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.zeros(len(cut), np.int64)
         for batch in batches:
             values = bf.matrix(batch.column(1))
-            if not len(values):
-                continue
-            step = max(1, bf._CELLS // len(values))
-            for at in range(0, len(cut), step):
-                held[at : at + step] += (block_of(r_vals[at : at + step], values) <= cut[at : at + step, None]).sum(axis=1)
+            step = max(1, CELLS // max(1, len(values)))
+            for at in range(0, len(cut), step) if len(values) else ():
+                held[at : at + step] += np.count_nonzero(metric.block(r_vals[at : at + step], values) <= cut[at : at + step, None], axis=1)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(cut), dtype=np.int32)), pa.array(held)], ["pivot", "held"])
 
     held = np.zeros(len(cut), np.int64)
@@ -189,7 +195,7 @@ def append(cover: Cover, more: PointSet) -> Cover:
     fresh = owners(more, cover.pivot_set).select("pivot_id", "owner_dist", "point_id", "value")
     grown = radii(fresh).select("pivot_id", F.col("psi").alias("p2"), F.col("list_size").alias("n2"))
     pivots = cover.pivots.join(grown, "pivot_id", "left").select(
-        "pivot_id", "value", F.greatest("psi", F.coalesce("p2", F.lit(0.0))).alias("psi"), (F.col("list_size") + F.coalesce("n2", F.lit(0))).alias("list_size")
+        "pivot_id", "value", F.greatest("psi", F.coalesce("p2", F.lit(0.0))).alias("psi"), (F.col("list_size") + F.coalesce("n2", F.lit(0))).alias("list_size"), "alive"
     )
     return Cover(pivots, cover.lists.unionByName(fresh), PointSet(cover.points.df.unionByName(more.df.select(cover.points.df.columns)), more.metric), cover.layout)
 
@@ -199,8 +205,10 @@ def delete(cover: Cover, ids: DataFrame) -> Cover:
     gone = ids.select("point_id").distinct()
     lists = cover.lists.join(gone, "point_id", "left_anti").select(cover.lists.columns)
     sizes = lists.groupBy("pivot_id").agg(F.count(F.lit(1)).alias("n"))
-    pivots = cover.pivots.join(sizes, "pivot_id", "left").select("pivot_id", "value", "psi", F.coalesce("n", F.lit(0)).alias("list_size"))
-    return Cover(pivots, lists, PointSet(cover.points.df.join(gone, "point_id", "left_anti"), cover.points.metric), cover.layout)
+    dead = gone.select(F.col("point_id").alias("pivot_id"), F.lit(True).alias("dead"))
+    pivots = cover.pivots.join(sizes, "pivot_id", "left").join(dead, "pivot_id", "left")
+    left = pivots.select("pivot_id", "value", "psi", F.coalesce("n", F.lit(0)).alias("list_size"), (F.col("alive") & F.col("dead").isNull()).alias("alive"))
+    return Cover(left, lists, PointSet(cover.points.df.join(gone, "point_id", "left_anti"), cover.points.metric), cover.layout)
 
 
 def describe(cover: Cover) -> DataFrame:

@@ -17,20 +17,21 @@ def nearest_pivots(q: PointSet, cover: Cover, probes: int = 1) -> DataFrame:
     return found.select("query_id", F.col("neighbor_id").alias("pivot_id"), F.col("dist").alias("dist_qr"))
 
 
-def _read(q: PointSet, cover: Cover, k: int, probes: int, eps: float | None = None) -> tuple[DataFrame, DataFrame]:
-    near = nearest_pivots(q, cover, probes)
-    spans = near.join(F.broadcast(cover.pivots.select("pivot_id", "psi")), "pivot_id").select("query_id", "pivot_id", "dist_qr", F.lit(0.0).alias("lo"), F.col("psi").alias("hi"))
-    return near, exact.scan_lists(q, spans, cover, k, eps)
+def _read(q: PointSet, cover: Cover, k: int | None, probes: int, eps: float = float("inf")) -> DataFrame:
+    spans = nearest_pivots(q, cover, probes).join(cover.pivots.select("pivot_id", "psi"), "pivot_id").select("query_id", "pivot_id", "dist_qr", F.lit(0.0).alias("lo"), F.col("psi").alias("hi"))
+    if not q.is_vector:
+        return exact._by_join(q, spans, cover, eps)
+    return exact._answers(exact.scan_lists(q, spans.withColumn("limit", F.lit(float(eps))), cover, k))
 
 
 def search(q: PointSet, cover: Cover, k: int = 1, probes: int = 1) -> DataFrame:
     """``query_id, neighbor_id, dist, rank_no``; a neighbour on several lists counts once."""
-    _, found = _read(q, cover, k, probes)
+    found = _read(q, cover, k, probes)
     return bf.reduce_rows(found, k) if q.is_vector else bf.reduce_top_k(found, k)
 
 
 def within(q: PointSet, cover: Cover, eps: float, probes: int = 1) -> DataFrame:
-    _, found = _read(q, cover, 1, probes, eps)
+    found = _read(q, cover, None, probes, eps)
     return found.select("query_id", "neighbor_id", "dist").distinct()
 
 
@@ -40,7 +41,7 @@ def certified(q: PointSet, cover: Cover) -> DataFrame:
     The list holds all points nearer to the pivot than its radius, and every
     point nearer to the query than the answer is among them.
     """
-    near = nearest_pivots(q, cover, 1).join(F.broadcast(cover.pivots.select("pivot_id", "psi")), "pivot_id")
+    near = nearest_pivots(q, cover, 1).join(cover.pivots.select("pivot_id", "psi"), "pivot_id")
     return search(q, cover).join(near, "query_id").select("query_id", "neighbor_id", "dist", ((F.col("dist_qr") + F.col("dist")) * (1 + exact.SLACK) < F.col("psi")).alias("certified"))
 
 

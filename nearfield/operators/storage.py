@@ -7,10 +7,13 @@ excludes.
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from nearfield.operators.cover import Cover
+from nearfield.operators.cover import Cover, sized
+from nearfield.sources.scratch import shared_dir
 from nearfield.sources.points import PointSet
 
 
@@ -46,3 +49,21 @@ def chunked(lists: DataFrame, most: int) -> DataFrame:
     met = lists.join(F.broadcast(sizes), "pivot_id")
     place = F.size(F.filter("cuts", lambda c: c < F.col("owner_dist")))
     return met.withColumn("chunk", F.when(F.col("n") > most, place).otherwise(0)).drop("n", "cuts")
+
+
+def settled(cover: Cover, clustered: bool = False) -> Cover:
+    """The cover written once to the session's shared folder: every point is assigned once, however often it is searched.
+
+    ``clustered`` also sorts the lists by (pivot, owner distance) for a cover that is searched again and again.
+    """
+    spark = cover.lists.sparkSession
+    path = f"{shared_dir(spark)}/cover-{uuid.uuid4().hex}"
+    lists = cluster_by_pivot(cover.lists) if clustered else cover.lists
+    lists.write.parquet(f"{path}/lists")
+    kept = spark.read.schema(cover.lists.schema).parquet(f"{path}/lists")
+    pivots = cover.pivots
+    if cover.sampled is not None:
+        # Radii and sizes of a fresh cover come from the lists as they were written.
+        pivots = sized(cover.sampled, kept)
+    pivots.coalesce(1).write.parquet(f"{path}/pivots")
+    return Cover(spark.read.schema(pivots.schema).parquet(f"{path}/pivots"), kept, cover.points, cover.layout)

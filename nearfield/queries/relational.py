@@ -10,7 +10,7 @@ from nearfield.operators import bruteforce as bf
 from nearfield.operators import cover as cv
 from nearfield.operators import exact, oneshot, storage
 from nearfield.queries.common import SEED, held_out, metric_of, n_pivots, nearest_sql, rounded, sets_sql
-from nearfield.queries.search import ALPHA, COVER, _cover, _oneshot, oneshot_sql, rules_sql
+from nearfield.queries.search import ALPHA, COVER, _cover, _oneshot, oneshot_lists_sql, oneshot_sql, rules_sql
 from nearfield.sources import features, pointset
 from nearfield.sources.features import table
 from nearfield.streaming.search import scratch
@@ -405,7 +405,7 @@ QUERIES = {
     "case_coalesce": (case_coalesce, "SELECT CASE WHEN o_totalprice > 300000 THEN 'large' WHEN o_totalprice > 100000 THEN 'middle' ELSE 'small' END AS kind, coalesce(nullif(o_orderstatus, 'P'), '?') AS status, count(*) AS n FROM orders GROUP BY ALL"),
     "join_lists_merge": (join_lists_merge, f"WITH {LISTS} SELECT l.pivot_id, count(*) AS n, count(*) FILTER (WHERE owner_dist = psi) AS on_edge FROM l JOIN pv USING (pivot_id) GROUP BY 1"),
     "join_semi_ids": (join_semi_ids, "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_acctbal > 5000) GROUP BY 1"),
-    "join_anti_uncovered": (join_anti_uncovered, None),
+    "join_anti_uncovered": (join_anti_uncovered, f"WITH {oneshot_lists_sql('cust2', 1.0)} SELECT id AS point_id FROM x WHERE id NOT IN (SELECT point_id FROM ol)"),
     "join_range_window": (join_range_window, f"WITH {LISTS} SELECT r.ring::INTEGER AS ring, count(*) AS n FROM l JOIN pv USING (pivot_id), range(10) r(ring) WHERE psi > 0 AND owner_dist >= psi * ring / 10 AND owner_dist < psi * (ring + 1) / 10 GROUP BY 1"),
     "join_asof_events": (join_asof_events, "SELECT event_id, earlier_id FROM (SELECT *, last_value(CASE WHEN event_type <> 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS earlier_id FROM events) WHERE event_type = 'purchase'"),
     "join_lateral_topk": (join_lateral_topk, "SELECT o_custkey AS c_custkey, o_orderkey, o_totalprice FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer) QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2"),

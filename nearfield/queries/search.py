@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from nearfield.functions import graphdist, metrics, projection
 from nearfield.operators import bruteforce as bf
 from nearfield.operators import cover as cv
-from nearfield.operators import exact, lsh, oneshot, trees
+from nearfield.operators import exact, lsh, oneshot, storage, trees
 from nearfield.operators.sampling import bernoulli_pivots, draw, farthest_first, fixed_pivots, nested_pivots
 from nearfield.plans import evaluate, planner, theory
 from nearfield.queries.common import EVERY, SEED, Query, held_out, key_sql, lists_sql, metric_of, n_pivots, nearest_sql, pivots_sql, rounded, sets_sql, within_sql
@@ -22,13 +22,13 @@ ALPHA = 4.0
 
 def _cover(x: PointSet, alpha: float = ALPHA) -> cv.Cover:
     n = x.df.count()
-    return cv.build_exact(x, n_pivots(n, alpha), SEED, n)
+    return storage.settled(cv.build_exact(x, n_pivots(n, alpha), SEED, n))
 
 
 def _oneshot(x: PointSet, alpha: float = ALPHA) -> cv.Cover:
     n = x.df.count()
     n_r = n_pivots(n, alpha)
-    return cv.build_oneshot(x, n_r, n_r, SEED, n)
+    return storage.settled(cv.build_oneshot(x, n_r, n_r, SEED, n))
 
 
 def bf_nn(name: str) -> Query:
@@ -110,6 +110,11 @@ def bf_lists_orders2(spark: SparkSession, d: str) -> DataFrame:
     return rounded(bf.nearest_in_lists(q, oneshot.nearest_pivots(q, cover), cover.lists))
 
 
+def _bf_lists_sql(name: str) -> str:
+    m = metric_of(name)
+    return f"WITH {COVER(name)}, near AS (SELECT q.id AS query_id, q.v AS qv, r.id AS pivot_id FROM q, r QUALIFY row_number() OVER (PARTITION BY q.id ORDER BY {m.sql('q.v', 'r.v')}, r.id) = 1), f AS (SELECT query_id, point_id, {m.sql('qv', 'l.v')} AS d FROM near JOIN l USING (pivot_id)) SELECT query_id, point_id AS neighbor_id, round(d, 6) AS dist FROM f QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY d, point_id) = 1"
+
+
 def bf_distances_cust2(spark: SparkSession, d: str) -> DataFrame:
     """All distances from the queries to the pivots, kept."""
     q, x = held_out(spark, d, "cust2")
@@ -153,6 +158,9 @@ def cover_exact_sizes(spark: SparkSession, d: str) -> DataFrame:
 COVER = lambda name, alpha=ALPHA: f"{sets_sql(name)}, {pivots_sql(alpha)}, {lists_sql(metric_of(name))}"
 
 
+BF_LISTS_SQL = _bf_lists_sql("orders2")
+
+
 def cover_oneshot_lists(spark: SparkSession, d: str) -> DataFrame:
     _, x = held_out(spark, d, "cust2")
     return _oneshot(x, 2.0).lists.select("pivot_id", "point_id", F.round("owner_dist", 6).alias("owner_dist"))
@@ -231,6 +239,12 @@ def exact_rules_sql(which: str, name: str = "orders2") -> str:
     return f"WITH {rules_sql(name, rules, window, ring)}, e AS (SELECT query_id, count(*) AS examined FROM kept JOIN l ON kept.pivot_id = l.pivot_id AND owner_dist BETWEEN lo AND hi GROUP BY ALL), k AS (SELECT query_id, count(*) AS pivots_kept, sum(list_size)::BIGINT AS listed FROM kept WHERE hi >= lo GROUP BY ALL) SELECT k.query_id, pivots_kept, listed, coalesce(examined, 0) AS examined FROM k LEFT JOIN e USING (query_id)"
 
 
+def exact_measured(spark: SparkSession, d: str) -> DataFrame:
+    """The distances that the kernels of the search measured for each query, which are those that the bounds leave."""
+    q, x = held_out(spark, d, "orders2")
+    return exact.measured(q, _cover(x), window="tight")
+
+
 def ablation(spark: SparkSession, d: str) -> DataFrame:
     """The mean work of every rule set on events, one row each."""
     q, x = held_out(spark, d, "events3")
@@ -382,14 +396,7 @@ COVER_APPEND_SQL = f"WITH {sets_sql('events3')}, x0 AS (SELECT * FROM x WHERE id
 def cover_delete(spark: SparkSession, d: str) -> DataFrame:
     """Exact search after a fifth of the points were deleted: pivots route, but deleted ones are no answers."""
     q, x = held_out(spark, d, "orders2")
-    cover = cv.delete(_cover(x), x.df.where(F.col("point_id") % 5 == 0).select("point_id"))
-    alive = cover.lists.select("pivot_id", "point_id")
-    living = cover.pivots.join(alive.where("pivot_id = point_id").select("pivot_id"), "pivot_id", "left_semi")
-    # Only living pivots bound the answer; dead ones keep their lists reachable through the radius rule.
-    gamma = bf.nearest(q, PointSet(living.select(F.col("pivot_id").alias("point_id"), "value"), x.metric)).select("query_id", F.col("dist").alias("g"))
-    d_qr = bf.all_distances(q, cover.pivot_set).join(cover.pivots.select("pivot_id", "psi"), "pivot_id").join(gamma, "query_id")
-    kept = d_qr.where(F.col("dist") <= (F.col("g") + F.col("psi")) * (1 + 1e-9) + 1e-12).select("query_id", "pivot_id", F.greatest(F.lit(0.0), F.col("dist") - F.col("g") * (1 + 1e-9) - 1e-12).alias("lo"), F.col("psi").alias("hi"))
-    return rounded(bf.reduce_rows(exact.scan_lists(q, kept, cover, 1), 1))
+    return rounded(exact.search(q, cv.delete(_cover(x), x.df.where(F.col("point_id") % 5 == 0).select("point_id"))))
 
 
 COVER_DELETE_SQL = f"WITH {sets_sql('orders2')}, m AS (SELECT q.id AS query_id, min(struct_pack(d := {metric_of('orders2').sql('q.v', 'x.v')}, i := x.id)) AS b FROM q, x WHERE x.id % 5 <> 0 GROUP BY q.id) SELECT query_id, b.i AS neighbor_id, round(b.d, 6) AS dist FROM m"
@@ -416,6 +423,9 @@ def containment_7gamma(spark: SparkSession, d: str) -> DataFrame:
     return evaluate.containment(q, _cover(x)).select("pivots_outside", "points_outside")
 
 
+CONTAINMENT_SQL = f"WITH {rules_sql('orders2', ('triple',), 'paper')}, p AS (SELECT count(*) FILTER (WHERE dist_qr > 3 * g * (1 + 1e-9) + 1e-9) AS n FROM kept), f AS (SELECT count(*) FILTER (WHERE {metric_of('orders2').sql('qv', 'l.v')} > 7 * g * (1 + 1e-9) + 1e-9) AS n FROM kept JOIN l ON kept.pivot_id = l.pivot_id AND owner_dist BETWEEN lo AND hi) SELECT p.n AS pivots_outside, f.n AS points_outside FROM p, f"
+
+
 def expansion_rate_grid(spark: SparkSession, d: str) -> DataFrame:
     """The worst ball ratio at the centre of a cube of integer points under l1, by radius."""
     points = PointSet(theory.grid(spark, 16, 3), metrics.l1(3))
@@ -508,7 +518,18 @@ def metric_axioms(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-AXIOMS_SQL = "SELECT m AS metric, a AS axiom, 0::BIGINT AS violations FROM (VALUES ('l2'), ('l1'), ('edit')) x(m), (VALUES ('identity'), ('symmetry'), ('sign'), ('triangle')) y(a)"
+def _axioms_sql(name: str, source: str, m: metrics.Metric) -> str:
+    head = f"WITH s AS MATERIALIZED ({source}), p AS MATERIALIZED (SELECT a.id AS ia, b.id AS ib, {m.sql('a.v', 'b.v')} AS d, {m.sql('b.v', 'a.v')} AS e FROM s a, s b)"
+    two = ", ".join(f"count(*) FILTER (WHERE {c}) AS {n}" for n, c in (("identity", "ia = ib AND abs(d) > 1e-9"), ("symmetry", "abs(d - e) > 1e-9"), ("sign", "d < -1e-9")))
+    three = "(SELECT count(*) FROM p ab JOIN p bc ON ab.ib = bc.ia JOIN p ac ON ac.ia = ab.ia AND ac.ib = bc.ib WHERE ac.d > ab.d + bc.d + 1e-9) AS triangle"
+    return f"({head}, t AS (SELECT {two}, {three} FROM p) SELECT '{name}' AS metric, axiom, violations::BIGINT AS violations FROM (UNPIVOT t ON identity, symmetry, sign, triangle INTO NAME axiom VALUE violations))"
+
+
+def _fixed_sql(name: str, k: int) -> str:
+    return f"SELECT id, v FROM ({features.SQL[name]}) ORDER BY substr(md5(id||':1'),1,8), id LIMIT {k}"
+
+
+AXIOMS_SQL = " UNION ALL ".join((_axioms_sql("l2", features.SQL["supp2"], metric_of("supp2")), _axioms_sql("l1", _fixed_sql("part2_l1", 60), metric_of("part2_l1")), _axioms_sql("edit", _fixed_sql("urls", 40), metric_of("urls"))))
 
 
 def tree_nn(kind: type, name: str, chunks: int = 1) -> Query:
@@ -592,6 +613,14 @@ def draws(spark: SparkSession, d: str) -> DataFrame:
     return features.orders2(spark, d).df.select(F.substring(draw(F.col("point_id"), SEED), 1, 1).alias("digit")).groupBy("digit").agg(F.count(F.lit(1)).alias("rows"))
 
 
+FARTHEST_SQL = f"WITH RECURSIVE s AS MATERIALIZED ({features.SQL['supp2']}), w(place, ids, vs) AS ((SELECT 0, [id], [v] FROM s ORDER BY id LIMIT 1) UNION ALL (SELECT place + 1, list_append(ids, s.id), list_append(vs, s.v) FROM w, s WHERE place < 7 QUALIFY row_number() OVER (ORDER BY list_min(list_transform(vs, lambda c: {metric_of('supp2').sql('c', 's.v')})) DESC, s.id) = 1)) SELECT place::INTEGER AS place, ids[place + 1] AS point_id FROM w"
+
+
+def _projected_rank_sql(k: int) -> str:
+    full, m = features.SQL["emb64"], metrics.l2(64)
+    return f"(WITH a AS MATERIALIZED ({rp_sql(k)}), e AS MATERIALIZED ({full}), n AS (SELECT a.query_id, q.v AS qv, {m.sql('q.v', 'y.v')} AS d FROM a JOIN e q ON q.id = a.query_id JOIN e y ON y.id = a.neighbor_id), c AS (SELECT query_id, count(*) FILTER (WHERE {m.sql('qv', 'e.v')} < d - 1e-9) AS closer FROM n, e WHERE e.id % {EVERY} <> 0 GROUP BY 1) SELECT {k} AS width, count(*) AS queries, round(avg(closer), 6) AS mean_rank, round(avg((closer = 0)::INTEGER), 6) AS exact_share FROM c)"
+
+
 _METRICS = {
     "linf_nn_part": _metric_query("part2", lambda: metrics.linf(2)),
     "l3_nn_part": _metric_query("part2", lambda: metrics.lp(2, 3.0)),
@@ -616,12 +645,12 @@ QUERIES: dict[str, tuple[Query, str | None]] = (
         "bf_single_events": (bf_single_events, BF_SINGLE_SQL),
         "bf_self_cust2": (bf_self_cust2, BF_SELF_SQL),
         "bf_blocks_rp16": (bf_blocks_rp16, rp_sql(16, "sign")),
-        "bf_lists_orders2": (bf_lists_orders2, None),
+        "bf_lists_orders2": (bf_lists_orders2, BF_LISTS_SQL),
         "bf_distances_cust2": (bf_distances_cust2, BF_DISTANCES_SQL),
         "pivots_line4": (pivots_line4, f"WITH {sets_sql('line4')}, {pivots_sql(ALPHA)} SELECT id AS point_id FROM r"),
         "pivots_fixed": (pivots_fixed, f"SELECT id AS point_id FROM ({features.SQL['orders2']}) ORDER BY substr(md5(id||':{SEED}'),1,8), id LIMIT 64"),
         "pivots_nested": (pivots_nested, PIVOTS_NESTED_SQL),
-        "pivots_farthest": (pivots_farthest, None),
+        "pivots_farthest": (pivots_farthest, FARTHEST_SQL),
         "pivots_draws": (draws, f"SELECT substr(md5(o_orderkey||':{SEED}'),1,1) AS digit, count(*) AS rows FROM orders GROUP BY 1"),
         "cover_exact_sizes": (cover_exact_sizes, f"WITH {COVER('orders2')} SELECT pivot_id, round(psi, 6) AS psi, list_size FROM pv"),
         "cover_oneshot_lists": (cover_oneshot_lists, f"WITH {oneshot_lists_sql('cust2', 2.0)} SELECT pivot_id, point_id, round(owner_dist, 6) AS owner_dist FROM ol"),
@@ -642,13 +671,14 @@ QUERIES: dict[str, tuple[Query, str | None]] = (
         "approx_nn_bound": (approx_nn_bound, f"WITH {sets_sql('line4')} SELECT id AS query_id, true AS within_ratio FROM q"),
         "exact_recursive": (exact_recursive, nearest_sql("orders2")),
         "exact_doc54": (exact_doc54, DOC54_SQL),
+        "exact_measured_orders2": (exact_measured, f"SELECT query_id, examined FROM ({exact_rules_sql('ring')}) WHERE examined > 0"),
         "rule_ablation": (ablation, ablation_sql()),
         "pivot_sensitivity": (sensitivity, SENSITIVITY_SQL),
         "rank_error": (rank_error, rank_sql("orders2", 1.0)),
         "success_rate": (success_rate, f"SELECT count(*) AS queries, round(avg((closer = 0)::INTEGER), 6) AS success FROM ({rank_sql('orders2', 1.0)})"),
         "work_speedup": (work_speedup, WORK_SQL),
         "ball_gamma_counts": (ball_gamma_counts, BALL_SQL),
-        "containment_7gamma": (containment_7gamma, "SELECT 0::BIGINT AS pivots_outside, 0::BIGINT AS points_outside"),
+        "containment_7gamma": (containment_7gamma, CONTAINMENT_SQL),
         "expansion_rate_grid": (expansion_rate_grid, GRID_SQL),
         "expansion_rate_exact": (expansion_rate_exact, EXPANSION_SQL),
         "expansion_rate_orders2": (expansion_rate_orders2, EXPANSION_SAMPLED_SQL),
@@ -665,7 +695,7 @@ QUERIES: dict[str, tuple[Query, str | None]] = (
         "lsh_nn": (lsh_nn, None),
         "projection_sign": (projection_sign, PROJECTION_SQL),
         "projection_distortion": (projection_distortion, " UNION ALL ".join(_distortion_sql(k) for k in (4, 8, 16, 32))),
-        "projected_rank": (projected_rank, None),
+        "projected_rank": (projected_rank, " UNION ALL ".join(_projected_rank_sql(k) for k in (4, 8, 16, 32))),
         "features_docgrams": (features_docgrams, f"WITH d AS (SELECT doc_id, lower(text) AS t FROM documents), g AS (SELECT doc_id AS point_id, (unicode(substr(t, i, 1)) * 961 + unicode(substr(t, i + 1, 1)) * 31 + unicode(substr(t, i + 2, 1))) % {features.GRAMS} AS place FROM d, unnest(range(1, length(t) - 1)) AS u(i)) SELECT point_id, place::INTEGER AS place, count(*) AS n FROM g GROUP BY ALL"),
         "planner_choice": (planner_choice, PLANNER_SQL),
     }

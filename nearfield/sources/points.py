@@ -20,7 +20,7 @@ class PointSet:
 
     @property
     def is_vector(self) -> bool:
-        return self.metric.block is not None
+        return self.metric.cells is not None
 
     @property
     def id_type(self) -> T.DataType:

@@ -7,7 +7,9 @@ keep state.
 
 from __future__ import annotations
 
-import tempfile
+import os
+import re
+import uuid
 from collections.abc import Callable, Iterator
 from typing import Any
 
@@ -19,25 +21,19 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from nearfield.operators import exact, oneshot
 from nearfield.operators.cover import Cover
 from nearfield.sources.points import PointSet
+from nearfield.sources.scratch import shared_dir
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh folder for checkpoints and sinks, in the session's shared folder if it names one."""
-    shared = spark.conf.get("spark.checkpoint.dir", None)
-    if not shared:
-        return tempfile.mkdtemp(prefix=f"{name}-")
-    import uuid
-
-    return f"{shared}/{name}-{uuid.uuid4().hex}"
+    """A fresh folder for checkpoints and sinks in the session's shared folder."""
+    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def read_events(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) -> DataFrame:
     """The events table as a stream of files; its zone-less times become times, as watermarks need."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     source = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch)
-    import re
-
-    if re.match(r"^[a-z][a-z0-9+.-]*://", sf_dir) or __import__("os").path.isdir(f"{sf_dir}/events.parquet"):
+    if re.match(r"^[a-z][a-z0-9+.-]*://", sf_dir) or os.path.isdir(f"{sf_dir}/events.parquet"):
         stream = source.parquet(f"{sf_dir}/events.parquet")
     else:
         stream = source.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
@@ -48,7 +44,8 @@ def finish(stream: DataFrame, name: str, mode: str = "append", each: Callable[[D
     """Run a stream over what is there, and read what it wrote.
 
     Complete and update results go through ``foreachBatch``: each batch rewrites
-    or adds its rows.
+    all rows, or the folder of its own number, so a batch that is run again
+    leaves its rows once.
     """
     spark = stream.sparkSession
     out, marks = scratch(spark, f"{name}-out"), scratch(spark, f"{name}-marks")
@@ -57,11 +54,11 @@ def finish(stream: DataFrame, name: str, mode: str = "append", each: Callable[[D
         def put(batch: DataFrame, number: int) -> None:
             if each is not None:
                 batch = each(batch, number)
-            batch.write.mode("overwrite" if mode == "complete" else "append").parquet(out)
+            batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={number}")
 
         writer.foreachBatch(put).start().awaitTermination()
-    else:
-        writer.format("parquet").option("path", out).start().awaitTermination()
+        return spark.read.parquet(out).drop("batch")
+    writer.format("parquet").option("path", out).start().awaitTermination()
     return spark.read.parquet(out)
 
 

@@ -239,3 +239,84 @@ def test_oneshot_lists_are_full_where_a_radius_holds_too_few(spark, monkeypatch)
     want = {(r.pivot_id, r.point_id) for r in cv.build_oneshot(x, 20, 15, 3, 300).lists.collect()}
     monkeypatch.setattr(cv, "_cutoffs", lambda x, r_vals, s, n: np.where(np.arange(len(r_vals)) % 2, 0.5, 100.0))
     assert {(r.pivot_id, r.point_id) for r in cv.build_oneshot(x, 20, 15, 3, 300).lists.collect()} == want
+
+
+def test_deleted_pivots_route_but_answer_nothing(spark):
+    x, c = cover_of(spark, LINE, [1, 4])
+    left = cv.delete(c, spark.createDataFrame([(1,)], "point_id long"))
+    assert answers(exact.search(points(spark, [(99, [1.1])]), left)) == {99: (2, 0.9)}
+    rows = cloud(12, 240, 2)
+    x, q = points(spark, rows[40:]), points(spark, rows[:40])
+    c = cv.build_exact(x, 20, 3, 200)
+    gone = c.pivots.select(F.col("pivot_id").alias("point_id")).where("point_id % 3 > 0").union(x.df.select("point_id").where("point_id % 5 = 0"))
+    left = cv.delete(c, gone)
+    rest = PointSet(x.df.join(gone, "point_id", "left_anti"), x.metric)
+    for k in (1, 4):
+        want = {(r.query_id, r.rank_no): (r.neighbor_id, round(r.dist, 9)) for r in bf.nearest(q, rest, k).collect()}
+        assert {(r.query_id, r.rank_no): (r.neighbor_id, round(r.dist, 9)) for r in exact.search(q, left, k).collect()} == want
+    grown = cv.append(left, x.where(F.col("point_id") % 5 == 0))
+    back = PointSet(rest.df.union(x.df.where("point_id % 5 = 0")).dropDuplicates(["point_id"]), x.metric)
+    assert answers(exact.search(q, grown)) == answers(bf.nearest(q, back))
+
+
+@pytest.mark.parametrize("ring", [False, True])
+def test_kernels_measure_what_the_spans_hold(spark, ring):
+    rows = cloud(13, 400, 3)
+    x, q = points(spark, rows[50:]), points(spark, rows[:50])
+    c = cv.build_exact(x, 20, 3, 350)
+    counted = {r.query_id: r.examined for r in evaluate.work(q, c, ring=ring, seeds=False).collect()}
+    seen = {r.query_id: r.examined for r in exact.measured(q, c, ring=ring).collect()}
+    assert seen == {i: n for i, n in counted.items() if n}
+    assert sum(seen.values()) < 50 * 350 / 2
+
+
+def test_sent_and_met_searches_agree_also_with_hot_lists(spark, monkeypatch):
+    rows = [*cloud(14, 300, 2), *[(1000 + i, [0.5, 0.5]) for i in range(200)]]
+    x, q = points(spark, rows[40:]), points(spark, rows[:40])
+    c = cv.build_exact(x, 12, 3, 460)
+    kept = exact.survivors(q, c, 3)
+    sent = bf.reduce_rows(exact._answers(exact.scan_lists(q, kept, c, 3, True)), 3)
+    monkeypatch.setattr(exact, "SLAB", 64)
+    monkeypatch.setattr(exact, "ASKED", 16)
+    met = bf.reduce_rows(exact._answers(exact.scan_lists(q, kept, c, 3, True, limit=0)), 3)
+    plain = lambda df: {(r.query_id, r.rank_no): (r.neighbor_id, round(r.dist, 9)) for r in df.collect()}
+    assert plain(sent) == plain(met) == plain(bf.nearest(q, x, 3))
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.integers(1, 9), st.integers(1, 40), st.integers(1, 6), st.integers(0, 2**32 - 1), st.sampled_from([1.0, 1e-6, 1e6]))
+def test_near_equals_a_sort_of_all_distances(width, n, k, seed, scale):
+    from nearfield.operators.kernels import Near
+
+    rng = np.random.default_rng(seed)
+    b = rng.integers(0, 4, (n, width)) * scale + 1e3
+    a = rng.integers(0, 4, (7, width)) * scale + 1e3
+    metric = metrics.l2(width)
+    every = metric.cells(a[:, None, :], b[None, :, :])
+    want = np.argsort(every, axis=1, kind="stable")[:, :k]
+    places, dist = Near(metric, b).least(a, k)
+    assert (places == want).all() and (dist == np.take_along_axis(every, want, axis=1)).all()
+
+
+def test_a_set_over_the_limit_is_not_sent(spark):
+    with pytest.raises(ValueError):
+        bf.collected(points(spark, LINE), limit=10)
+    x, q = points(spark, cloud(1, 60, 2)), points(spark, cloud(2, 9, 2))
+    pairs = {(r.query_id, r.neighbor_id): round(r.dist, 9) for r in bf._nested(q, x, None, False).collect()}
+    assert pairs == {(r.query_id, r.neighbor_id): round(r.dist, 9) for r in bf._nested(q, x, "q", False).collect()} and len(pairs) == 540
+
+
+def test_a_batch_that_runs_again_leaves_its_rows_once(spark, tmp_path, monkeypatch):
+    from nearfield.streaming import search
+
+    spark.range(20).write.parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema("id long").parquet(f"{tmp_path}/in")
+    wrote = []
+
+    def twice(batch, number):
+        wrote.append(number)
+        return batch
+
+    real = search.finish
+    out = real(stream, "once", each=twice)
+    assert sorted(r.id for r in out.collect()) == list(range(20)) and wrote
