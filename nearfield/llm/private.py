@@ -1,7 +1,8 @@
 """Personal data: generated candidate spans, boosted trees, calibrated thresholds.
 
 Generators with high recall propose spans that may overlap: every match of the
-strict formats, whether or not it passes its check, and of four loose ones.
+strict formats, whether or not it passes its check, and of five loose ones, the last
+of which is for secrets (keys, tokens, passwords), a kind without a strict format.
 Each candidate is described by format features (kind, digits, separators, check
 digit, ...) and context features (what stands before and after, a cue word).
 All features have few values, so the whole corpus sums up to a table whose size
@@ -14,8 +15,8 @@ all of the kind and among those that can be added.
 A loose candidate is right if it is the place of a strict span that passed, or if
 its match, brought to the usual form ((at) and (dot) undone, 00 for +, separators
 dropped), passes a check of its own: a host with a top domain of letters, a
-telephone's length and grouping, a card's length and check digit.  The trees see
-format and context, not that check.
+telephone's length and grouping, a card's length and check digit, a secret's name
+just before it.  The trees see format and context, not that check.
 
 Strict spans that pass their check always stay; the model adds spans beside
 them.  Everything on the executors is built-in functions.
@@ -43,6 +44,8 @@ from nearfield.llm.common import keep
 
 #: The kinds in the order of results.
 KINDS = ("email", "ip", "card", "phone")
+#: All kinds of spans: secrets have no strict format, so only the model adds them.
+SPAN_KINDS = (*KINDS, "secret")
 #: The strict formats, as possessive Java patterns.
 STRICT = {
     "email": r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
@@ -57,11 +60,14 @@ LOOSE = (
     ("email", r"(?i)(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]{1,63}+(?:\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z0-9-]{1,63}+){1,8}+"),
     ("phone", r"(?<![0-9A-Za-z+])(?:00|\()?[0-9](?:[\x20()./-]{0,2}[0-9]){8,18}+"),
     ("card", r"(?<![0-9A-Za-z])[0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{4}[./_\x20-][0-9]{1,7}"),
+    ("secret", r"(?<![A-Za-z0-9_+/=-])[A-Za-z0-9_+/=-]{20,}+"),
 )
 #: A text without this holds no match of the kind.
-NEEDS = {"email": "[@(\\[]", "ip": "[0-9]", "card": "[0-9]", "phone": "[0-9]"}
+NEEDS = {"email": "[@(\\[]", "ip": "[0-9]", "card": "[0-9]", "phone": "[0-9]", "secret": "[A-Za-z0-9_+/=-]{20}"}
 #: Words before a span that speak for it.
-CUES = r"(?i)(?:mail|contact|write|tel|phone|call|fax|mobil|card|visa|account|pay|iban|addr|host|server|login|ip)[^\n]{0,12}$"
+CUES = r"(?i)(?:mail|contact|write|tel|phone|call|fax|mobil|card|visa|account|pay|iban|addr|host|server|login|ip|token|secret|key|passw|pwd|auth|bearer)[^\n]{0,12}$"
+#: What names a secret just before it.
+NAMED = r"(?i)(?:token|secret|key|password|passwd|pwd|auth|bearer)[\"']?\s*[:=]?\s*[\"']?$"
 
 _PART = r"0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])"
 _DIGITS = r"[^0-9]"
@@ -80,9 +86,11 @@ def _right(kind: Column, match: Column) -> Column:
     )
 
 
-def _fits(kind: str, match: Column, after: Column) -> Column:
+def _fits(kind: str, match: Column, before: Column, after: Column) -> Column:
     """Whether a loose match, brought to the usual form, passes the check of its kind."""
-    if kind == "email":
+    if kind == "secret":
+        good = before.rlike(NAMED) & match.rlike("(?i)^(?:[0-9a-f]{20,}|[A-Za-z0-9_+=-]{20,})$")
+    elif kind == "email":
         joined = F.regexp_replace(F.regexp_replace(match, r"(?i)\x20?(?:@|\(at\)|\[at\])\x20?", "@"), r"(?i)\x20?(?:\(dot\)|\[dot\])\x20?|\x20\.\x20", ".")
         good = joined.rlike(r"^[A-Za-z0-9_%+-]+(?:\.[A-Za-z0-9_%+-]+)*@(?:[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?\.)+[A-Za-z]{2,24}$")
     elif kind == "card":
@@ -109,14 +117,18 @@ def _matches(text: Column, kind: str, pattern: str, strict: bool) -> Column:
             F.lit(kind).alias("kind"),
             F.lit(strict).alias("strict"),
             (_right(F.lit(kind), x["hit"]) if strict else F.lit(False)).alias("right"),
-            (F.lit(False) if strict else _fits(kind, x["hit"], x["next"])).alias("fits"),
+            (F.lit(False) if strict else _fits(kind, x["hit"], F.right(x["gap"], F.lit(24)), x["next"])).alias("fits"),
             start.alias("start"),
             end.alias("end"),
             x["hit"].alias("hit"),
             F.right(x["gap"], F.lit(24)).alias("before"),
             F.left(x["next"], F.lit(2)).alias("after"),
         )
-        worth = F.length(F.regexp_replace(x["hit"], _DIGITS, "")) >= 9 if kind in ("card", "phone") else F.lit(True)
+        if kind == "secret":
+            # A long word is no candidate, a long number is one of other kinds.
+            worth = (F.regexp_count(x["hit"], F.lit("[0-9]")) >= 4) & (F.regexp_count(x["hit"], F.lit("[A-Za-z]")) >= 4)
+        else:
+            worth = F.length(F.regexp_replace(x["hit"], _DIGITS, "")) >= 9 if kind in ("card", "phone") else F.lit(True)
         return F.struct(end.alias("at"), F.when(x["hit"].isNotNull() & worth, F.concat(acc["out"], F.array(found))).otherwise(acc["out"]).alias("out"))
 
     nothing = F.filter(empty["out"], lambda x: F.lit(False))
@@ -142,7 +154,7 @@ def features(x: Column) -> list[Column]:
     n = F.length(digits)
     kind = x["kind"]
     return [
-        F.when(kind == "email", 0).when(kind == "ip", 1).when(kind == "card", 2).otherwise(3),
+        F.when(kind == "email", 0).when(kind == "ip", 1).when(kind == "card", 2).when(kind == "phone", 3).otherwise(4),
         x["strict"].cast("int"),
         F.when(n < 4, 0).when(n < 9, 1).when(n < 11, 2).when(n < 13, 3).when(n < 16, 4).when(n == 16, 5).when(n < 20, 6).otherwise(7),
         F.when(hit.rlike("[()\\[\\]]"), 3).when(hit.rlike("[ /_]"), 2).when(hit.rlike("-"), 1).otherwise(0),
@@ -243,7 +255,7 @@ def fit(scanned: DataFrame, precision: float = 0.99, least: int = 20) -> Trees:
     one = fold == 0
     model = boost(rows[one], right[one], wrong[one]) if right[one].sum() and wrong[one].sum() else boost(rows, right, wrong)
     scores = model.score(rows)
-    for k, kind in enumerate(KINDS):
+    for k, kind in enumerate(SPAN_KINDS):
         own = (rows[:, 0] == k) & ~one
         order = np.argsort(-scores[own], kind="stable")
         ordered = scores[own][order]
@@ -262,7 +274,7 @@ def select(scanned: DataFrame, model: Trees) -> DataFrame:
     """``scanned`` with ``base`` (strict spans that passed) and ``spans`` (those and what the model adds)."""
 
     def span(x: Column) -> Column:
-        return F.struct(F.array_position(F.array(*map(F.lit, KINDS)), x["kind"]).alias("order"), x["start"].alias("start"), x["end"].alias("end"), x["kind"].alias("kind"))
+        return F.struct(F.array_position(F.array(*map(F.lit, SPAN_KINDS)), x["kind"]).alias("order"), x["start"].alias("start"), x["end"].alias("end"), x["kind"].alias("kind"))
 
     base = F.array_sort(F.transform(F.filter("found", lambda x: x["right"]), span))
     if not model.thresholds:
@@ -301,7 +313,7 @@ def _listed(spans: str) -> Column:
 
 def digest(picked: DataFrame) -> DataFrame:
     count: Callable[[str], Column] = lambda kind: F.size(F.filter("base", lambda x: x["kind"] == kind)).cast("long")
-    return picked.select("doc_id", *[count(k).alias(f"n_{k}") for k in KINDS], F.sha2(F.encode(_listed("base"), "UTF-8"), 256).alias("base_sha256"), _listed("spans").alias("spans"))
+    return picked.select("doc_id", *[count(k).alias(f"n_{k}") for k in KINDS], F.sha2(F.encode(_listed("base"), "UTF-8"), 256).alias("base_sha256"), _listed("spans").alias("spans"), F.size(F.filter("spans", lambda x: x["kind"] == "secret")).cast("long").alias("n_secret"))
 
 
 def find(docs: DataFrame) -> DataFrame:

@@ -285,6 +285,22 @@ def test_trees_separate_a_table():
     assert s[good == 1].min() > s[good == 0].max()
 
 
+def test_named_secrets_are_added_and_long_names_are_not(spark, documents):
+    rng = random.Random(12)
+    key = lambda: "".join(rng.choice("0123456789abcdef") for _ in range(32))
+    rows, planted = [], {}
+    for i in range(400):
+        token, slug = key(), f"report-{rng.randrange(10**4)}-of-{rng.randrange(10**6)}-final"
+        head = f"{prose(rng, 5)} "
+        body = f'token = "{token}"' if i % 2 else f"see {slug} there"
+        if i % 2:
+            planted[i] = f"secret:{len(head) + 9}:{len(head) + 41}"
+        rows.append((i, f"{head}{body} {prose(rng, 3)}"))
+    got = {r.doc_id: (r.spans, r.n_secret) for r in private.digest(private.find(documents(rows))).collect()}
+    assert {i: s for i, (s, n) in got.items() if n} == planted
+    assert sum(n for _, n in got.values()) == len(planted)
+
+
 # packing
 
 
