@@ -100,7 +100,11 @@ def build_exact(x: PointSet, n_r: float, seed: int = 1, n: int | None = None, le
         return from_pivots(x, pivots)
     from nearfield.operators import exact
 
-    top = build_exact(pivots, max(1.0, n_r**0.5), seed + 1, max(1, int(n_r)))
+    # Pivots and lists of the upper cover are read for every batch of points: both are written.
+    from nearfield.operators import storage
+
+    pivots = storage.at_rest(pivots)
+    top = storage.settled(build_exact(pivots, max(1.0, n_r**0.5), seed + 1, max(1, int(n_r))))
     best = exact.search(PointSet(x.df, x.metric), top).select(F.col("query_id").alias("point_id"), F.col("neighbor_id").alias("pivot_id"), F.col("dist").alias("owner_dist"))
     lists = x.df.join(best, "point_id").select("pivot_id", "owner_dist", "point_id", "value")
     return _covered(x, pivots, lists, "exact")

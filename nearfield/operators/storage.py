@@ -51,6 +51,14 @@ def chunked(lists: DataFrame, most: int) -> DataFrame:
     return met.withColumn("chunk", F.when(F.col("n") > most, place).otherwise(0)).drop("n", "cuts")
 
 
+def at_rest(points: PointSet) -> PointSet:
+    """The set written once to the session's shared folder: counting, sampling and assigning then read rows that are made."""
+    spark = points.df.sparkSession
+    path = f"{shared_dir(spark)}/points-{uuid.uuid4().hex}"
+    points.df.write.parquet(path)
+    return PointSet(spark.read.schema(points.df.schema).parquet(path), points.metric)
+
+
 def settled(cover: Cover, clustered: bool = False) -> Cover:
     """The cover written once to the session's shared folder: every point is assigned once, however often it is searched.
 

@@ -31,7 +31,7 @@ def held_out(spark: SparkSession, sf_dir: str, name: str, every: int = EVERY) ->
     """Queries and database of a feature set."""
     points = features.SETS[name](spark, sf_dir)
     asks = key(name) % every == 0
-    return points.where(asks), spread(points.where(~asks))
+    return spread(points.where(asks), spark.sparkContext.defaultParallelism), spread(points.where(~asks))
 
 
 def metric_of(name: str):

@@ -21,11 +21,13 @@ ALPHA = 4.0
 
 
 def _cover(x: PointSet, alpha: float = ALPHA) -> cv.Cover:
+    x = storage.at_rest(x)
     n = x.df.count()
     return storage.settled(cv.build_exact(x, n_pivots(n, alpha), SEED, n))
 
 
 def _oneshot(x: PointSet, alpha: float = ALPHA) -> cv.Cover:
+    x = storage.at_rest(x)
     n = x.df.count()
     n_r = n_pivots(n, alpha)
     return storage.settled(cv.build_oneshot(x, n_r, n_r, SEED, n))
@@ -377,8 +379,9 @@ def approx_nn_bound(spark: SparkSession, d: str) -> DataFrame:
 def exact_recursive(spark: SparkSession, d: str) -> DataFrame:
     """A cover whose pivots were assigned through a cover of their own: the same answers."""
     q, x = held_out(spark, d, "orders2")
+    x = storage.at_rest(x)
     n = x.df.count()
-    return rounded(exact.search(q, cv.build_exact(x, n_pivots(n, ALPHA), SEED, n, levels=2)))
+    return rounded(exact.search(q, storage.settled(cv.build_exact(x, n_pivots(n, ALPHA), SEED, n, levels=2))))
 
 
 def cover_append(spark: SparkSession, d: str) -> DataFrame:
