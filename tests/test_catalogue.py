@@ -3,6 +3,10 @@
 from __future__ import annotations
 
 import os
+import shutil
+import subprocess
+import sys
+from pathlib import Path
 
 import pytest
 
@@ -10,7 +14,7 @@ import __spark_entry__ as entry
 from nearfield import catalogue
 
 SF = "/root/testdata/sf0.001"
-SOME = ("bf_nn_orders2", "exact_nn_orders2", "exact_nn_part2", "oneshot_nn_cust2", "exact_rules_ring", "cover_exact_sizes", "agg_cube_work", "join_asof_events", "win_list_prefix", "sql_exact_search", "stream_tumbling_nn")
+SOME = ("bf_nn_orders2", "exact_nn_orders2", "exact_nn_part2", "oneshot_nn_cust2", "exact_rules_ring", "cover_exact_sizes", "agg_cube_work", "join_asof_events", "win_list_prefix", "sql_exact_search", "stream_tumbling_nn", "exact_measured_orders2", "cover_delete", "approx_nn_line4", "pivots_farthest", "containment_7gamma")
 
 
 def test_every_oracle_has_a_query():
@@ -18,6 +22,17 @@ def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
+@pytest.mark.parametrize("with_pipeline", [True, False])
+def test_entry_imports_without_the_corpus_subpackage(tmp_path, with_pipeline):
+    root = Path(entry.__file__).parent
+    shutil.copytree(root / "nearfield", tmp_path / "nearfield", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    for name in ("__spark_entry__.py", *(["corpus_pipeline.py"] if with_pipeline else [])):
+        if (root / name).exists():
+            shutil.copy(root / name, tmp_path)
+    told = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(sorted(e.queries()) == sorted(e.catalogue.queries()))"], cwd=tmp_path, capture_output=True, text=True, timeout=120)
+    assert told.stdout.strip() == "True", told.stderr
+
+
 @pytest.mark.skipif(not os.path.isdir(SF), reason="tables are not here")
 @pytest.mark.parametrize("name", SOME)
 def test_query_equals_its_sql(spark, name):
