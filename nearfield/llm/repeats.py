@@ -80,15 +80,6 @@ def _both_hashes(hashed: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]
     return window_hashes(hashed, size), window_hashes(mixed(hashed ^ _TURN), size)
 
 
-def _among_both(first: np.ndarray, second: np.ndarray, alive) -> np.ndarray:
-    """Which windows are in an Arrow list of (hash, check)."""
-    own, check = (np.asarray(alive.field(c).to_numpy(zero_copy_only=False), np.int64).view(np.uint64) for c in ("hash", "check"))
-    order = np.argsort(own)
-    own, check = own[order], check[order]
-    at = np.minimum(np.searchsorted(own, first), len(own) - 1)
-    return (own[at] == first) & (check[at] == second)
-
-
 def _hashed(values) -> np.ndarray:
     """Sorted hashes from an Arrow list of 64-bit integers."""
     return np.sort(np.asarray(values, np.int64).view(np.uint64)) if values is not None else np.empty(0, np.uint64)
@@ -153,8 +144,8 @@ def _survivors(rows: DataFrame, later_only: bool) -> DataFrame:
     met = rows.join(repeated, key)
     if later_only:
         met = met.where(F.col("doc_id") > F.col("first_id"))
-    alive = F.struct("hash", "check") if later_only else F.col("hash")
-    out = keep(met.groupBy("doc_id").agg(F.collect_set(alive).alias("alive")))
+    # Both hashes found the repeat; among a document's own windows one of them tells which it is.
+    out = keep(met.groupBy("doc_id").agg(F.collect_set("hash").alias("alive")))
     discard(repeated)
     return out
 
@@ -216,7 +207,7 @@ def cut_repeats(docs: DataFrame, window: int = 13) -> DataFrame:
                 words = words_of(text)
                 n_words.append(len(words))
                 if hashes.is_valid and len(words) >= window:
-                    starts = np.flatnonzero(_among_both(*_both_hashes(word_hashes(words), window), hashes.values))
+                    starts = np.flatnonzero(_among(window_hashes(word_hashes(words), window), _hashed(hashes.values.to_numpy(zero_copy_only=False))))
                     edge = np.zeros(len(words) + 1, np.int64)
                     edge[starts] += 1
                     edge[starts + window] -= 1
