@@ -18,7 +18,7 @@ documents is combined on the map side; then the rows whose hash is repeated go
 back to their documents by a join of two written tables, which Spark splits if
 one hash is hot.  64-bit hashes stand for windows that are only candidates; at the
 last level two independent ones do, so that a wrong match has the chance of the
-number of windows over 2^128.
+number of windows over 2^96.
 
 Defined results: words are judged on the input; a null or empty text has none; a
 row without doc_id keeps its words and takes none from others; rows that repeat
@@ -76,8 +76,8 @@ _TURN = np.uint64(0xA0761D6478BD642F)
 
 
 def _both_hashes(hashed: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Two independent hashes of each window: together 128 bits."""
-    return window_hashes(hashed, size), window_hashes(mixed(hashed ^ _TURN), size)
+    """Two independent hashes of each window, of 64 and 32 bits."""
+    return window_hashes(hashed, size), (window_hashes(mixed(hashed ^ _TURN), size) >> np.uint64(32)).astype(np.uint32)
 
 
 def _hashed(values) -> np.ndarray:
@@ -103,12 +103,12 @@ def _unique_both(hashed: np.ndarray, size: int, open_: np.ndarray | slice) -> tu
 
 
 def _longer(docs: DataFrame, low: int, high: int, thinned: bool, last: bool) -> DataFrame:
-    """Distinct windows of ``high`` words whose parts of ``low`` words are in ``alive``; with 128 bits at the last level."""
+    """Distinct windows of ``high`` words whose parts of ``low`` words are in ``alive``; with both hashes at the last level."""
 
     def rows(text: str | None, alive) -> np.ndarray | tuple[np.ndarray, np.ndarray]:
         hashed = word_hashes(words_of(text))
         if len(hashed) < high:
-            return (np.empty(0, np.uint64),) * 2 if last else np.empty(0, np.uint64)
+            return (np.empty(0, np.uint64), np.empty(0, np.uint32)) if last else np.empty(0, np.uint64)
         short, alive = window_hashes(hashed, low), _hashed(alive)
         if thinned:
             open_ = _among(sliding_min(short, high - low + 1), alive)
@@ -129,12 +129,12 @@ def _exploded(docs: DataFrame, rows, both: bool = False) -> DataFrame:
             found = [rows(text, alive[i].values.to_numpy(zero_copy_only=False) if alive is not None and alive[i].is_valid else None) for i, text in enumerate(batch.column(1).to_pylist())]
             columns = [list(x) for x in zip(*found, strict=True)] if both and found else [found]
             index = np.repeat(np.arange(len(found), dtype=np.int32), [len(x) for x in columns[0]])
-            hashes = [np.concatenate(x) if x else np.empty(0, np.uint64) for x in columns]
+            hashes = [np.concatenate(x) if x else np.empty(0, t) for x, t in zip(columns, (np.uint64, np.uint32), strict=False)]
             for at in range(0, len(index), 1 << 20):
                 part = slice(at, at + (1 << 20))
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(index[part])), *[pa.array(h[part].view(np.int64)) for h in hashes]], names)
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(index[part])), *[pa.array(h[part].view(t)) for h, t in zip(hashes, (np.int64, np.int32), strict=False)]], names)
 
-    return docs.mapInArrow(listed, T.StructType([docs.schema["doc_id"], *[T.StructField(n, T.LongType()) for n in names[1:]]]))
+    return docs.mapInArrow(listed, T.StructType([docs.schema["doc_id"], *[T.StructField(n, t) for n, t in zip(names[1:], (T.LongType(), T.IntegerType()), strict=False)]]))
 
 
 def _survivors(rows: DataFrame, later_only: bool) -> DataFrame:
