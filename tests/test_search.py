@@ -320,3 +320,13 @@ def test_a_batch_that_runs_again_leaves_its_rows_once(spark, tmp_path, monkeypat
     real = search.finish
     out = real(stream, "once", each=twice)
     assert sorted(r.id for r in out.collect()) == list(range(20)) and wrote
+
+
+def test_axioms_count_copies_and_violations(spark):
+    squared = metrics.Metric("squared", lambda a, b: (a[0] - b[0]) * (a[0] - b[0]), lambda a, b: "", lambda a, b: (a[..., 0] - b[..., 0]) ** 2, 1)
+    rows = [(i, [v]) for i, v in enumerate([0, 1, 2] * 500)]
+    got = {r.axiom: r.violations for r in metrics.axiom_violations(points(spark, rows, squared).df, squared).collect()}
+    # 0 - 1 - 2 and 2 - 1 - 0 break the inequality: a cube of 1,500 rows holds 2 * 500^3 such triples.
+    assert got == {"identity": 0, "symmetry": 0, "sign": 0, "triangle": 2 * 500**3}
+    empty = metrics.axiom_violations(points(spark, rows, squared).df.limit(0), squared).collect()
+    assert {r.violations for r in empty} == {0}
