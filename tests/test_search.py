@@ -330,3 +330,15 @@ def test_axioms_count_copies_and_violations(spark):
     assert got == {"identity": 0, "symmetry": 0, "sign": 0, "triangle": 2 * 500**3}
     empty = metrics.axiom_violations(points(spark, rows, squared).df.limit(0), squared).collect()
     assert {r.violations for r in empty} == {0}
+
+
+def test_nearest_targets_keep_few_rows_a_node_and_ties(spark):
+    from nearfield.functions import graphdist
+
+    leaves = [(f"c{i}", "n0" if i % 2 else "n1", 1.0 + (i % 5) / 10) for i in range(40)]
+    edges = spark.createDataFrame([*leaves, ("n0", "r", 1.0), ("n1", "r", 1.0), ("s0", "n0", 1.5), ("s1", "r", 1.5)], "src string, dst string, weight double")
+    targets = spark.createDataFrame([(a,) for a, _, _ in leaves], "node string")
+    found = graphdist.nearest_targets(edges, targets, 9)
+    assert found.count() < 3 * 45
+    near = {r.node: (r.target, round(r.dist, 9)) for r in found.orderBy("node", "dist", "target").collect() if r.node in ("s0", "s1", "c3")}
+    assert near == {"s0": ("c15", 2.5), "s1": ("c0", 3.5), "c3": ("c3", 0.0)}
