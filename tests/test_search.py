@@ -342,3 +342,20 @@ def test_nearest_targets_keep_few_rows_a_node_and_ties(spark):
     assert found.count() < 3 * 45
     near = {r.node: (r.target, round(r.dist, 9)) for r in found.orderBy("node", "dist", "target").collect() if r.node in ("s0", "s1", "c3")}
     assert near == {"s0": ("c15", 2.5), "s1": ("c0", 3.5), "c3": ("c3", 0.0)}
+
+
+def test_token_blocks_equal_the_column(spark):
+    from nearfield.operators import tokens
+    from pyspark.sql import DataFrame
+
+    rng = np.random.default_rng(5)
+    rows = [(i, [f"w{w}" for w in sorted(set(rng.integers(0, 12, rng.integers(0, 9)).tolist()))]) for i in range(120)]
+    x = PointSet(spark.createDataFrame(rows, "point_id long, value array<string>").repartition(3), metrics.jaccard())
+    q = x.where(F.col("point_id") % 6 == 0)
+    plain = lambda df: sorted((r.query_id, r.neighbor_id, round(r.dist, 9), r.rank_no) for r in df.collect())
+    for a, b in ((q, x), (x, q)):
+        for k in (1, 3):
+            assert isinstance(tokens.nearest(a, b, k, "q"), DataFrame)
+            assert plain(bf.nearest(a, b, k)) == plain(bf.reduce_top_k(bf._nested(a, b, "q", False), k))
+    c = cv.from_pivots(x, x.where(F.col("point_id") % 10 == 0))
+    assert plain(exact.search(q, c, 3)) == plain(bf.reduce_top_k(bf._nested(q, x, "q", False), 3))
