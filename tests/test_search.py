@@ -359,3 +359,23 @@ def test_token_blocks_equal_the_column(spark):
             assert plain(bf.nearest(a, b, k)) == plain(bf.reduce_top_k(bf._nested(a, b, "q", False), k))
     c = cv.from_pivots(x, x.where(F.col("point_id") % 10 == 0))
     assert plain(exact.search(q, c, 3)) == plain(bf.reduce_top_k(bf._nested(q, x, "q", False), 3))
+
+
+@pytest.mark.parametrize("kind", ["long", "string"])
+def test_heads_stand_for_all_rows_of_a_value(spark, kind):
+    from nearfield.operators import byvalue
+
+    rows = [(i, [float(i % 7), float(i % 3) - 0.0]) for i in range(300)]
+    df = spark.createDataFrame(rows, "point_id long, value array<double>").withColumn("point_id", F.col("point_id").cast(kind)).repartition(5)
+    x = PointSet(df, metrics.l2(2))
+    h = byvalue.heads(x)
+    got = {(tuple(r.value), r.point_id, r.copies) for r in h.df.collect()}
+    least = min if kind == "long" else (lambda ids: min(map(str, ids)))
+    groups = {}
+    for i, v in rows:
+        groups.setdefault(tuple(v), []).append(i)
+    assert got == {(v, least(ids), len(ids)) for v, ids in groups.items()}
+    q = x.where(F.col("point_id").cast("long") % 2 == 0)
+    own = byvalue.heads(q)
+    plain = lambda df: sorted((r.query_id, r.neighbor_id, r.dist) for r in df.collect())
+    assert plain(byvalue.everyone(byvalue.members(q, own), bf.nearest(own, h))) == plain(bf.nearest(q, x))
