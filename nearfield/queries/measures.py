@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 from nearfield.functions import metrics
 from nearfield.operators import bruteforce as bf
 from nearfield.operators import cover as cv
-from nearfield.operators import exact, oneshot, storage
+from nearfield.operators import byvalue, exact, oneshot, storage
 from nearfield.plans import evaluate, theory, workloads
-from nearfield.queries.common import EVERY, SEED, Query, held_out, key_sql, metric_of, n_pivots, nearest_sql, pivots_sql, rounded, sets_sql
+from nearfield.queries.common import EVERY, SEED, Query, by_value, drawn, held_out, key_sql, metric_of, n_pivots, nearest_sql, pivots_sql, rounded, sets_sql
 from nearfield.queries.search import ALPHA, COVER, _cover, _oneshot, oneshot_lists_sql, oneshot_sql, rank_sql, rules_sql
 from nearfield.sources import features
 from nearfield.sources.features import table
@@ -113,13 +113,13 @@ def certified_share_sql(name: str, alpha: float) -> str:
 
 def ball_mean_by_seed(spark: SparkSession, d: str) -> DataFrame:
     """The mean size of the closed ball up to the nearest pivot, for several draws, beside n / n_r."""
-    q, x = held_out(spark, d, "orders2")
-    n, rows = x.df.count(), []
+    asked, q, x = by_value(spark, d, "orders2")
+    x = storage.at_rest(x)
+    n, rows = x.df.agg(F.sum("copies")).first()[0] or 0, []
     n_r = n_pivots(n, ALPHA)
     for seed in SEEDS:
-        pivots = cv.bernoulli_pivots(x, n_r, n, seed)
-        cover = cv.Cover(pivots.df.select(F.col("point_id").alias("pivot_id"), "value"), x.df, x, "exact")
-        balls = evaluate.ball_at_gamma(q, x, cover).agg(F.round(F.avg("closed_ball"), 6).alias("mean_ball"))
+        pivots = drawn(spark, d, "orders2", ALPHA, seed, n)
+        balls = byvalue.everyone(asked, evaluate.ball_at_gamma(q, x, cv.around(x, pivots))).agg(F.round(F.avg("closed_ball"), 6).alias("mean_ball"))
         rows.append(balls.select(F.lit(seed).alias("seed"), "mean_ball", F.lit(round(n / n_r, 6)).alias("predicted")))
     return _stacked(rows)
 

@@ -379,3 +379,17 @@ def test_heads_stand_for_all_rows_of_a_value(spark, kind):
     own = byvalue.heads(q)
     plain = lambda df: sorted((r.query_id, r.neighbor_id, r.dist) for r in df.collect())
     assert plain(byvalue.everyone(byvalue.members(q, own), bf.nearest(own, h))) == plain(bf.nearest(q, x))
+
+
+def test_balls_and_rates_weigh_a_value_by_its_copies(spark):
+    from nearfield.operators import byvalue
+
+    x = points(spark, [(i, [float(i % 6)]) for i in range(60)])
+    q, own = x.where(F.col("point_id") < 6), byvalue.heads(x)
+    pivots = own.where(F.col("value")[0] == 3.0)
+    plain = lambda df: sorted(map(tuple, df.collect()))
+    got = evaluate.ball_at_gamma(q, own, cv.around(own, pivots))
+    assert got.columns == ["query_id", "closed_ball", "strictly_closer"]
+    assert plain(got) == [(0, 40, 30), (1, 40, 30), (2, 30, 10), (3, 10, 0), (4, 30, 10), (5, 30, 20)]
+    rates = plain(theory.exact_expansion_rate(x))
+    assert len(rates) == 60 and rates[0] == (0, 2.0) and rates[3] == (3, 3.0)
