@@ -211,6 +211,18 @@ def test_components_by_union(spark):
         assert found.get(node, node) == root(node)
 
 
+def test_components_of_few_edges_take_few_jobs_and_equal_the_rounds_by_jobs(spark):
+    rng = random.Random(3)
+    ids = list({rng.randrange(-(2**62), 2**62) for _ in range(90)})
+    edges = spark.createDataFrame([(ids[i], ids[i + 1]) for i in range(60)] + [(ids[i], ids[70]) for i in range(71, 90)] + [(ids[65], ids[65])], "u long, v long")
+    spark.sparkContext.setJobGroup("few-edges", "components")
+    found = {(r.node, r.component) for r in components(edges).collect()}
+    spark.sparkContext.setJobGroup("other", "other")
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("few-edges")) <= 10
+    assert found == {(i, min(part)) for part in (ids[:61], ids[70:]) for i in part if i != min(part)}
+    assert found == {(r.node, r.component) for r in components(edges, local=0).collect()}
+
+
 # mixing
 
 
