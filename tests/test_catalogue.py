@@ -17,7 +17,7 @@ SF = "/root/testdata/sf0.001"
 SOME = ("bf_nn_orders2", "exact_nn_orders2", "exact_nn_part2", "oneshot_nn_cust2", "exact_rules_ring", "cover_exact_sizes", "agg_cube_work", "join_asof_events", "win_list_prefix", "sql_exact_search", "stream_tumbling_nn", "exact_measured_orders2", "cover_delete", "approx_nn_line4", "pivots_farthest", "containment_7gamma")
 
 #: Queries that once made their rows up.
-ON_TABLES = ("expansion_rate_grid", "oneshot_params", "planner_choice", "predicted_costs")
+ON_TABLES = ("expansion_rate_grid", "oneshot_params", "planner_choice", "predicted_costs", "scan_pointset")
 
 
 def test_every_oracle_has_a_query():
