@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from nearfield.functions import metrics
 from nearfield.operators import bruteforce as bf
 from nearfield.operators import cover as cv
-from nearfield.operators import exact, oneshot, trees
+from nearfield.operators import byvalue, exact, oneshot, storage, trees
 from nearfield.plans import evaluate, planner, theory
 from nearfield.sources.points import PointSet
 
@@ -393,3 +393,19 @@ def test_balls_and_rates_weigh_a_value_by_its_copies(spark):
     assert plain(got) == [(0, 40, 30), (1, 40, 30), (2, 30, 10), (3, 10, 0), (4, 30, 10), (5, 30, 20)]
     rates = plain(theory.exact_expansion_rate(x))
     assert len(rates) == 60 and rates[0] == (0, 2.0) and rates[3] == (3, 3.0)
+
+
+def test_oneshot_lists_by_value_end_where_those_of_all_rows_do(spark):
+    """Copies, and values that share the distance at which a list ends: the least ids of rows decide."""
+    rng = np.random.default_rng(4)
+    rows = [(int(i), [int(v)]) for i, v in enumerate(rng.integers(-12, 13, 400))]
+    x = points(spark, rows)
+    heads = storage.at_rest(byvalue.heads(x))
+    pivots = x.where(F.col("point_id").isin(*range(0, 400, 57)))
+    own = byvalue.heads(pivots)
+    least = {tuple(r.value): r.point_id for r in heads.df.collect()}
+    names = {r.point_id: tuple(r.value) for r in pivots.df.collect()}
+    for s in (1, 7, 30, 90, 399):
+        want = {(names[r.pivot_id], least[tuple(r.value)]) for r in cv.nearest_points(pivots, x, s, 400).collect() if least[tuple(r.value)] == r.point_id}
+        found = cv.nearest_values(own, heads, s, 400, x).collect()
+        assert {(names[r.pivot_id], r.point_id) for r in found} == want and len(found) == len(want)
