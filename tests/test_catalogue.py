@@ -62,3 +62,10 @@ def test_query_follows_its_table(spark, tmp_path, name):
         rows.where(f"{rows.columns[0]} % 2 = 0").write.parquet(f"{tmp_path}/{t}.parquet")
     run = catalogue.queries()[name]
     assert sorted(map(repr, run(spark, SF).collect())) != sorted(map(repr, run(spark, str(tmp_path)).collect()))
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="tables are not here")
+def test_search_as_sql_ranks_no_pairs_by_a_window(spark):
+    """Pairs of queries and pivots, or of queries and rows, are aggregated where they are made."""
+    plan = catalogue.queries()["sql_exact_search"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" in plan and "Window" not in plan
