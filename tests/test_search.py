@@ -409,3 +409,26 @@ def test_oneshot_lists_by_value_end_where_those_of_all_rows_do(spark):
         want = {(names[r.pivot_id], least[tuple(r.value)]) for r in cv.nearest_points(pivots, x, s, 400).collect() if least[tuple(r.value)] == r.point_id}
         found = cv.nearest_values(own, heads, s, 400, x).collect()
         assert {(names[r.pivot_id], r.point_id) for r in found} == want and len(found) == len(want)
+
+
+@pytest.mark.parametrize("width", [2, 5])
+def test_nearest_angles_need_few_measured_pairs(width):
+    """The k least angles, ties and rows of one direction by place, are those of all pairs, of which few are measured."""
+    from dataclasses import replace
+
+    from nearfield.operators.kernels import Near, _least_of
+
+    r, seen = np.random.default_rng(3), []
+    values = r.uniform(0.01, 1, (400, width))
+    values[100:120] = 2 * values[:20]
+    values[200:220] = values[:20]
+    asks, plain = np.vstack((r.uniform(0.01, 1, (50, width)), values[:20] * 3)), metrics.angular(width)
+    counted = replace(plain, cells=lambda a, b: seen.append(np.broadcast_shapes(a.shape, b.shape)[:-1]) or plain.cells(a, b))
+    for k in (1, 3):
+        want, got = _least_of(plain.block(asks, values), k), Near(counted, values).least(asks, k)
+        assert (want[0] == got[0]).all() and (want[1] == got[1]).all()
+    assert sum(int(np.prod(x)) for x in seen) < 0.05 * len(asks) * len(values)
+    apart = np.zeros((len(asks), len(values)), bool)
+    apart[:, ::2] = True
+    assert (Near(plain, values).least(asks, 1, apart)[0] % 2 == 1).all()
+    assert Near(plain, np.vstack((values, np.zeros(width)))).turned is None
