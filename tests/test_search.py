@@ -432,3 +432,23 @@ def test_nearest_angles_need_few_measured_pairs(width):
     apart[:, ::2] = True
     assert (Near(plain, values).least(asks, 1, apart)[0] % 2 == 1).all()
     assert Near(plain, np.vstack((values, np.zeros(width)))).turned is None
+
+
+@pytest.mark.parametrize("k", [1, 3])
+@pytest.mark.parametrize("name", ["l2", "l1"])
+def test_many_queries_search_in_rounds_without_rows_of_spans(spark, monkeypatch, k, name):
+    """Rounds give the rows of brute force, ties to the smaller id, also in slabs and blocks that cut lists; no spans are made."""
+    r = np.random.default_rng(8)
+    values = np.round(r.uniform(0, 1, (900, 3)) * 8) / 8
+    metric = metrics.l2(3) if name == "l2" else metrics.l1(3)
+    x, q = points(spark, list(enumerate(values[:700])), metric), points(spark, list(enumerate(values[700:])), metric)
+    c = storage.settled(cv.build_exact(x, 40, 1, 700))
+    for at, value in (("MANY", 10), ("ROUND_BYTES", 4096), ("SLAB", 128), ("BLOCK", 64), ("HELD", 512)):
+        monkeypatch.setattr(exact, at, value)
+    monkeypatch.setattr(exact, "scan_lists", None)
+    rows = lambda df: sorted((a.query_id, a.neighbor_id, round(a.dist, 9)) for a in df.collect())
+    assert rows(exact.search(q, c, k)) == rows(bf.nearest(q, x, k))
+    assert rows(exact.within(q, c, 0.3)) == rows(bf.within(q, x, 0.3))
+    got = {(a.query_id, a.rank_no): a.dist for a in exact.search(q, c, k, approx=0.5).collect()}
+    want = {(a.query_id, a.rank_no): a.dist for a in bf.nearest(q, x, k).collect()}
+    assert got.keys() == want.keys() and all(got[i] <= 1.5 * want[i] * (1 + 1e-9) + 1e-12 for i in want)
