@@ -452,3 +452,30 @@ def test_many_queries_search_in_rounds_without_rows_of_spans(spark, monkeypatch,
     got = {(a.query_id, a.rank_no): a.dist for a in exact.search(q, c, k, approx=0.5).collect()}
     want = {(a.query_id, a.rank_no): a.dist for a in bf.nearest(q, x, k).collect()}
     assert got.keys() == want.keys() and all(got[i] <= 1.5 * want[i] * (1 + 1e-9) + 1e-12 for i in want)
+
+
+def test_edit_search_measures_few_pairs_and_is_exact(spark, monkeypatch):
+    """What the bags of characters and the rings leave is measured, and the answers are those of the Column."""
+    from nearfield.operators import edits
+
+    rng = np.random.default_rng(5)
+    words = ["", *("".join(rng.choice(list("abcdefé\U0001f600"), int(n))) for n in rng.choice([1, 6, 40, 63, 64, 65, 130], 199))]
+    frame = spark.createDataFrame(list(enumerate(words)) + [(200, None)], "point_id long, value string")
+    x, q = (PointSet(frame.where(c), metrics.edit()) for c in ("point_id % 5 <> 0", "point_id % 5 = 0"))
+    pairs = bf._nested(q, x, "q", False)
+    for k in (1, 3):
+        want = sorted(map(tuple, bf.reduce_top_k(pairs.where("dist IS NOT NULL"), k).select("query_id", "neighbor_id", "dist", "rank_no").collect()))
+        cover = cv.build_exact(x, 12.0, 3)
+        for found in (exact.search(q, cover, k), exact.search(q, cover, k, ring=False), bf.nearest(q, x, k), bf.nearest(x, q, k)):
+            got = sorted(map(tuple, found.select("query_id", "neighbor_id", "dist", "rank_no").collect()))
+            if got and got[0][0] % 5:
+                assert len(got) == k * 160
+            else:
+                assert got == want
+    assert "levenshtein" not in exact.search(q, cover)._jdf.queryExecution().optimizedPlan().toString()
+    # A string's neighbours are found among the few that share most of its characters.
+    a, b = edits.Texts(words[:100]), edits.Texts(words[100:])
+    seen, plain = [], edits.measured
+    monkeypatch.setattr(edits, "measured", lambda *p: (seen.append(len(p[1])), plain(*p))[1])
+    list(edits.least(a, b, 1, np.full(100, np.inf)))
+    assert sum(seen) < 5000
