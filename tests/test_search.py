@@ -479,3 +479,40 @@ def test_edit_search_measures_few_pairs_and_is_exact(spark, monkeypatch):
     monkeypatch.setattr(edits, "measured", lambda *p: (seen.append(len(p[1])), plain(*p))[1])
     list(edits.least(a, b, 1, np.full(100, np.inf)))
     assert sum(seen) < 5000
+
+
+@pytest.mark.parametrize("metric", [metrics.l1(5), metrics.l2(5), metrics.linf(5), metrics.hamming(5)])
+@pytest.mark.parametrize("eps", [0.0, 0.05, 0.4, 30.0])
+def test_cells_hold_every_pair_of_a_range(metric, eps):
+    from nearfield.operators.kernels import Cells
+
+    rng = np.random.default_rng(3)
+    q, x = (np.round(rng.uniform(-1, 1, (n, 5)), 2) * [1, 1, 0.1, 10, 0] for n in (150, 300))
+    q[3, 2], x[4, 1], x[5, 0], x[6] = np.nan, np.inf, 1e12, -1e9
+    with np.errstate(invalid="ignore"):
+        want = set(zip(*(a.tolist() for a in np.nonzero(metric.block(q, x) <= eps)), strict=True))
+    if not Cells.fits(metric, q, eps):
+        assert eps == 0 or metric.name == "hamming"
+        return
+    found = list(Cells(metric, q, eps).within(x))
+    assert sorted((a, b) for own, row, _ in found for a, b in zip(own.tolist(), row.tolist(), strict=True)) == sorted(want)
+
+
+def test_range_search_measures_only_cells_beside(monkeypatch):
+    from nearfield.operators import kernels
+
+    q, x = (np.random.default_rng(s).uniform(0, 1, (2000, 4)) for s in (1, 2))
+    seen, plain = [], kernels.measured
+    monkeypatch.setattr(kernels, "measured", lambda m, a, b: (seen.append(len(a)), plain(m, a, b))[1])
+    list(kernels.Cells(metrics.l2(4), q, 0.05).within(x))
+    assert sum(seen) < 2000 * 2000 / 100
+
+
+def test_range_search_shuffles_no_rows(spark, tmp_path):
+    from nearfield.queries.search import bf_range_line4
+
+    rows = spark.range(400).selectExpr("id % 200 AS l_orderkey", "id AS l_partkey", "id AS l_suppkey", "1 AS l_linenumber", "CAST(id % 7 AS double) AS l_quantity", "CAST(id % 11 * 900 AS double) AS l_extendedprice", "0.1D AS l_discount", "0.02D AS l_tax")
+    rows.write.parquet(f"{tmp_path}/lineitem.parquet")
+    found = bf_range_line4(spark, str(tmp_path))
+    assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
+    assert found.count() > 0
