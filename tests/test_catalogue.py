@@ -69,3 +69,13 @@ def test_search_as_sql_ranks_no_pairs_by_a_window(spark):
     """Pairs of queries and pivots, or of queries and rows, are aggregated where they are made."""
     plan = catalogue.queries()["sql_exact_search"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
     assert "Aggregate" in plan and "Window" not in plan
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="tables are not here")
+def test_approximate_bound_takes_its_best_from_the_cover(spark, monkeypatch):
+    """The best answers come from an exact search of the same cover: no table is scanned for all queries."""
+    from nearfield.operators import bruteforce as bf
+
+    monkeypatch.setattr(bf, "nearest", lambda *a, **b: pytest.fail("a scan of all rows"))
+    found = catalogue.queries()["approx_nn_bound"](spark, SF).collect()
+    assert found and all(r.within_ratio for r in found)
