@@ -516,3 +516,37 @@ def test_range_search_shuffles_no_rows(spark, tmp_path):
     found = bf_range_line4(spark, str(tmp_path))
     assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
     assert found.count() > 0
+
+
+def test_balls_count_copies_whatever_the_size(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    x = spark.createDataFrame([(i, [float(a), float(b)], int(c)) for i, (a, b, c) in enumerate(rng.integers(0, 30, (400, 3)))], "point_id long, value array<double>, copies long")
+    x = PointSet(x.where("copies > 0"), metrics.l2(2))
+    q = points(spark, [(1000 + i, [float(a), float(b)]) for i, (a, b) in enumerate(rng.uniform(0, 30, (150, 2)))])
+    held, asked = x.df.collect(), q.df.collect()
+    pivots = [r for r in held if r.point_id % 40 == 0]
+    cover = cv.around(x, x.where(F.col("point_id") % 40 == 0))
+    apart = lambda a, b: float(np.hypot(a.value[0] - b.value[0], a.value[1] - b.value[1]))
+    want = {}
+    for a in asked:
+        gamma = min(apart(a, p) for p in pivots)
+        want[a.point_id] = (sum(r.copies for r in held if apart(a, r) <= gamma + 1e-9), sum(r.copies for r in held if apart(a, r) < gamma - 1e-9))
+    for limit in (1 << 28, 1500):
+        monkeypatch.setattr(evaluate.bf, "BROADCAST_BYTES", limit)
+        assert {r.query_id: (r.closed_ball, r.strictly_closer) for r in evaluate.ball_at_gamma(q, x, cover).collect()} == want
+
+
+def test_boxes_find_what_all_pairs_hold(monkeypatch):
+    from nearfield.operators.kernels import Boxes
+
+    rng = np.random.default_rng(9)
+    for width, n, m in ((1, 1, 1), (2, 900, 300), (4, 700, 129), (12, 500, 140)):
+        x, a = (np.round(rng.normal(size=(rows, width)), 1) for rows in (n, m))
+        dist = metrics.l2(width).cells(a[:, None, :], x[None, :, :])
+        boxes, limit = Boxes(metrics.l2(width), x), dist.min(axis=1) * (np.arange(m) % 3)
+        place, near = boxes.nearest(a)
+        assert (place == dist.argmin(axis=1)).all() and (near == dist.min(axis=1)).all()
+        assert (np.isfinite(boxes.nearest(a, limit)[1]) == (dist.min(axis=1) <= limit)).all()
+        radius = np.where(np.arange(m) % 4, 0.8, -1.0)
+        pairs = [p for row, col, _ in boxes.within(a, radius) for p in zip(row, col, strict=True)]
+        assert len(pairs) == len(set(pairs)) and set(pairs) == set(zip(*np.nonzero(dist <= radius[:, None]), strict=True))
