@@ -550,3 +550,32 @@ def test_boxes_find_what_all_pairs_hold(monkeypatch):
         radius = np.where(np.arange(m) % 4, 0.8, -1.0)
         pairs = [p for row, col, _ in boxes.within(a, radius) for p in zip(row, col, strict=True)]
         assert len(pairs) == len(set(pairs)) and set(pairs) == set(zip(*np.nonzero(dist <= radius[:, None]), strict=True))
+
+
+def test_nearest_of_slabs_sends_on_only_what_may_be_nearest(spark, monkeypatch):
+    from nearfield.operators.kernels import Boxes
+
+    rng = np.random.default_rng(10)
+    x = points(spark, [(i, [float(v) for v in row]) for i, row in enumerate(rng.integers(0, 40, (3000, 2)))])
+    q = points(spark, [(9000 + i, [float(v) for v in row]) for i, row in enumerate(rng.uniform(0, 40, (400, 2)))])
+    monkeypatch.setattr(Boxes, "ROWS", 32)
+    monkeypatch.setattr(bf, "PAID", 1)
+    monkeypatch.setattr(bf, "SAMPLED", 1500)
+    want = {r.query_id: (r.neighbor_id, r.dist) for r in bf.nearest_in(q, x, x.df, 2).where("rank_no = 1").collect()}
+    sent = bf.candidates(q, PointSet(x.df.repartition(8), x.metric), 1)
+    # Every task used to send a row for every query.
+    assert sent.count() < 4 * 400
+    assert {r.query_id: (r.neighbor_id, r.dist) for r in bf.reduce_rows(sent, 1).collect()} == want
+
+
+def test_sides_of_lineitem_are_chosen_by_the_first_part_of_an_id(spark, tmp_path):
+    from nearfield.queries import common
+    from nearfield.sources import features
+
+    rows = [(k, 1, 2, 3, 1.0, 2.0, 0.1, 0.02) for k in (0, 1, 100, 199, 200, -100, None)]
+    spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_tax double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    asks = F.substring_index("point_id", "-", 1).cast("long") % 100 == 0
+    every = features.line4(spark, str(tmp_path))
+    for part, want in zip(common.split(spark, str(tmp_path), "line4"), (every.where(asks), every.where(~asks)), strict=True):
+        assert {r.point_id for r in part.df.collect()} == {r.point_id for r in want.df.collect()}
+        assert "l_orderkey" in part.df._jdf.queryExecution().optimizedPlan().toString()
