@@ -592,3 +592,19 @@ def test_hashed_search_finds_the_nearest_of_all_shared_buckets(spark, monkeypatc
     monkeypatch.setattr(lsh, "_in_buckets", None)
     monkeypatch.setattr(lsh.bf, "BROADCAST_BYTES", 0)
     assert got == {r.query_id: (r.neighbor_id, round(r.dist, 9)) for r in lsh.search(q, x, 0.1, 0.07).collect()}
+
+
+def test_oneshot_text_takes_the_least_ids_without_windows_over_pairs(spark):
+    from nearfield.functions import udfs
+    from nearfield.queries import relational
+
+    udfs.register(spark)
+    spark.createDataFrame([(1, 0.0, 0.0), (2, 5.0, 0.0)], "query_id long, x double, y double").createOrReplaceTempView("queries_in")
+    spark.createDataFrame([(8, 1.0, 0.0), (7, -1.0, 0.0), (9, 5.0, 1.0)], "pivot_id long, x double, y double").createOrReplaceTempView("pivots")
+    lists = [(7, 30, 0.0, 2.0), (7, 20, 2.0, 0.0), (7, 40, 0.0, 3.0), (8, 10, 0.0, 0.0), (9, 50, 5.0, 0.5)]
+    spark.createDataFrame(lists, "pivot_id long, point_id long, x double, y double").createOrReplaceTempView("owned_lists")
+    near = spark.sql(relational.NEAREST_TEXT)
+    near.createOrReplaceTempView("nearest_in")
+    found = spark.sql(relational.ONESHOT_TEXT)
+    assert {(r.query_id, r.neighbor_id, r.dist) for r in found.collect()} == {(1, 20, 2.0), (2, 50, 0.5)}
+    assert not any("Window" in p._jdf.queryExecution().optimizedPlan().toString() for p in (near, found))
